@@ -98,7 +98,7 @@ def _by_source(rows: DataFrame, small: DataFrame, *columns: str) -> DataFrame:
     return rows.join(other, rows["source"].eqNullSafe(F.col("__own_source")), "left").drop("__own_source")
 
 
-def copies(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "words", seed: int = 11, settle: int = 3) -> DataFrame:
+def copies(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "words", seed: int = 11, settle: int = 4) -> DataFrame:
     """From written rows (line, doc_id, source, size, file, row) to those with source_size, target and copies."""
     counts = stage(rows.groupBy("source", "size").agg(F.count("*").alias("n")), "size-counts")
     wanted = stage(targets(counts.groupBy("source").agg(F.sum(F.col("n") * F.col("size")).alias("source_size")), share, cap, weights), "targets")
@@ -130,13 +130,15 @@ def copies(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int
     taken = stage(taken, "taken")
     left = stage(left, "missing")
     for _ in range(settle):
-        # The document whose one more copy brings a source's sum closest to its target.
-        open_ = _by_source(taken.filter((F.col("copies") < cap) & F.col("order").isNotNull()), left, "missing").filter("size < 2 * missing")
-        pick = open_.groupBy("source").agg(F.min(F.struct(F.abs(F.col("missing") - F.col("size")).alias("off"), "order", "line", "size")).alias("pick")).select(F.col("source"), F.col("pick.line").alias("picked"), F.col("pick.size").alias("more"))
-        pick = stage(pick, "picked")
+        # The document whose one copy more, or less, brings a source's sum closest to its target.
+        moves = F.explode(F.filter(F.array(F.when(F.col("copies") < cap, F.lit(1)), F.when(F.col("copies") > 0, F.lit(-1))), lambda x: x.isNotNull())).alias("move")
+        open_ = _by_source(taken.filter(F.col("order").isNotNull()).select("line", "source", "size", "order", moves), left, "missing")
+        off = F.abs(F.col("missing") - F.col("size") * F.col("move"))
+        pick = open_.filter(off < F.abs("missing")).groupBy("source").agg(F.min(F.struct(off.alias("off"), "order", "line", "move", "size")).alias("pick"))
+        pick = stage(pick.select("source", F.col("pick.line").alias("picked"), F.col("pick.move").alias("move"), (F.col("pick.size") * F.col("pick.move")).alias("more")), "picked")
         if pick.isEmpty():
             break
-        taken = taken.join(pick.select("picked"), F.col("line") == F.col("picked"), "left").withColumn("copies", F.col("copies") + F.col("picked").isNotNull().cast("long")).drop("picked")
+        taken = taken.join(pick.select("picked", "move"), F.col("line") == F.col("picked"), "left").withColumn("copies", F.col("copies") + F.coalesce("move", F.lit(0))).drop("picked", "move")
         left = stage(_by_source(left, pick, "more").select("source", (F.col("missing") - F.coalesce("more", F.lit(0))).alias("missing")), "missing")
     return taken
 
