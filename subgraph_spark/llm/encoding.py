@@ -7,6 +7,7 @@ store of bounded size. A text for which the cuts could matter goes to the librar
 
 from __future__ import annotations
 
+import functools
 import os
 import re
 from array import array
@@ -143,3 +144,9 @@ class ChunkEncoder:
                 out = []
         self._joined(pieces, out)
         yield from map(b"".join, out)
+
+
+@functools.lru_cache(maxsize=4)
+def encoder_for(path: str, keeps_space: bool) -> ChunkEncoder:
+    """A worker's encoder: later tasks of the same worker find its chunks known."""
+    return ChunkEncoder(path, keeps_space)

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import stage, whole_text
-from .encoding import ChunkEncoder
+from .encoding import encoder_for
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 _MEMBER = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("piece", "<i4"), ("start", "<i8"), ("length", "<i4"), ("crc", "<u4"), ("offset", "<i4")])
@@ -63,7 +63,7 @@ def cut_documents(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, k
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = None
         for batch in batches:
-            encoder = encoder or ChunkEncoder(tokenizer, keeps_space)
+            encoder = encoder or encoder_for(tokenizer, keeps_space)
             end, rows = np.array([end_id], "<u4").tobytes(), []
             for doc, packed in zip(batch.column(0).to_pylist(), encoder.encode(x.as_py() for x in batch.column(1)), strict=True):
                 ids = memoryview(np.frombuffer(packed, f"<u{encoder.width}").astype("<u4").tobytes() + end)

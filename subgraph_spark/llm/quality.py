@@ -16,6 +16,7 @@ columns are ignored.
 
 from __future__ import annotations
 
+import functools
 import zlib
 from collections.abc import Iterator
 
@@ -92,6 +93,12 @@ class Features:
         return float((total / np.maximum(count, 1)).sum())
 
 
+@functools.lru_cache(maxsize=2)
+def features_for(bits: int) -> Features:
+    """A worker's features: later tasks find its words known."""
+    return Features(bits)
+
+
 class FollowTheLeader:
     """Logistic regression by follow-the-regularised-leader: per coordinate, the sum of gradients less what the weight already accounts for, and the sum of their squares."""
 
@@ -128,7 +135,7 @@ def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", folds:
     drawn = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text("text").alias("text")).join(drawn, "doc_id")
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        made = Features(bits)
+        made = features_for(bits)
         for batch in batches:
             sparse = [made.sparse(x.as_py()) for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([p.astype("<i4").tobytes() for p, _ in sparse], pa.binary()), pa.array([v.astype("<f4").tobytes() for _, v in sparse], pa.binary())], names=["h", "label", "place", "value"])
@@ -153,7 +160,7 @@ def score(docs: DataFrame, weights: np.ndarray, scale: float = 8.0, id_col: str
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # 2**bits floats
 
     def scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        made = Features(bits)
+        made = features_for(bits)
         for batch in batches:
             sums = [scale * made.dot(x.as_py(), shared.value) + shared.value[-1] for x in batch.column(batch.num_columns - 1)]
             found = pa.array(1 / (1 + np.exp(-np.clip(np.array(sums, np.float64), -35, 35))))

@@ -14,6 +14,7 @@ empty table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+import functools
 import os
 from collections.abc import Iterator
 
@@ -98,13 +99,19 @@ class TokenCounter:
         return n
 
 
+@functools.lru_cache(maxsize=2)
+def counter_for(path: str) -> TokenCounter:
+    """A worker's counter: the proof is made once, and later tasks find merges known."""
+    return TokenCounter(path)
+
+
 def count_tokens(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows ``COUNTS`` per document. Nothing is shuffled."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counter = None
         for batch in batches:
-            counter = counter or TokenCounter(tokenizer)
+            counter = counter or counter_for(tokenizer)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([counter.count(x.as_py()) for x in batch.column(2)], pa.int64())], names=["doc_id", "n_bytes", "n_tokens"])
 
     text = whole_text(text_col)

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import new_folder, stage, whole_text
-from .encoding import ChunkEncoder
+from .encoding import encoder_for
 from .storage import new_file, old_file
 
 _WORD = b"IDS+EF01"
@@ -123,7 +123,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, keep
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encoder, end = ChunkEncoder(tokenizer, keeps_space), None
+        encoder, end = encoder_for(tokenizer, keeps_space), None
         ends, ids, nulls, total = array("Q"), array("q"), 0, 0
         batches = (b for b in batches if b.num_rows)
         batch = next(batches, None)
@@ -192,7 +192,7 @@ class Shard:
 DOCUMENTS = "doc_id long, start long, n_tokens long, ids_crc32 long"
 
 
-def read_documents(shards: DataFrame, docs_a_task: int = 20_000) -> DataFrame:
+def read_documents(shards: DataFrame, docs_a_task: int = 10_000) -> DataFrame:
     """Per document of ``shards``: its id, place, length and the checksum of its ids, read from the files."""
     first = F.explode(F.sequence(F.lit(0).cast("long"), F.col("n_docs") - 1, F.lit(docs_a_task).cast("long")))
     parts = shards.select("path", "base", "n_docs", first.alias("first")).select("path", "base", "first", F.least(F.col("first") + docs_a_task, "n_docs").alias("to"))
@@ -211,7 +211,8 @@ def read_documents(shards: DataFrame, docs_a_task: int = 20_000) -> DataFrame:
                     place = np.array(starts, np.int64)
                     yield pa.RecordBatch.from_pydict({"doc_id": pa.array([shard.doc_id(i) for i in rows], pa.int64()), "start": place[:-1] + part["base"], "n_tokens": np.diff(place), "ids_crc32": pa.array(sums, pa.int64())})
 
-    return parts.repartition("path", "first").mapInArrow(read, DOCUMENTS)
+    count = shards.agg(F.sum(F.ceil(F.col("n_docs") / docs_a_task))).first()[0] or 1
+    return parts.repartition(min(int(count), 20_000)).mapInArrow(read, DOCUMENTS)
 
 
 def token_round_trip(spark: SparkSession, docs: DataFrame, tokenizer: str, end_id: int = 2) -> DataFrame:

@@ -35,6 +35,8 @@ _EPOCH = "2020-01-01T00:00:00Z"
 _READ = 1 << 20
 #: Rows are handed on when so many bytes have gathered.
 _HAND_ON = 8 << 20
+#: Ranges beyond this number share tasks.
+_MOST_TASKS = 20_000
 
 ARCHIVES = "path string, bytes long, records long"
 RECORDS = "record_id string, record_type string, target_uri string, refers_to string, payload_digest string, payload_bytes long, payload binary, path string, offset long"
@@ -222,11 +224,12 @@ def read_range(path: str, begin: int, end: int) -> Iterator[dict]:
 
 
 def byte_ranges(archives: DataFrame, split_bytes: int | None) -> DataFrame:
-    """A row (path, begin, end) per range, dealt over tasks; ``split_bytes`` None: a range per file."""
+    """A row (path, begin, end) per range, dealt over as many tasks; ``split_bytes`` None: a range per file."""
     cut = F.lit(1 << 62) if split_bytes is None else F.lit(split_bytes)
     begins = F.sequence(F.lit(0).cast("long"), F.greatest(F.col("bytes") - 1, F.lit(0).cast("long")), cut.cast("long"))
     ranges = archives.select("path", "bytes", F.explode(begins).alias("begin")).select("path", "begin", F.least(F.col("begin") + cut, "bytes").cast("long").alias("end"))
-    return ranges.repartition("path", "begin")
+    count = archives.count() if split_bytes is None else archives.agg(F.sum(F.ceil(F.col("bytes") / split_bytes))).first()[0] or 1
+    return ranges.repartition(min(max(int(count), 1), _MOST_TASKS))
 
 
 def read_archives(archives: DataFrame, split_bytes: int | None = 32 << 20, columns: list[str] | None = None) -> DataFrame:
