@@ -21,10 +21,13 @@ from pyspark.sql import functions as F
 from .common import SPACES, new_folder, stage, whole_text
 
 #: The state lies on disk; a task closes its store once its part is committed to the shared folder, so that an executor holds
-#: only the stores it is working on.
+#: only the stores it is working on; those share a bounded memory.
 _STORES = {
     "spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider",
     "spark.sql.streaming.stateStore.unloadOnCommit": "true",
+    "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage": "true",
+    "spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB": "200",
+    "spark.sql.streaming.stateStore.rocksdb.writeBufferSizeMB": "8",
 }
 #: Hash values that tell hits from other rows.
 _MARKS = 1 << 20
@@ -58,7 +61,7 @@ def keyed_state(rows_folder: str, rows: DataFrame, bytes_a_trigger: int = 16 <<
     A stream that is taken up again from the same folder goes on where it stopped.
     """
     spark = rows.sparkSession
-    before = {k: spark.conf.get(k) for k in _STORES}
+    before = {k: spark.conf.get(k, None) for k in _STORES}
     folder = new_folder(spark, "dedup-state")
     stream = spark.readStream.schema(rows.schema).option("maxBytesPerTrigger", str(bytes_a_trigger)).parquet(rows_folder)
     try:
@@ -67,7 +70,7 @@ def keyed_state(rows_folder: str, rows: DataFrame, bytes_a_trigger: int = 16 <<
         query = first_of(stream).writeStream.format("noop").outputMode("update").option("checkpointLocation", folder).trigger(availableNow=True).start()
     finally:
         for k, v in before.items():
-            spark.conf.set(k, v)
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
     query.awaitTermination()
     # The state's columns are the aggregates' buffers: a minimum and a count.
     return spark.read.format("statestore").load(folder).select(F.col("key.digest").alias("digest"), F.col("value.min").alias("first"), F.col("value.count").alias("n"))
