@@ -31,6 +31,8 @@ from .storage import new_file, old_file
 _WORD = b"IDS+EF01"
 _FOOTER = "<8sQQQ"
 _HEAD = "<QQQ"
+#: Ids that are read at a time, about.
+_READ = 1 << 20
 #: A select sample per so many set bits.
 _SAMPLE = 512
 
@@ -104,11 +106,20 @@ class EliasFano:
             at += step
             first = int(self.high[at])
 
-    def values(self) -> np.ndarray:
-        """All values."""
-        places = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))[: self.n]
-        bits = np.unpackbits(self.low, bitorder="little")[: self.n * self.shift].reshape(self.n, self.shift).astype(np.int64)
-        return ((places - np.arange(self.n)).astype(np.int64) << self.shift) + (bits << np.arange(self.shift)).sum(1, dtype=np.int64)
+    def values(self, first: int = 0, to: int | None = None) -> np.ndarray:
+        """The values from ``first`` up to ``to``, decoded together."""
+        to = self.n if to is None else to
+        if first >= to:
+            return np.zeros(0, np.int64)
+        low, high = first // _SAMPLE, (to - 1) // _SAMPLE + 1
+        begin = int(self.samples[low])
+        end = int(self.samples[high]) if high < len(self.samples) else 8 * len(self.high)
+        places = np.flatnonzero(np.unpackbits(self.high[begin // 8 : (end + 7) // 8], bitorder="little")) + begin // 8 * 8
+        places = places[places >= begin][first - low * _SAMPLE : to - low * _SAMPLE]
+        at = first * self.shift
+        bits = np.unpackbits(self.low[at // 8 : (to * self.shift + 7) // 8], bitorder="little")[at % 8 :][: (to - first) * self.shift]
+        bits = bits.reshape(to - first, self.shift).astype(np.int64)
+        return ((places - np.arange(first, to)).astype(np.int64) << self.shift) + (bits << np.arange(self.shift)).sum(1, dtype=np.int64)
 
 
 def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, keeps_space: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -182,6 +193,14 @@ class Shard:
     def start(self, i: int) -> int:
         return self.ends.select(i - 1) if i else 0
 
+    def doc_ids(self, first: int, to: int) -> list[int | None]:
+        named = self._docs.values(max(first, self._nulls) - self._nulls, max(to, self._nulls) - self._nulls) + self._first
+        return [None] * (min(to, self._nulls) - min(first, self._nulls)) + named.tolist()
+
+    def starts(self, first: int, to: int) -> np.ndarray:
+        """Starts of the documents from ``first`` on, and the end of the last before ``to``."""
+        return np.concatenate([[self.start(first)], self.ends.values(first, to)])
+
     def ids(self, i: int, to: int | None = None) -> np.ndarray:
         """The ids of document i, or of those from i up to ``to``."""
         start, end = self.start(i), self.ends.select((i + 1 if to is None else to) - 1)
@@ -202,14 +221,16 @@ def read_documents(shards: DataFrame, docs_a_task: int = 10_000) -> DataFrame:
             for part in batch.to_pylist():
                 with old_file(part["path"]) as file:
                     shard = Shard(file, part["path"])
-                    rows = range(part["first"], part["to"])
-                    starts, sums = [shard.start(part["first"])], []
-                    for i in rows:
-                        ids = shard.ids(i)
-                        starts.append(starts[-1] + len(ids))
-                        sums.append(zlib.crc32(ids.astype("<u4").tobytes()))
-                    place = np.array(starts, np.int64)
-                    yield pa.RecordBatch.from_pydict({"doc_id": pa.array([shard.doc_id(i) for i in rows], pa.int64()), "start": place[:-1] + part["base"], "n_tokens": np.diff(place), "ids_crc32": pa.array(sums, pa.int64())})
+                    first, to = part["first"], part["to"]
+                    starts, sums = shard.starts(first, to), []
+                    while first < to:  # documents of about _READ ids at a time
+                        own = starts[first - part["first"] :]
+                        last = min(to, first + max(1, int(np.searchsorted(own, own[0] + _READ, "right")) - 1))
+                        ids = memoryview(shard.ids(first, last).astype("<u4").tobytes())
+                        cuts = 4 * (own[: last - first + 1] - own[0])
+                        sums += [zlib.crc32(ids[a:b]) for a, b in zip(cuts.tolist(), cuts[1:].tolist(), strict=False)]
+                        first = last
+                    yield pa.RecordBatch.from_pydict({"doc_id": pa.array(shard.doc_ids(part["first"], to), pa.int64()), "start": starts[:-1] + part["base"], "n_tokens": np.diff(starts), "ids_crc32": pa.array(sums, pa.int64())})
 
     count = shards.agg(F.sum(F.ceil(F.col("n_docs") / docs_a_task))).first()[0] or 1
     return parts.repartition(min(int(count), 20_000)).mapInArrow(read, DOCUMENTS)
