@@ -22,6 +22,11 @@ os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 _JOINED = re.compile(r"\s\x20(?:\s|\Z)")
 #: These are white space for Python's split() and not for the library.
 _SEPARATORS = re.compile(r"[\x1c-\x1f]")
+#: Plain words with signs behind them, on one line or several: letters, signs and single line ends never share a pre-token.
+#: (No apostrophe, which may begin one with letters; Latin letters only, which no library takes for anything else.)
+_LETTERS, _SIGNS = "A-Za-zÀ-ÖØ-öø-ÿ", r".,!?;:|*#%&$\"()"
+_PLAIN = re.compile(f"[{_LETTERS}]+[{_SIGNS}]*(?:\\n[{_LETTERS}]+[{_SIGNS}]*)*")
+_UNITS = re.compile(f"[{_LETTERS}]+|[{_SIGNS}]+|\\n")
 #: Chunks longer than this aren't remembered.
 _LONGEST = 64
 #: Texts are walked in pieces of about this many characters.
@@ -52,14 +57,14 @@ class ChunkEncoder:
         code = self._code
         return [array(code, x.ids).tobytes() for x in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _packed_chunks(self, chunks: list[str]) -> dict[str, bytes]:
+    def _packed_many(self, chunks: list[str], lead: str) -> dict[str, bytes]:
         """Chunks are encoded many at a time: a mark between them, which is one token of its own and occurs in none of them, parts the ids again."""
-        mark, between, lead = ("\n", "\n", " ") if self._keeps_space else ("0", " 0 ", "")
+        mark, between = ("\n", "\n") if self._keeps_space else ("0", " 0 ")
         plain = [x for x in chunks if x and mark not in x and not x[-1].isspace()]
         found: dict[str, bytes] = {}
         if plain:
             (mark_id,) = self.library.encode(mark, add_special_tokens=False).ids
-            ids = array(self._code, self.library.encode_batch_fast([between.join(lead + x for x in plain)], add_special_tokens=False)[0].ids)
+            ids = array(self._code, self.library.encode_batch_fast([between.join([lead + x for x in plain] if lead else plain)], add_special_tokens=False)[0].ids)
             cuts = np.flatnonzero(np.frombuffer(ids, np.dtype(self._code)) == mark_id).tolist()
             if len(cuts) != len(plain) - 1:
                 raise AssertionError("the mark between chunks isn't a token of its own")
@@ -73,14 +78,31 @@ class ChunkEncoder:
             return False
         return not (_JOINED if self._keeps_space else _SEPARATORS).search(text)
 
-    def _learn(self, known: dict[str, bytes], chunks: set[str]) -> dict[str, bytes]:
-        """What ``known`` lacks of ``chunks``; long chunks are only returned."""
-        missing = list(chunks.difference(known))
+    def _learn_heads(self, units: set[str]) -> dict[str, bytes]:
+        """What is known of ``units``, which follow no space, completed; long ones are only returned."""
+        missing = list(units.difference(self._heads))
+        found = self._packed_many(missing, "") if missing else {}
+        long = {k: found.pop(k) for k in missing if len(k) > _LONGEST}
+        self._heads.update(found)
+        return long
+
+    def _learn(self, chunks: set[str]) -> dict[str, bytes]:
+        """What is known of ``chunks`` completed, from their units where these are plain; long ones are only returned."""
+        missing = list(chunks.difference(self._chunks))
         if not missing:
             return {}
-        found = self._packed_chunks(missing) if known is self._chunks else dict(zip(missing, self._packed(missing), strict=True))
-        long = {k: found.pop(k) for k in missing if len(k) > _LONGEST}
-        known.update(found)
+        units = {x: _UNITS.findall(x) for x in missing if _PLAIN.fullmatch(x)}
+        made = {x: u for x, u in units.items() if len(u) > 1}
+        firsts, others = {u[0] for u in made.values()}, set().union(*(u[1:] for u in made.values()))
+        alone = {x for x in missing if x not in made} | firsts.difference(self._chunks)
+        found = self._packed_many(list(alone), " " if self._keeps_space else "")
+        long_heads = self._learn_heads(others)
+        first_of = lambda x: found[x] if x in found else self._chunks[x]
+        head_of = lambda x: long_heads[x] if x in long_heads else self._heads[x]
+        for x, (first, *rest) in made.items():
+            found[x] = first_of(first) + b"".join(map(head_of, rest))
+        long = {k: found.pop(k) for k in [k for k in found if len(k) > _LONGEST]}
+        self._chunks.update(found)
         return long
 
     def _pieces(self, text: str) -> Iterator[tuple[bool, list[str]]]:
@@ -111,9 +133,9 @@ class ChunkEncoder:
             if len(known) > self._most:
                 known.clear()
         heads = {chunks[0] for _, follows, chunks in pieces if not follows}
-        long_heads = self._learn(self._heads, heads - {""}) | {"": b""}
+        long_heads = self._learn_heads(heads - {""}) | {"": b""}
         bodies = [(place, chunks if follows else chunks[1:]) for place, follows, chunks in pieces]
-        long = self._learn(self._chunks, set().union(*(x for _, x in bodies)))
+        long = self._learn(set().union(*(x for _, x in bodies)))
         for (place, body), (_, follows, chunks) in zip(bodies, pieces, strict=True):
             if not follows:
                 head = chunks[0]
