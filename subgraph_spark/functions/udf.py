@@ -6,20 +6,21 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, pandas_udf, udtf
 
 from ..model import PatternGraph, TargetGraph
 from ..operators import engines
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def geometric_mean(x: pd.Series) -> float:
     """Geometric mean, as an aggregate."""
     x = x.dropna()
     return float(np.exp(np.log(x).mean())) if len(x) else float("nan")
 
 
-@arrow_udf("int")
+@arrow_udf(T.IntegerType())
 def mask_size(mask: pa.Array) -> pa.Array:
     """Set bits of a mask."""
     return pa.array(np.bitwise_count(mask.fill_null(0).to_numpy(zero_copy_only=False)).astype(np.int32))
