@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from subgraph_spark.llm.common import stage, table, tokenizer_path
 from subgraph_spark.llm.exact_dedup import duplicate_groups, located
-from subgraph_spark.llm.mixing import copies, sizes_of
+from subgraph_spark.llm.mixing import plan, sizes_of, word_count
 from subgraph_spark.llm.packing import pack_documents
 from subgraph_spark.llm.quality import score, train
 from subgraph_spark.llm.simhash import near_duplicates
@@ -37,11 +37,13 @@ def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; those without words, of which nothing can be taken, stay once."""
+    own = docs.columns
     docs = located(docs)
-    taken = copies(sizes_of(docs)).select(F.col("file").alias("__own_file"), F.col("row").alias("__own_row"), F.when(F.col("size") == 0, F.lit(1)).otherwise(F.col("copies")).cast("int").alias("__own_copies"))
-    taken = stage(taken.filter("__own_copies > 0"), "copies")
-    rows = docs.join(taken, ["__own_file", "__own_row"])
-    return rows.select(*[F.col(f"`{x}`") for x in docs.columns if not x.startswith("__own_")], F.explode(F.sequence(F.lit(1), F.col("__own_copies"))).alias("__own_copy")).drop("__own_copy")
+    mix = plan(sizes_of(docs))
+    rows = docs.select(F.struct(*[F.col(f"`{x}`") for x in own]).alias("__own_doc"), "doc_id", F.col("source").cast("string").alias("source"), word_count().alias("size"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
+    times = F.when(F.col("size") == 0, F.lit(1)).otherwise(F.col("copies").cast("int"))
+    rows = mix.copies(rows).select("__own_doc", times.alias("__own_copies")).filter("__own_copies > 0")
+    return rows.select("__own_doc", F.explode(F.sequence(F.lit(1), F.col("__own_copies"))).alias("__own_copy")).select("__own_doc.*")
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

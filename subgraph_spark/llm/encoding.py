@@ -42,7 +42,7 @@ class ChunkEncoder:
     ``encode(texts)`` yields, per text, the ids as packed little-endian unsigned integers of ``width`` bytes.
     """
 
-    def __init__(self, path: str, keeps_space: bool, most: int = 1_000_000):
+    def __init__(self, path: str, keeps_space: bool, most: int = 400_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
@@ -50,8 +50,11 @@ class ChunkEncoder:
         self._code = "H" if self.width == 2 else "I"
         self._keeps_space, self._most = keeps_space, most
         self._special = [x.content for x in self.library.get_added_tokens_decoder().values()]
+        # Of each, what was met lately and what was before; only the latter is forgotten.
         self._chunks: dict[str, bytes] = {}
         self._heads: dict[str, bytes] = {}
+        self._old_chunks: dict[str, bytes] = {}
+        self._old_heads: dict[str, bytes] = {}
 
     def _packed(self, texts: list[str]) -> list[bytes]:
         code = self._code
@@ -80,7 +83,10 @@ class ChunkEncoder:
 
     def _learn_heads(self, units: set[str]) -> dict[str, bytes]:
         """What is known of ``units``, which follow no space, completed; long ones are only returned."""
-        missing = list(units.difference(self._heads))
+        missing = units.difference(self._heads)
+        again = missing.intersection(self._old_heads)
+        self._heads.update((x, self._old_heads[x]) for x in again)
+        missing = list(missing - again)
         found = self._packed_many(missing, "") if missing else {}
         long = {k: found.pop(k) for k in missing if len(k) > _LONGEST}
         self._heads.update(found)
@@ -88,7 +94,10 @@ class ChunkEncoder:
 
     def _learn(self, chunks: set[str]) -> dict[str, bytes]:
         """What is known of ``chunks`` completed, from their units where these are plain; long ones are only returned."""
-        missing = list(chunks.difference(self._chunks))
+        missing = chunks.difference(self._chunks)
+        again = missing.intersection(self._old_chunks)
+        self._chunks.update((x, self._old_chunks[x]) for x in again)
+        missing = list(missing - again)
         if not missing:
             return {}
         units = {x: _UNITS.findall(x) for x in missing if _PLAIN.fullmatch(x)}
@@ -129,9 +138,10 @@ class ChunkEncoder:
 
     def _joined(self, pieces: list[tuple[int, bool, list[str]]], out: list[list[bytes]]) -> None:
         """Append the ids of ``pieces``, which name the place in ``out`` that they belong to."""
-        for known in (self._chunks, self._heads):
-            if len(known) > self._most:
-                known.clear()
+        if 2 * len(self._chunks) > self._most:
+            self._old_chunks, self._chunks = self._chunks, {}
+        if 2 * len(self._heads) > self._most:
+            self._old_heads, self._heads = self._heads, {}
         heads = {chunks[0] for _, follows, chunks in pieces if not follows}
         long_heads = self._learn_heads(heads - {""}) | {"": b""}
         bodies = [(place, chunks if follows else chunks[1:]) for place, follows, chunks in pieces]

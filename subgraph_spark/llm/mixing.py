@@ -11,8 +11,8 @@ With ``entropy="words"`` every word counts the same, and a source's documents sh
 
 Rounding. Every document is taken as often as its rate's whole part. The words that a source still lacks come from documents in
 the order of hash / remaining part, a draw in which a document's chance goes with its remaining part: cumulated over buckets of
-that order first, and over rows only in the bucket where the sum is reached. A few documents whose sizes come closest to
-what then is missing settle the rest.
+that order first, and over rows only in the bucket where the sum is reached. That gives each source a place in the order up to
+which its documents are taken. A few documents whose sizes come closest to what then is missing settle the rest.
 
 Defined cases: a null text has size 0, and is taken 0 words; a null source is one source, last in order; null and repeated ids
 are kept, one row per row; an empty table gives no rows; other columns are ignored. Sources of no words have target 0.
@@ -31,10 +31,13 @@ WORD = r"[^\x20\x09-\x0D]+"
 _BUCKETS = 4096
 
 
+def word_count(text_col: str = "text") -> Column:
+    return F.regexp_count(whole_text(text_col), F.lit(WORD)).cast("long")
+
+
 def sizes_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """Written rows (line, doc_id, source, size, file, row); file and row are the place of the document."""
-    words = F.regexp_count(whole_text(text_col), F.lit(WORD)).cast("long")
-    rows = located(docs).select(F.monotonically_increasing_id().alias("line"), F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), words.alias("size"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
+    """Written rows (doc_id, source, size, file, row); file and row are the place of the document."""
+    rows = located(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
     return stage(rows, "sizes")
 
 
@@ -98,49 +101,93 @@ def _by_source(rows: DataFrame, small: DataFrame, *columns: str) -> DataFrame:
     return rows.join(other, rows["source"].eqNullSafe(F.col("__own_source")), "left").drop("__own_source")
 
 
-def copies(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "words", seed: int = 11, settle: int = 4) -> DataFrame:
-    """From written rows (line, doc_id, source, size, file, row) to those with source_size, target and copies."""
+def drawing(line: Column, cap: int, seed: int) -> tuple[Column, Column]:
+    """(whole, order) of a document from its row: copies that it has anyway, and its place in the draw for one more (null: none).
+
+    ``line`` is what tells documents apart; the row has size and rate.
+    """
+    whole = F.floor(F.col("rate") + 1e-9)
+    part = F.col("rate") - whole
+    draw = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), line, "size"), 11) + 1) / F.lit(float(1 << 53))
+    return whole, F.when((part > 1e-9) & (whole < cap) & (F.col("size") > 0), draw / part)
+
+
+class Mix:
+    """What decides how often each document is taken: a row per source, and a few documents that settle its sum.
+
+    ``sources``: source, source_size, target, mean, lam, cut; ``settled``: line, move. Both are written. With them, copies follow from
+    a document's own row, so that no text moves.
+    """
+
+    def __init__(self, sources: DataFrame, settled: DataFrame, entropy: str, share: float, cap: int, seed: int):
+        self.sources, self.settled, self.entropy, self.share, self.cap, self.seed = sources, settled, entropy, share, cap, seed
+
+    def copies(self, rows: DataFrame) -> DataFrame:
+        """``rows`` (with source, size, doc_id, file, row) and source_size, target, copies."""
+        rows = _by_source(rows, self.sources, "source_size", "target", "mean", "lam", "cut").withColumn("rate", rate_of(self.entropy, self.share, self.cap))
+        whole, order = drawing(F.col("doc_id"), self.cap, self.seed)
+        drawn = rows.withColumn("copies", whole + F.coalesce(order <= F.col("cut"), F.lit(False)).cast("long"))
+        moves = self.settled.select(F.col("file").alias("__own_of_file"), F.col("row").alias("__own_of_row"), "move")
+        drawn = drawn.join(moves, (F.col("file") == F.col("__own_of_file")) & (F.col("row") == F.col("__own_of_row")), "left")
+        return drawn.withColumn("copies", F.col("copies") + F.coalesce("move", F.lit(0))).drop("__own_of_file", "__own_of_row", "move", "rate", "mean", "lam", "cut")
+
+
+def plan(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "words", seed: int = 11, settle: int = 4) -> Mix:
+    """Solve for ``rows`` (doc_id, source, size, file, row), which must be written."""
     counts = stage(rows.groupBy("source", "size").agg(F.count("*").alias("n")), "size-counts")
     wanted = stage(targets(counts.groupBy("source").agg(F.sum(F.col("n") * F.col("size")).alias("source_size")), share, cap, weights), "targets")
     tilted = balance(counts, wanted, share, cap, entropy)
+    known = ("source_size", "target", "mean", "lam")
 
-    rate = rate_of(entropy, share, cap)
-    whole = _by_source(counts, tilted, "source_size", "target", "mean", "lam").withColumn("whole", F.floor(rate + 1e-9))
-    lacks = whole.groupBy("source").agg((F.first("target") - F.sum(F.col("n") * F.col("size") * F.col("whole"))).alias("lacks"))
-    draw = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), "doc_id", "size"), 11) + 1) / F.lit(float(1 << 53))
-    drawn = _by_source(rows, tilted, "source_size", "target", "mean", "lam").withColumn("rate", rate).withColumn("whole", F.floor(F.col("rate") + 1e-9))
-    part = F.col("rate") - F.col("whole")
-    drawn = drawn.withColumn("order", F.when((part > 1e-9) & (F.col("whole") < cap) & (F.col("size") > 0), draw / part))
-    drawn = stage(drawn.withColumn("bucket", F.least(F.floor(F.col("order") * _BUCKETS), F.lit(2 * _BUCKETS))).select("line", "doc_id", "source", "size", "file", "row", "source_size", "target", "whole", "order", "bucket"), "drawn")
+    whole = F.floor(rate_of(entropy, share, cap) + 1e-9)
+    lacks = _by_source(counts, tilted, *known).groupBy("source").agg((F.first("target") - F.sum(F.col("n") * F.col("size") * whole)).alias("lacks"))
+    drawn = _by_source(rows, tilted, *known).withColumn("rate", rate_of(entropy, share, cap))
+    whole, order = drawing(F.col("doc_id"), cap, seed)
+    drawn = drawn.select("source", "size", "file", "row", whole.alias("whole"), order.alias("order")).filter("order is not null")
+    drawn = stage(drawn.withColumn("bucket", F.least(F.floor(F.col("order") * _BUCKETS), F.lit(2 * _BUCKETS))), "drawn")
 
     # The bucket in which a source's sum is reached, and what is missing before it.
-    buckets = drawn.filter("bucket is not null").groupBy("source", "bucket").agg(F.sum("size").alias("words"))
+    buckets = drawn.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
     run = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    buckets = _by_source(buckets.withColumn("upto", F.sum("words").over(run)), lacks, "lacks")
+    buckets = stage(_by_source(buckets.withColumn("upto", F.sum("words").over(run)), lacks, "lacks"), "buckets")
     reached = buckets.groupBy("source").agg(F.coalesce(F.min(F.when(F.col("upto") >= F.col("lacks"), F.col("bucket"))), F.lit(1 << 40)).alias("at"), F.first("lacks").alias("lacks"))
     before = _by_source(buckets.drop("lacks"), reached, "at").filter("bucket < at").groupBy("source").agg(F.max("upto").alias("upto"))
-    reached = _by_source(reached, before, "upto").select("source", "at", (F.col("lacks") - F.coalesce("upto", F.lit(0))).alias("missing"))
-    marked = _by_source(drawn, reached, "at", "missing")
-    inner = Window.partitionBy("source").orderBy("order", "line").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    border = marked.filter("bucket = at").withColumn("sum", F.sum("size").over(inner)).filter(F.col("sum") <= F.col("missing")).select(F.col("line").alias("border"), "source", "size")
-    border = stage(border, "border")
-    left = _by_source(reached, border.groupBy("source").agg(F.sum("size").alias("words")), "words").select("source", (F.col("missing") - F.coalesce("words", F.lit(0))).alias("missing"))
-    taken = marked.join(border.select("border"), F.col("line") == F.col("border"), "left")
-    taken = taken.select("line", "doc_id", "source", "size", "file", "row", "source_size", "target", "order", (F.col("whole") + F.coalesce((F.col("bucket") < F.col("at")) | F.col("border").isNotNull(), F.lit(False)).cast("long")).alias("copies"))
-    taken = stage(taken, "taken")
-    left = stage(left, "missing")
+    reached = stage(_by_source(reached, before, "upto").select("source", "at", (F.col("lacks") - F.coalesce("upto", F.lit(0))).alias("missing")), "reached")
+    # Inside it, row by row; equal places in the order are taken together or not at all.
+    inner = Window.partitionBy("source").orderBy("order").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    border = _by_source(drawn, reached, "at", "missing").filter("bucket = at").withColumn("sum", F.sum("size").over(inner)).filter("sum <= missing")
+    border = border.groupBy("source").agg(F.max("order").alias("last"), F.sum("size").alias("words"))
+    ends = _by_source(reached, border, "last", "words")
+    # Without a row of the bucket, everything below the bucket is taken.
+    cut = F.coalesce("last", F.when(F.col("at") >= 1 << 40, F.lit(float("inf"))).otherwise(F.col("at") / _BUCKETS * (1 - 1e-15)))
+    ends = stage(ends.select("source", cut.alias("cut"), (F.col("missing") - F.coalesce("words", F.lit(0))).alias("missing")), "cuts")
+    sources = stage(_by_source(tilted.select("source", *known), ends, "cut"), "mix")
+
+    taken = _by_source(drawn, ends, "cut").select("source", "size", "file", "row", "order", (F.col("whole") + (F.col("order") <= F.col("cut")).cast("long")).alias("copies"))
+    left, settled = ends.select("source", "missing"), None
     for _ in range(settle):
         # The document whose one copy more, or less, brings a source's sum closest to its target.
         moves = F.explode(F.filter(F.array(F.when(F.col("copies") < cap, F.lit(1)), F.when(F.col("copies") > 0, F.lit(-1))), lambda x: x.isNotNull())).alias("move")
-        open_ = _by_source(taken.filter(F.col("order").isNotNull()).select("line", "source", "size", "order", moves), left, "missing")
+        open_ = taken
+        if settled is not None:
+            done = settled.select(F.col("file").alias("__own_of_file"), F.col("row").alias("__own_of_row"))
+            open_ = open_.join(done, (F.col("file") == F.col("__own_of_file")) & (F.col("row") == F.col("__own_of_row")), "left_anti")
         off = F.abs(F.col("missing") - F.col("size") * F.col("move"))
-        pick = open_.filter(off < F.abs("missing")).groupBy("source").agg(F.min(F.struct(off.alias("off"), "order", "line", "move", "size")).alias("pick"))
-        pick = stage(pick.select("source", F.col("pick.line").alias("picked"), F.col("pick.move").alias("move"), (F.col("pick.size") * F.col("pick.move")).alias("more")), "picked")
+        open_ = _by_source(open_.select("source", "size", "file", "row", "order", moves), left, "missing").filter(off < F.abs("missing"))
+        pick = open_.groupBy("source").agg(F.min(F.struct(off.alias("off"), "order", "file", "row", "move", "size")).alias("pick"))
+        pick = stage(pick.select("source", "pick.file", "pick.row", "pick.move", (F.col("pick.size") * F.col("pick.move")).alias("more")), "picked")
         if pick.isEmpty():
             break
-        taken = taken.join(pick.select("picked", "move"), F.col("line") == F.col("picked"), "left").withColumn("copies", F.col("copies") + F.coalesce("move", F.lit(0))).drop("picked", "move")
+        settled = pick if settled is None else settled.unionByName(pick)
         left = stage(_by_source(left, pick, "more").select("source", (F.col("missing") - F.coalesce("more", F.lit(0))).alias("missing")), "missing")
-    return taken
+    if settled is None:
+        settled = rows.sparkSession.createDataFrame([], "source string, file string, row long, move int, more long")
+    return Mix(sources, stage(settled.select("file", "row", "move"), "settled"), entropy, share, cap, seed)
+
+
+def copies(rows: DataFrame, **how) -> DataFrame:
+    """From written rows (doc_id, source, size, file, row) to those with source_size, target and copies."""
+    return plan(rows, **how).copies(rows)
 
 
 def mixture(docs: DataFrame) -> DataFrame:

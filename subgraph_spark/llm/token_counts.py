@@ -59,7 +59,7 @@ def whole_tokens(library) -> set[str]:
 class TokenCounter:
     """``count(text)`` is ``len(library.encode(text, add_special_tokens=False).ids)``."""
 
-    def __init__(self, path: str, most: int = 500_000):
+    def __init__(self, path: str, most: int = 200_000):
         import regex
         from tokenizers import Tokenizer
 
