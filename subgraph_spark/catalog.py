@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from .functions import udf
 from .model import PatternGraph, TargetGraph
-from .operators import balance, baselines, domains, engines, measures, patterns, stats, steal_sim
+from .operators import balance, baselines, domains, engines, measures, patterns, stats, steal_sim, workloads
 from .operators.baselines import sql_join
 from .operators.dfs import Counters, Kernel, search_tree
 from .operators.patterns import CATALOG
@@ -581,6 +581,139 @@ def stream_delta_cycles(spark, sf):
     return found
 
 
+# --- experiments ---------------------------------------------------------------------------------------------------------
+
+
+def _instances(spark, sf, collection: str, edges=(4, 8, 16), densities=workloads.DENSITIES) -> list[workloads.Instance]:
+    return workloads.instances(collection, [written(spark, sf, n) for n in workloads.COLLECTIONS[collection]], edges, densities)
+
+
+DOMAIN_METHODS = ("dom", "dom_s", "dom_sf")
+
+
+@registered()
+def variants_dense_many_labels(spark, sf):
+    """Search space of the domain variants on the dense collection with many labels."""
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 8)), DOMAIN_METHODS, 3_000_000))
+
+
+@registered()
+def variants_denser_few_labels(spark, sf):
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "denser_few_labels", (4, 8)), DOMAIN_METHODS, 3_000_000))
+
+
+@registered()
+def variants_sparse(spark, sf):
+    """The sparse collection: the base method against the domain variants."""
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "sparse", (4, 8), ("sparse",)), ("ord", *DOMAIN_METHODS), 3_000_000))
+
+
+@registered()
+def unfinished_within_budget(spark, sf):
+    """Instances that a budget leaves unfinished, by variant: the counterpart of unsolved within a time limit."""
+    return workloads.unfinished(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 16), ("dense", "sparse")), ("ord", "dom_sf"), 300_000))
+
+
+@registered()
+def stealing_on_off(spark, sf):
+    return workloads.stealing_effect(spark, target(spark, sf, "supplier_echo"), C["P1"])
+
+
+@registered()
+def large_branches_four_targets(spark, sf):
+    """How wide the search trees of patterns from four targets are, by depth."""
+    out = None
+    for name, p in (("supplier_echo", C["P1"]), ("part_flow", C["P2"]), ("turn_chain", C["P6"]), ("commerce", C["P5"])):
+        tree = materialise(tree_of(spark, target(spark, sf, name), p, name), "tree")
+        one = measures.large_branches(tree, 0.05).select(F.lit(name).alias("target"), "depth", "branches")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@registered()
+def orders_and_state_space(spark, sf):
+    return workloads.order_ablation(spark, target(spark, sf, "supplier_echo"), C["P8"], 3_000_000)
+
+
+@registered()
+def collection_runs(spark, sf):
+    """A table of runs, without its clock columns: methods and workers agree on matches, and on pairs where they share the order."""
+    runs = workloads.run_collection(spark, _instances(spark, sf, "dense_many_labels", (4,), ("dense",)), ("ord", "dom_sf"), (1, 4), time_limit_s=60)
+    return runs.select("instance_id", "collection", "method", "workers", "group_size", "rep", "pairs", "matches", "timed_out")
+
+
+@registered()
+def partition_skew_cycle3(spark, sf):
+    """Pairs per Spark task: roots alone, and after a few rounds of dealing again."""
+    out = []
+    for name, how in (("roots", {"engine": "dfs"}), ("rounds", {"engine": "rounds", "budget": 20_000})):
+        ready = engines.prepare(written(spark, sf, "part_flow"), C["P1"])
+        engines.run(ready, count_only=True, **how)
+        row = measures.partition_skew(ready.stats["tagged"]).first()
+        out.append((name, row["pairs"], ready.stats["rounds"]))
+    return spark.createDataFrame(out, "deal string, pairs long, rounds int")
+
+
+# --- more operators ------------------------------------------------------------------------------------------------------
+
+
+@registered(_R + " SELECT v.vid, (SELECT max(dst) FROM e WHERE src = v.vid) AS last, (SELECT count(*) FROM e WHERE src = v.vid) AS n FROM v")
+def lateral_last_neighbour(spark, sf):
+    t = written(spark, sf, "supplier_echo")
+    t.vertices.createOrReplaceTempView("lat_v")
+    t.edges.createOrReplaceTempView("lat_e")
+    return spark.sql("SELECT vid, last, n FROM lat_v, LATERAL (SELECT max(dst) AS last, count(*) AS n FROM lat_e WHERE src = vid)")
+
+
+@registered(graph_sql("turn_chain").replace("WITH ", "WITH RECURSIVE ", 1) + ", r(root, vid, hops) AS (SELECT vid, vid, 0 FROM v WHERE vid NOT IN (SELECT dst FROM e) UNION ALL SELECT root, dst, hops + 1 FROM r JOIN e ON src = vid WHERE hops < 20) SELECT root, count(*) AS reached, CAST(max(hops) AS INTEGER) AS hops FROM r GROUP BY 1")
+def recursive_reach(spark, sf):
+    t = written(spark, sf, "turn_chain")
+    t.vertices.createOrReplaceTempView("rec_v")
+    t.edges.createOrReplaceTempView("rec_e")
+    return spark.sql("WITH RECURSIVE r(root, vid, hops) AS (SELECT vid, vid, 0 FROM rec_v WHERE vid NOT IN (SELECT dst FROM rec_e) UNION ALL SELECT root, dst, hops + 1 FROM r JOIN rec_e ON src = vid WHERE hops < 20) SELECT root, count(*) AS reached, max(hops) AS hops FROM r GROUP BY 1")
+
+
+@registered(graph_sql("part_flow") + _DEGREES + " SELECT vlabel, quantile_cont(indeg + outdeg, 0.5) AS median, CAST(max(vid) AS BIGINT) AS top, max_by(vid, (indeg + outdeg) * 1000000 - vid) AS hub, count(*) FILTER (indeg > outdeg) AS sinks FROM d GROUP BY 1 HAVING count(*) > 1")
+def degree_quantiles(spark, sf):
+    d = target(spark, sf, "part_flow").degrees().withColumn("deg", F.col("indeg") + F.col("outdeg"))
+    return d.groupBy("vlabel").agg(F.percentile("deg", 0.5).alias("median"), F.max("vid").alias("top"), F.max_by("vid", F.col("deg") * 1000000 - F.col("vid")).alias("hub"), F.count_if(F.col("indeg") > F.col("outdeg")).alias("sinks"), F.count("*").alias("c")).filter("c > 1").drop("c")
+
+
+@registered(_R + " SELECT src, dst FROM e WHERE src BETWEEN 2 AND 60 AND dst IN (1, 2, 3, 4, 5) AND elabel LIKE '0%' ORDER BY src, dst LIMIT 10 OFFSET 2")
+def filtered_edges(spark, sf):
+    e = target(spark, sf, "supplier_echo").edges
+    return e.filter(F.col("src").between(2, 60) & F.col("dst").isin(1, 2, 3, 4, 5) & F.col("elabel").like("0%")).orderBy("src", "dst").offset(2).limit(10).select("src", "dst")
+
+
+@registered("SELECT user_id, event_type, count(*) AS n FROM (SELECT DISTINCT user_id, event_type, CAST(floor(epoch(ts) / 86400) AS BIGINT) AS day FROM events) q GROUP BY 1, 2")
+def stream_distinct_days(spark, sf):
+    """Stateful deduplication: a user's kind of event counts once a day."""
+    days = _stream(spark, sf).withWatermark("ts", "10 minutes").withColumn("day", F.floor(F.unix_seconds("ts") / 86400)).dropDuplicates(["user_id", "event_type", "day"])
+    return streaming.drained(days.select("user_id", "event_type", "day"), "days", "append").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+
+
+@registered("SELECT user_id, count(*) AS n, count(DISTINCT event_type) AS kinds FROM events GROUP BY 1")
+def stream_user_state(spark, sf):
+    """Arbitrary state per user, kept by a Python function over Arrow batches."""
+    return streaming.drained(streaming.user_state(_stream(spark, sf)), "users", "update").groupBy("user_id").agg(F.max("n").alias("n"), F.max("kinds").alias("kinds"))
+
+
+@registered("SELECT count(*) - 1 AS kept FROM events")
+def stream_late_drop(spark, sf):
+    """A row from before the watermark, in a later file, is dropped."""
+    return streaming.late_drop(spark, tables.read(spark, sf, "events"))
+
+
+@registered("SELECT 'random' AS target, 200 AS vertices, true AS enough")
+def random_target(spark, sf):
+    """A random graph made from ranges of numbers, seeded."""
+    n = 200
+    v = spark.range(n).select(F.col("id").alias("vid"), F.concat(F.lit("L"), F.pmod(F.xxhash64("id"), F.lit(4))).alias("vlabel"))
+    e = spark.range(n * 10).select(F.pmod(F.xxhash64("id", F.lit(1)), F.lit(n)).alias("src"), F.pmod(F.xxhash64("id", F.lit(2)), F.lit(n)).alias("dst"), F.lit(None).cast("string").alias("elabel"))
+    t = TargetGraph.of(v, e, name="random")
+    return t.vertices.agg(F.lit("random").alias("target"), F.count("*").cast("int").alias("vertices")).crossJoin(t.edges.agg((F.count("*") > 1800).alias("enough")))
+
+
 @functools.cache
 def names() -> tuple[str, ...]:
     return tuple(QUERIES)

@@ -175,8 +175,10 @@ class TargetGraph:
         return cls(vertices, edges, simple, name)
 
     def written(self) -> TargetGraph:
-        """The same target from written tables, for several searches."""
-        return TargetGraph(materialise(self.vertices, "vertices"), materialise(self.edges, "edges"), self.simple, self.name)
+        """The same target from written tables, degrees included, for several searches."""
+        new = TargetGraph(materialise(self.vertices, "vertices"), materialise(self.edges, "edges"), self.simple, self.name)
+        new._degrees = materialise(new.degrees(), "degrees")
+        return new
 
     def pairs(self) -> DataFrame:
         """(src, dst), each once."""
@@ -185,6 +187,8 @@ class TargetGraph:
 
     def degrees(self) -> DataFrame:
         """(vid, vlabel, indeg, outdeg), neighbours counted once per direction."""
+        if self._degrees is not None:
+            return self._degrees
         pairs = self.pairs()
         out = pairs.groupBy(F.col("src").alias("vid")).agg(F.count("*").cast("int").alias("outdeg"))
         into = pairs.groupBy(F.col("dst").alias("vid")).agg(F.count("*").cast("int").alias("indeg"))

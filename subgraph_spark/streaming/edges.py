@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame
@@ -41,6 +42,49 @@ def two_steps(events: DataFrame, seconds: int, late: str = "10 minutes") -> Data
     return a.join(b, F.expr(f"elabel = kind AND src <> dst AND then > at AND then <= at + interval {seconds} seconds")).select("src", "dst", "elabel")
 
 
+def user_state(events: DataFrame) -> DataFrame:
+    """Per user: rows so far and kinds of event so far, in state that a Python function keeps."""
+    import pandas as pd
+
+    def update(key, parts, state):
+        n, kinds = state.get if state.exists else (0, "")
+        kinds = set(filter(None, kinds.split(",")))
+        for part in parts:
+            n, kinds = n + len(part), kinds | set(part.event_type)
+        state.update((n, ",".join(sorted(kinds))))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "kinds": [len(kinds)]})
+
+    return events.select("user_id", "event_type").groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, kinds long", "n long, kinds string", "update", "NoTimeout")
+
+
+def late_drop(spark, events: DataFrame, lateness: str = "10 minutes") -> DataFrame:
+    """Play the events in two files: all but the first, then that first one, long after the watermark has passed it.
+
+    Returns one row, ``kept``: the rows that windows counted.
+    """
+    from ..session import shared_folder
+
+    folder = f"{shared_folder(spark).rstrip('/')}/late-{uuid.uuid4().hex}"
+    first = F.min(F.struct("ts", "event_id"))
+    oldest = events.agg(first.alias("f")).select("f.ts", "f.event_id")
+    late = events.join(oldest, ["ts", "event_id"], "left_semi")
+    events.join(oldest, ["ts", "event_id"], "left_anti").coalesce(1).write.parquet(f"{folder}/in", mode="append")
+    stream = events_stream(spark, f"{folder}/in", events.schema)
+    counts = stream.withWatermark("ts", lateness).groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n")).select("w.start", "n")
+
+    def play() -> None:
+        counts.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/ck").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+
+    play()
+    late.coalesce(1).write.parquet(f"{folder}/in", mode="append")
+    # Two rows beyond all others push the watermark on, so that every window before is handed out.
+    for days in (30, 60):
+        events.agg((F.max(F.col("ts").cast("timestamp")) + F.expr(f"interval {days} days")).alias("ts")).select(*[F.col("ts").cast(x.dataType).alias("ts") if x.name == "ts" else F.lit(None).cast(x.dataType).alias(x.name) for x in events.schema]).coalesce(1).write.parquet(f"{folder}/in", mode="append")
+        play()
+    last = events.agg(F.max(F.col("ts").cast("timestamp")).alias("last"))
+    return spark.read.parquet(f"{folder}/out").crossJoin(last).filter("start <= last").agg(F.sum("n").alias("kept"))
+
+
 def delta_matches(vertices: DataFrame, old: DataFrame, new: DataFrame, pattern: PatternGraph) -> DataFrame:
     """Matches that need a new edge, each once: for pattern edge i, edges before it are old ones, it is new, and those after it are any.
 
