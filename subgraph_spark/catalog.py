@@ -594,24 +594,24 @@ DOMAIN_METHODS = ("dom", "dom_s", "dom_sf")
 @registered()
 def variants_dense_many_labels(spark, sf):
     """Search space of the domain variants on the dense collection with many labels."""
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 8)), DOMAIN_METHODS, 3_000_000))
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 8), ("dense", "sparse")), DOMAIN_METHODS, 1_000_000))
 
 
 @registered()
 def variants_denser_few_labels(spark, sf):
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "denser_few_labels", (4, 8)), DOMAIN_METHODS, 3_000_000))
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "denser_few_labels", (4, 8), ("dense", "sparse")), DOMAIN_METHODS, 1_000_000))
 
 
 @registered()
 def variants_sparse(spark, sf):
     """The sparse collection: the base method against the domain variants."""
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "sparse", (4, 8), ("sparse",)), ("ord", *DOMAIN_METHODS), 3_000_000))
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "sparse", (4,), ("dense", "sparse")), ("ord", *DOMAIN_METHODS), 20_000_000))
 
 
 @registered()
 def unfinished_within_budget(spark, sf):
     """Instances that a budget leaves unfinished, by variant: the counterpart of unsolved within a time limit."""
-    return workloads.unfinished(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 16), ("dense", "sparse")), ("ord", "dom_sf"), 300_000))
+    return workloads.unfinished(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 16), ("dense",)), ("ord", "dom_sf"), 300_000))
 
 
 @registered()
