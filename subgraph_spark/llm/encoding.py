@@ -42,7 +42,7 @@ class ChunkEncoder:
     ``encode(texts)`` yields, per text, the ids as packed little-endian unsigned integers of ``width`` bytes.
     """
 
-    def __init__(self, path: str, keeps_space: bool, most: int = 400_000):
+    def __init__(self, path: str, keeps_space: bool, most: int = 300_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
@@ -84,9 +84,9 @@ class ChunkEncoder:
     def _learn_heads(self, units: set[str]) -> dict[str, bytes]:
         """What is known of ``units``, which follow no space, completed; long ones are only returned."""
         missing = units.difference(self._heads)
-        again = missing.intersection(self._old_heads)
-        self._heads.update((x, self._old_heads[x]) for x in again)
-        missing = list(missing - again)
+        again = {x: self._old_heads[x] for x in missing if x in self._old_heads}
+        self._heads.update(again)
+        missing = [x for x in missing if x not in again]
         found = self._packed_many(missing, "") if missing else {}
         long = {k: found.pop(k) for k in missing if len(k) > _LONGEST}
         self._heads.update(found)
@@ -95,9 +95,9 @@ class ChunkEncoder:
     def _learn(self, chunks: set[str]) -> dict[str, bytes]:
         """What is known of ``chunks`` completed, from their units where these are plain; long ones are only returned."""
         missing = chunks.difference(self._chunks)
-        again = missing.intersection(self._old_chunks)
-        self._chunks.update((x, self._old_chunks[x]) for x in again)
-        missing = list(missing - again)
+        again = {x: self._old_chunks[x] for x in missing if x in self._old_chunks}
+        self._chunks.update(again)
+        missing = [x for x in missing if x not in again]
         if not missing:
             return {}
         units = {x: _UNITS.findall(x) for x in missing if _PLAIN.fullmatch(x)}

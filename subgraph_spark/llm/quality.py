@@ -30,7 +30,7 @@ from .common import stage, whole_text
 _FAMILIES = 6
 _MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63, 0xD6E8FEB86659FD93], np.uint64)
 #: Words that are remembered, and words that are looked at together.
-_MOST, _PIECE = 100_000, 1 << 16
+_MOST, _PIECE = 60_000, 1 << 16
 
 
 def _shape(word: str) -> tuple[str, str]:
