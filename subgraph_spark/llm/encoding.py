@@ -42,7 +42,7 @@ class ChunkEncoder:
     ``encode(texts)`` yields, per text, the ids as packed little-endian unsigned integers of ``width`` bytes.
     """
 
-    def __init__(self, path: str, keeps_space: bool, most: int = 300_000):
+    def __init__(self, path: str, keeps_space: bool, most: int = 800_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
@@ -63,16 +63,15 @@ class ChunkEncoder:
     def _packed_many(self, chunks: list[str], lead: str) -> dict[str, bytes]:
         """Chunks are encoded many at a time: a mark between them, which is one token of its own and occurs in none of them, parts the ids again."""
         mark, between = ("\n", "\n") if self._keeps_space else ("0", " 0 ")
-        plain = [x for x in chunks if x and mark not in x and not x[-1].isspace()]
+        plain = [x for x in chunks if x and mark not in x and not x[0].isspace() and not x[-1].isspace()]
         found: dict[str, bytes] = {}
         if plain:
             (mark_id,) = self.library.encode(mark, add_special_tokens=False).ids
             ids = array(self._code, self.library.encode_batch_fast([between.join([lead + x for x in plain] if lead else plain)], add_special_tokens=False)[0].ids)
             cuts = np.flatnonzero(np.frombuffer(ids, np.dtype(self._code)) == mark_id).tolist()
-            if len(cuts) != len(plain) - 1:
-                raise AssertionError("the mark between chunks isn't a token of its own")
             packed, width = ids.tobytes(), self.width
-            found = {x: packed[a * width + width : b * width] for x, a, b in zip(plain, [-1, *cuts], [*cuts, len(ids)], strict=True)}
+            if len(cuts) == len(plain) - 1:  # else they are encoded one by one
+                found = {x: packed[a * width + width : b * width] for x, a, b in zip(plain, [-1, *cuts], [*cuts, len(ids)], strict=True)}
         rest = [x for x in chunks if x not in found]
         return found | dict(zip(rest, self._packed([lead + x for x in rest]), strict=True))
 
@@ -93,7 +92,7 @@ class ChunkEncoder:
         return long
 
     def _learn(self, chunks: set[str]) -> dict[str, bytes]:
-        """What is known of ``chunks`` completed, from their units where these are plain; long ones are only returned."""
+        """What is known of ``chunks`` completed, from their units where these are plain; long and broken ones are only returned."""
         missing = chunks.difference(self._chunks)
         again = {x: self._old_chunks[x] for x in missing if x in self._old_chunks}
         self._chunks.update(again)
@@ -110,7 +109,8 @@ class ChunkEncoder:
         head_of = lambda x: long_heads[x] if x in long_heads else self._heads[x]
         for x, (first, *rest) in made.items():
             found[x] = first_of(first) + b"".join(map(head_of, rest))
-        long = {k: found.pop(k) for k in [k for k in found if len(k) > _LONGEST]}
+        # Two words around a line's end hardly ever come again.
+        long = {k: found.pop(k) for k in [k for k in found if len(k) > _LONGEST or "\n" in k]}
         self._chunks.update(found)
         return long
 

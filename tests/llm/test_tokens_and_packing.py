@@ -22,8 +22,8 @@ def library(path):
     return Tokenizer.from_file(path)
 
 
-@settings(max_examples=400, deadline=None)
-@given(st.lists(ODD, max_size=4))
+@settings(max_examples=1500, deadline=None)
+@given(st.lists(ODD, max_size=6))
 def test_encoders_equal_the_library(texts):
     for path, keeps in ((BYTE, True), (WORD, False)):
         encoder = encoder_for(path, keeps)
@@ -38,6 +38,12 @@ def test_counts_equal_the_library(text):
     assert counter.count(text) == len(counter.library.encode(text, add_special_tokens=False).ids)
 
 
+def test_chunks_that_begin_with_white_space():
+    texts = ["\x85z", "\xa0b a", "a", "\x0bB\n", "x \x85y \xa0z", "a\nb. \x85"]
+    encoder = ChunkEncoder(BYTE, True)
+    assert [np.frombuffer(x, "<u2").tolist() for x in encoder.encode(texts)] == [x.ids for x in encoder.library.encode_batch(texts, add_special_tokens=False)]
+
+
 def test_long_texts_and_small_stores(monkeypatch):
     from subgraph_spark.llm import encoding
 
