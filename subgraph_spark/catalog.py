@@ -584,8 +584,8 @@ def stream_delta_cycles(spark, sf):
 # --- experiments ---------------------------------------------------------------------------------------------------------
 
 
-def _instances(spark, sf, collection: str, edges=(4, 8, 16), densities=workloads.DENSITIES) -> list[workloads.Instance]:
-    return workloads.instances(collection, [written(spark, sf, n) for n in workloads.COLLECTIONS[collection]], edges, densities)
+def _instances(spark, sf, collection: str, edges=(4, 8, 16), densities=workloads.DENSITIES, seeds=(1,)) -> list[workloads.Instance]:
+    return workloads.instances(collection, [written(spark, sf, n) for n in workloads.COLLECTIONS[collection]], edges, densities, seeds)
 
 
 DOMAIN_METHODS = ("dom", "dom_s", "dom_sf")
@@ -605,7 +605,7 @@ def variants_denser_few_labels(spark, sf):
 @registered()
 def variants_sparse(spark, sf):
     """The sparse collection: the base method against the domain variants."""
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "sparse", (4,), ("dense", "sparse")), ("ord", *DOMAIN_METHODS), 20_000_000))
+    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "sparse", (3, 4), ("sparse",), (1, 2, 3, 4)), ("ord", *DOMAIN_METHODS), 2_000_000))
 
 
 @registered()
