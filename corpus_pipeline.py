@@ -14,6 +14,8 @@ from subgraph_spark.llm.simhash import near_duplicates
 
 #: A document whose score is below this goes.
 QUALITY = 0.3
+#: Chunks of text that a worker remembers: fewer than by default, since all stages' work shares its memory.
+REMEMBERED = 250_000
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,7 +50,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of documents in sequences of 2048 tokens."""
-    return pack_documents(docs, tokenizer_path("word_bpe_49k.json"), 0, 2048)
+    return pack_documents(docs, tokenizer_path("word_bpe_49k.json"), 0, 2048, REMEMBERED)
 
 
 STAGES = [("quality classifier", quality), ("exact dedup", exact), ("simhash near-dedup", near), ("mixing", mix), ("best-fit packing", pack)]

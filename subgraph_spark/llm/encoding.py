@@ -29,6 +29,8 @@ _PLAIN = re.compile(f"[{_LETTERS}]+[{_SIGNS}]*(?:\\n[{_LETTERS}]+[{_SIGNS}]*)*")
 _UNITS = re.compile(f"[{_LETTERS}]+|[{_SIGNS}]+|\\n")
 #: Chunks longer than this aren't remembered.
 _LONGEST = 64
+#: Chunks that a worker remembers; about 200 bytes each.
+MOST = 800_000
 #: Texts are walked in pieces of about this many characters.
 _PIECE = 1 << 20
 #: Chunks of so many characters are looked up at a time.
@@ -42,7 +44,7 @@ class ChunkEncoder:
     ``encode(texts)`` yields, per text, the ids as packed little-endian unsigned integers of ``width`` bytes.
     """
 
-    def __init__(self, path: str, keeps_space: bool, most: int = 800_000):
+    def __init__(self, path: str, keeps_space: bool, most: int = MOST):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
@@ -179,6 +181,6 @@ class ChunkEncoder:
 
 
 @functools.lru_cache(maxsize=4)
-def encoder_for(path: str, keeps_space: bool) -> ChunkEncoder:
+def encoder_for(path: str, keeps_space: bool, most: int = MOST) -> ChunkEncoder:
     """A worker's encoder: later tasks of the same worker find its chunks known."""
-    return ChunkEncoder(path, keeps_space)
+    return ChunkEncoder(path, keeps_space, most)

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import stage, whole_text
-from .encoding import encoder_for
+from .encoding import MOST, encoder_for
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 _MEMBER = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("piece", "<i4"), ("start", "<i8"), ("length", "<i4"), ("crc", "<u4"), ("offset", "<i4")])
@@ -57,13 +57,13 @@ def best_fit(lengths: np.ndarray, capacity: int) -> list[list[int]]:
     return bins
 
 
-def cut_documents(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, keeps_space: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def cut_documents(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, keeps_space: bool = False, id_col: str = "doc_id", text_col: str = "text", most: int = MOST) -> DataFrame:
     """Rows ``PIECES``: encoded, ended and cut. Texts don't move; only these short rows go on."""
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = None
         for batch in batches:
-            encoder = encoder or encoder_for(tokenizer, keeps_space)
+            encoder = encoder or encoder_for(tokenizer, keeps_space, most)
             end, rows = np.array([end_id], "<u4").tobytes(), []
             for doc, packed in zip(batch.column(0).to_pylist(), encoder.encode(x.as_py() for x in batch.column(1)), strict=True):
                 ids = memoryview(np.frombuffer(packed, f"<u{encoder.width}").astype("<u4").tobytes() + end)
@@ -182,6 +182,6 @@ def pack_pieces(pieces: DataFrame, capacity: int, nearly_full: float = 0.995, sa
     return first
 
 
-def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: int = 2048) -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: int = 2048, most: int = MOST) -> DataFrame:
     """Rows (doc_id, piece, start, length, ids_crc32, sequence_id, offset) for all of ``docs``."""
-    return pack_pieces(stage(cut_documents(docs, tokenizer, end_id, capacity), "pieces"), capacity)
+    return pack_pieces(stage(cut_documents(docs, tokenizer, end_id, capacity, most=most), "pieces"), capacity)

@@ -58,6 +58,10 @@ class Features:
         both = np.array([known[x] for x in words], np.uint64).reshape(-1, 2)
         return both[:, 0], both[:, 1]
 
+    def forget(self) -> None:
+        """Give the memory back: other work may follow in this worker."""
+        self._words.clear()
+
     def places(self, text: str) -> Iterator[list[np.ndarray]]:
         """Per piece of the text: for each family, the places of its n-grams."""
         words = text.split()
@@ -160,11 +164,12 @@ def score(docs: DataFrame, weights: np.ndarray, scale: float = 8.0, id_col: str
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # 2**bits floats
 
     def scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        made = features_for(bits)
+        made = Features(bits)
         for batch in batches:
             sums = [scale * made.dot(x.as_py(), shared.value) + shared.value[-1] for x in batch.column(batch.num_columns - 1)]
             found = pa.array(1 / (1 + np.exp(-np.clip(np.array(sums, np.float64), -35, 35))))
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], found], names=[*batch.schema.names[:-1], "__own_score"])
+        made.forget()
 
     kept = docs.select(*([F.col(id_col).cast("long").alias("doc_id")] if keep is None else [F.col(f"`{x}`") for x in keep]), whole_text(text_col).alias("__own_text"))
     schema = kept.drop("__own_text").withColumn("__own_score", F.lit(0.0)).schema
