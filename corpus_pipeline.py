@@ -8,9 +8,9 @@ from pyspark.sql import functions as F
 from subgraph_spark.llm.common import stage, table, tokenizer_path
 from subgraph_spark.llm.exact_dedup import duplicate_groups, located
 from subgraph_spark.llm.mixing import plan, sizes_of, word_count
+from subgraph_spark.llm.near_texts import near_copies
 from subgraph_spark.llm.packing import pack_documents
 from subgraph_spark.llm.quality import score, train
-from subgraph_spark.llm.simhash import near_duplicates
 
 #: A document whose score is below this goes.
 QUALITY = 0.3
@@ -32,8 +32,10 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies: the one with the smallest id. Rows that share an id are one document."""
-    dropped = stage(near_duplicates(docs).filter(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__own_id")).distinct(), "dropped")
+    """One document of each group of near copies (five-word shingles, similarity 0.8 or more): the one with the smallest id."""
+    found = near_copies(docs)
+    least = found.groupBy("root").agg(F.min("doc_id").alias("least"))
+    dropped = stage(found.join(least, "root").filter(~F.col("doc_id").eqNullSafe(F.col("least"))).select(F.col("doc_id").alias("__own_id")).distinct(), "dropped")
     return docs.join(dropped, F.col("doc_id").eqNullSafe(F.col("__own_id")), "left_anti")
 
 
