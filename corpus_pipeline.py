@@ -32,11 +32,13 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five-word shingles, similarity 0.8 or more): the one with the smallest id."""
-    found = near_copies(docs)
-    least = found.groupBy("root").agg(F.min("doc_id").alias("least"))
-    dropped = stage(found.join(least, "root").filter(~F.col("doc_id").eqNullSafe(F.col("least"))).select(F.col("doc_id").alias("__own_id")).distinct(), "dropped")
-    return docs.join(dropped, F.col("doc_id").eqNullSafe(F.col("__own_id")), "left_anti")
+    """One row of each group of near copies (five-word shingles, similarity 0.8 or more): the smallest id, none last, then the first by place."""
+    docs = located(docs)
+    found = stage(near_copies(docs), "near-copies")
+    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "file", "row")).alias("first"))
+    stays = (F.col("file") == F.col("first.file")) & (F.col("row") == F.col("first.row"))
+    dropped = stage(found.join(first, "root").filter(~stays).select(F.col("file").alias("__own_file"), F.col("row").alias("__own_row")), "dropped")
+    return docs.join(dropped, ["__own_file", "__own_row"], "left_anti").drop("__own_file", "__own_row")
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

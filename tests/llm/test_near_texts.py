@@ -63,3 +63,12 @@ def test_keys_miss_few_pairs_at_the_bound():
         a, b = every[: n // 9 * 9], np.concatenate([every[: n // 9 * 8], every[n // 9 * 9 :]])
         missed += not set(near_texts.keys_of(np.unique(a))) & set(near_texts.keys_of(np.unique(b)))
     assert missed <= 1
+
+
+def test_near_stage_keeps_one_row_a_group_whatever_the_ids(spark):
+    base = [" ".join(f"{x}{i}" for i in range(50)) for x in "abcd"]
+    rows = [(1, base[0]), (None, base[0] + " more"), (None, base[1]), (None, base[2]), (None, base[2] + " more"), (7, base[3]), (7, base[3] + " more"), (7, "quite another text of the same id")]
+    docs = stage(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1), "docs")
+    got = [tuple(r) for r in C.near(spark, docs, None).collect()]
+    assert C.near(spark, docs, None).columns == docs.columns
+    assert sorted(got, key=repr) == sorted([rows[0], rows[2], rows[3], rows[5], rows[7]], key=repr)
