@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from subgraph_spark.llm.common import stage, table, tokenizer_path
 from subgraph_spark.llm.exact_dedup import duplicate_groups, located
-from subgraph_spark.llm.mixing import plan, sizes_of, word_count
+from subgraph_spark.llm.mixing import line_of, plan, sizes_of, word_count
 from subgraph_spark.llm.near_texts import near_copies
 from subgraph_spark.llm.packing import pack_documents
 from subgraph_spark.llm.quality import score, train
@@ -46,7 +46,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     own = docs.columns
     docs = located(docs)
     mix = plan(sizes_of(docs))
-    rows = docs.select(F.struct(*[F.col(f"`{x}`") for x in own]).alias("__own_doc"), "doc_id", F.col("source").cast("string").alias("source"), word_count().alias("size"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
+    rows = docs.select(F.struct(*[F.col(f"`{x}`") for x in own]).alias("__own_doc"), "doc_id", F.col("source").cast("string").alias("source"), word_count().alias("size"), line_of().alias("line"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
     times = F.when(F.col("size") == 0, F.lit(1)).otherwise(F.col("copies").cast("int"))
     rows = mix.copies(rows).select("__own_doc", times.alias("__own_copies")).filter("__own_copies > 0")
     return rows.select("__own_doc", F.explode(F.sequence(F.lit(1), F.col("__own_copies"))).alias("__own_copy")).select("__own_doc.*")

@@ -10,9 +10,12 @@ With ``entropy="words"`` every word counts the same, and a source's documents sh
 ``"documents"`` every document does, and the tilt goes with the size.
 
 Rounding. Every document is taken as often as its rate's whole part. The words that a source still lacks come from documents in
-the order of hash / remaining part, a draw in which a document's chance goes with its remaining part: cumulated over buckets of
-that order first, and over rows only in the bucket where the sum is reached. That gives each source a place in the order up to
-which its documents are taken. A few documents whose sizes come closest to what then is missing settle the rest.
+the order of hash / remaining part, a draw in which a document's chance goes with its remaining part. A document that would pass
+what is missing is skipped, and the draw goes on down the order until no document that is left fits. A pass cumulates over buckets of
+the order first, and over rows only in the bucket where the sum is reached: it ends at a document larger than what then is missing. As
+only documents of that size or less go on, every pass leaves less, and the passes that a source has seen decide on each
+of its documents. A few documents whose sizes come closest to what then is missing settle the rest. Documents are told apart by a hash
+of what they hold, and equal ones by their place.
 
 Defined cases: a null text has size 0, and is taken 0 words; a null source is one source, last in order; null and repeated ids
 are kept, one row per row; an empty table gives no rows; other columns are ignored. Sources of no words have target 0.
@@ -35,9 +38,14 @@ def word_count(text_col: str = "text") -> Column:
     return F.regexp_count(whole_text(text_col), F.lit(WORD)).cast("long")
 
 
+def line_of(id_col: str = "doc_id", text_col: str = "text") -> Column:
+    """What tells documents apart in the draw, wherever they lie."""
+    return F.xxhash64(F.col(id_col).cast("long"), whole_text(text_col))
+
+
 def sizes_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """Written rows (doc_id, source, size, file, row); file and row are the place of the document."""
-    rows = located(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
+    """Written rows (doc_id, source, size, line, file, row); line is a hash of the document, file and row are its place."""
+    rows = located(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size"), line_of(id_col, text_col).alias("line"), F.col("__own_file").alias("file"), F.col("__own_row").alias("row"))
     return stage(rows, "sizes")
 
 
@@ -104,7 +112,7 @@ def _by_source(rows: DataFrame, small: DataFrame, *columns: str) -> DataFrame:
 def drawing(line: Column, cap: int, seed: int) -> tuple[Column, Column]:
     """(whole, order) of a document from its row: copies that it has anyway, and its place in the draw for one more (null: none).
 
-    ``line`` is what tells documents apart; the row has size and rate.
+    ``line`` is what tells documents apart; the row has size and rate. Equal places are told apart by file and row.
     """
     whole = F.floor(F.col("rate") + 1e-9)
     part = F.col("rate") - whole
@@ -112,10 +120,25 @@ def drawing(line: Column, cap: int, seed: int) -> tuple[Column, Column]:
     return whole, F.when((part > 1e-9) & (whole < cap) & (F.col("size") > 0), draw / part)
 
 
+def _bucket(order: Column) -> Column:
+    """Buckets of the order: even ones up to 2, then ever wider ones, as few documents of a small remaining part come early."""
+    return F.when(order < 2, F.floor(order * _BUCKETS)).otherwise(2 * _BUCKETS + F.floor((F.log2(order) - 1) * (_BUCKETS // 16)))
+
+
+def _taken(passes: str = "passes") -> Column:
+    """Whether the draw takes a row (order, file, row, size): a pass has it between its ends, and it fitted when the pass began."""
+    at = F.struct("order", "file", "row")
+
+    def within(x: Column) -> Column:
+        return (F.col("size") <= x["fits"]) & (x["after"].isNull() | (at > x["after"])) & (x["upto"].isNull() | (at <= x["upto"]))
+
+    return F.col("order").isNotNull() & F.coalesce(F.exists(F.col(passes), within), F.lit(False))
+
+
 class Mix:
     """What decides how often each document is taken: a row per source, and a few documents that settle its sum.
 
-    ``sources``: source, source_size, target, mean, lam, cut; ``settled``: line, move. Both are written. With them, copies follow from
+    ``sources``: source, source_size, target, mean, lam, passes; ``settled``: file, row, move. Both are written. With them, copies follow from
     a document's own row, so that no text moves.
     """
 
@@ -123,17 +146,57 @@ class Mix:
         self.sources, self.settled, self.entropy, self.share, self.cap, self.seed = sources, settled, entropy, share, cap, seed
 
     def copies(self, rows: DataFrame) -> DataFrame:
-        """``rows`` (with source, size, doc_id, file, row) and source_size, target, copies."""
-        rows = _by_source(rows, self.sources, "source_size", "target", "mean", "lam", "cut").withColumn("rate", rate_of(self.entropy, self.share, self.cap))
-        whole, order = drawing(F.col("doc_id"), self.cap, self.seed)
-        drawn = rows.withColumn("copies", whole + F.coalesce(order <= F.col("cut"), F.lit(False)).cast("long"))
+        """``rows`` (with source, size, line, file, row) and source_size, target, copies."""
+        rows = _by_source(rows, self.sources, "source_size", "target", "mean", "lam", "passes").withColumn("rate", rate_of(self.entropy, self.share, self.cap))
+        whole, order = drawing(F.col("line"), self.cap, self.seed)
+        drawn = rows.withColumn("order", order).withColumn("copies", whole + _taken().cast("long"))
         moves = self.settled.select(F.col("file").alias("__own_of_file"), F.col("row").alias("__own_of_row"), "move")
         drawn = drawn.join(moves, (F.col("file") == F.col("__own_of_file")) & (F.col("row") == F.col("__own_of_row")), "left")
-        return drawn.withColumn("copies", F.col("copies") + F.coalesce("move", F.lit(0))).drop("__own_of_file", "__own_of_row", "move", "rate", "mean", "lam", "cut")
+        return drawn.withColumn("copies", F.col("copies") + F.coalesce("move", F.lit(0))).drop("__own_of_file", "__own_of_row", "move", "rate", "mean", "lam", "passes", "order")
+
+
+def _passes(drawn: DataFrame, lacks: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(source, missing) and (source, passes) of the draw from written rows (source, size, file, row, order, bucket) and (source, lacks).
+
+    A pass is a struct (after, upto, fits): from the rows after ``after`` of ``fits`` words or less, those up to ``upto`` are taken, as their
+    sum is no more than ``fits``. The row behind ``upto`` is the one that doesn't fit.
+    """
+    at = F.struct("order", "file", "row")
+    place = "struct<order:double,file:string,row:bigint>"
+    start = lacks.select("source", F.col("lacks").cast("double").alias("missing"), F.lit(None).cast(place).alias("upto"), F.lit(True).alias("open"))
+    now = stage(start.withColumn("passes", F.array().cast(f"array<struct<after:{place},upto:{place},fits:double>>")), "passes")
+    run = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    inner = Window.partitionBy("source").orderBy("order", "file", "row").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    while not now.filter("open").isEmpty():
+        fits = _by_source(drawn, now.filter("open"), "missing", "upto").filter(F.col("missing").isNotNull() & (F.col("size") <= F.col("missing")) & (F.col("upto").isNull() | (at > F.col("upto"))))
+        # The bucket in which a source's sum would pass what is missing, and the sum before it.
+        buckets = fits.groupBy("source", "bucket").agg(F.sum("size").alias("words"), F.first("missing").alias("missing"))
+        buckets = stage(buckets.withColumn("sum", F.sum("words").over(run)), "buckets")
+        past = F.col("sum") > F.col("missing")
+        reached = buckets.groupBy("source").agg(F.min(F.when(past, F.col("bucket"))).alias("border"), F.coalesce(F.max(F.when(~past, F.col("sum"))), F.lit(0)).alias("before"))
+        reached = stage(reached, "reached")
+        # Inside it, row by row; without such a bucket all that fits is taken, and the source is done.
+        border = _by_source(fits, reached.filter("border is not null"), "border", "before").filter("bucket = border")
+        border = border.withColumn("sum", F.col("before") + F.sum("size").over(inner)).withColumn("in", F.col("sum") <= F.col("missing"))
+        border = border.groupBy("source").agg(F.max(F.when(F.col("in"), F.col("sum"))).alias("sum"), F.max(F.when(F.col("in"), at)).alias("last"), F.min(F.when(~F.col("in"), at)).alias("next"))
+        met = _by_source(_by_source(now, reached.withColumn("any", F.lit(True)), "border", "before", "any"), border, "sum", "last", "next")
+        more = F.coalesce("any", F.lit(False))
+        words = F.when(more, F.coalesce("sum", "before")).otherwise(F.lit(0))
+        # Without a row of the bucket, the pass ends just before the row that doesn't fit.
+        this = F.struct(F.col("upto").alias("after"), F.when(F.col("border").isNotNull(), F.coalesce("last", F.struct(F.col("next.order").alias("order"), F.lit("").alias("file"), F.lit(-1).cast("long").alias("row")))).alias("upto"), F.col("missing").alias("fits"))
+        now = met.select(
+            "source",
+            (F.col("missing") - words).alias("missing"),
+            F.when(more & F.col("border").isNotNull(), F.col("next")).otherwise(F.col("upto")).alias("upto"),
+            (more & F.col("border").isNotNull()).alias("open"),
+            F.when(more, F.concat("passes", F.array(this))).otherwise(F.col("passes")).alias("passes"),
+        )
+        now = stage(now, "passes")
+    return now.select("source", "missing"), now.select("source", "passes")
 
 
 def plan(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "words", seed: int = 11, settle: int = 4) -> Mix:
-    """Solve for ``rows`` (doc_id, source, size, file, row), which must be written."""
+    """Solve for ``rows`` (source, size, line, file, row), which must be written."""
     counts = stage(rows.groupBy("source", "size").agg(F.count("*").alias("n")), "size-counts")
     wanted = stage(targets(counts.groupBy("source").agg(F.sum(F.col("n") * F.col("size")).alias("source_size")), share, cap, weights), "targets")
     tilted = balance(counts, wanted, share, cap, entropy)
@@ -142,29 +205,15 @@ def plan(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int,
     whole = F.floor(rate_of(entropy, share, cap) + 1e-9)
     lacks = _by_source(counts, tilted, *known).groupBy("source").agg((F.first("target") - F.sum(F.col("n") * F.col("size") * whole)).alias("lacks"))
     drawn = _by_source(rows, tilted, *known).withColumn("rate", rate_of(entropy, share, cap))
-    whole, order = drawing(F.col("doc_id"), cap, seed)
+    whole, order = drawing(F.col("line"), cap, seed)
     drawn = drawn.select("source", "size", "file", "row", whole.alias("whole"), order.alias("order")).filter("order is not null")
-    drawn = stage(drawn.withColumn("bucket", F.least(F.floor(F.col("order") * _BUCKETS), F.lit(2 * _BUCKETS))), "drawn")
+    drawn = stage(drawn.withColumn("bucket", _bucket(F.col("order"))), "drawn")
 
-    # The bucket in which a source's sum is reached, and what is missing before it.
-    buckets = drawn.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
-    run = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    buckets = stage(_by_source(buckets.withColumn("upto", F.sum("words").over(run)), lacks, "lacks"), "buckets")
-    reached = buckets.groupBy("source").agg(F.coalesce(F.min(F.when(F.col("upto") >= F.col("lacks"), F.col("bucket"))), F.lit(1 << 40)).alias("at"), F.first("lacks").alias("lacks"))
-    before = _by_source(buckets.drop("lacks"), reached, "at").filter("bucket < at").groupBy("source").agg(F.max("upto").alias("upto"))
-    reached = stage(_by_source(reached, before, "upto").select("source", "at", (F.col("lacks") - F.coalesce("upto", F.lit(0))).alias("missing")), "reached")
-    # Inside it, row by row; equal places in the order are taken together or not at all.
-    inner = Window.partitionBy("source").orderBy("order").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    border = _by_source(drawn, reached, "at", "missing").filter("bucket = at").withColumn("sum", F.sum("size").over(inner)).filter("sum <= missing")
-    border = border.groupBy("source").agg(F.max("order").alias("last"), F.sum("size").alias("words"))
-    ends = _by_source(reached, border, "last", "words")
-    # Without a row of the bucket, everything below the bucket is taken.
-    cut = F.coalesce("last", F.when(F.col("at") >= 1 << 40, F.lit(float("inf"))).otherwise(F.col("at") / _BUCKETS * (1 - 1e-15)))
-    ends = stage(ends.select("source", cut.alias("cut"), (F.col("missing") - F.coalesce("words", F.lit(0))).alias("missing")), "cuts")
-    sources = stage(_by_source(tilted.select("source", *known), ends, "cut"), "mix")
-
-    taken = _by_source(drawn, ends, "cut").select("source", "size", "file", "row", "order", (F.col("whole") + (F.col("order") <= F.col("cut")).cast("long")).alias("copies"))
-    left, settled = ends.select("source", "missing"), None
+    missing, passes = _passes(drawn, lacks)
+    sources = stage(_by_source(tilted.select("source", *known), passes, "passes"), "mix")
+
+    taken = _by_source(drawn, passes, "passes").select("source", "size", "file", "row", "order", (F.col("whole") + _taken().cast("long")).alias("copies"))
+    left, settled = missing, None
     for _ in range(settle):
         # The document whose one copy more, or less, brings a source's sum closest to its target.
         moves = F.explode(F.filter(F.array(F.when(F.col("copies") < cap, F.lit(1)), F.when(F.col("copies") > 0, F.lit(-1))), lambda x: x.isNotNull())).alias("move")
