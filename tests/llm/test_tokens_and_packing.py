@@ -10,7 +10,7 @@ from hypothesis import strategies as st
 
 from subgraph_spark.llm import packing, token_counts, token_ids
 from subgraph_spark.llm.common import new_folder, tokenizer_path
-from subgraph_spark.llm.encoding import ChunkEncoder, encoder_for
+from subgraph_spark.llm.encoding import PreTokenEncoder, encoder_for
 
 BYTE, WORD = tokenizer_path("byte_bpe_50k.json"), tokenizer_path("word_bpe_49k.json")
 ODD = st.lists(st.sampled_from(list(" \t\n\r\x0b\x0c\x1c\x1f\x85\xa0 　aAbBzZ019.,'!-éÉßΣσς́👍ǅ中<|>") + ["<|endoftext|>", "  ", "'s", "the ", " 0 ", "\n\n"]), max_size=40).map("".join)
@@ -40,19 +40,36 @@ def test_counts_equal_the_library(text):
 
 def test_chunks_that_begin_with_white_space():
     texts = ["\x85z", "\xa0b a", "a", "\x0bB\n", "x \x85y \xa0z", "a\nb. \x85"]
-    encoder = ChunkEncoder(BYTE, True)
+    encoder = PreTokenEncoder(BYTE, True)
     assert [np.frombuffer(x, "<u2").tolist() for x in encoder.encode(texts)] == [x.ids for x in encoder.library.encode_batch(texts, add_special_tokens=False)]
 
 
+def test_every_plain_character_in_context():
+    """Each plain character beside each kind of other, apostrophes before all pairs of letters, and white space in front and at the end."""
+    from subgraph_spark.llm import encoding
+
+    plain = [chr(c) for c in range(1, 0x2200) if not encoding._ODD.search(chr(c))]
+    texts = [a + x + b for x in plain for a in ("", "a", "1", ".", " ", "\n", "'", "é") for b in ("", "a", "1", ".", " ", " b", "'s", "»")]
+    letters = "abdelmrstvLS é1.'"
+    texts += [a + "'" + x + y + b for a in ("", "it", " ", ".", "\n", "'", "7") for x in letters for y in letters for b in ("", "z ")]
+    for path, keeps in ((BYTE, True), (WORD, False)):
+        encoder = PreTokenEncoder(path, keeps)
+        expected = encoder.library.encode_batch_fast(texts, add_special_tokens=False)
+        for text, got, want in zip(texts, encoder.encode(texts), expected, strict=True):
+            assert np.frombuffer(got, "<u2").tolist() == want.ids, repr(text)
+
+
 def test_long_texts_and_small_stores(monkeypatch):
     from subgraph_spark.llm import encoding
 
     monkeypatch.setattr(encoding, "_PIECE", 100)
     monkeypatch.setattr(encoding, "_GROUP", 50)
-    texts = ["some words\nand  more, " * 60, "", "y" * 1000 + " z", " lead " * 40]
+    texts = ["some words\nand  more, " * 60, "", "y" * 1000 + " z", " lead " * 40, "sixteen-letters- abcdefghijklmnop abcdefghijklmno abcdefghijklmnopq " * 9]
     for path, keeps in ((BYTE, True), (WORD, False)):
-        encoder = ChunkEncoder(path, keeps, most=3)
-        assert [np.frombuffer(x, "<u2").tolist() for x in encoder.encode(texts)] == [x.ids for x in encoder.library.encode_batch(texts, add_special_tokens=False)]
+        encoder = PreTokenEncoder(path, keeps, most=3)
+        expected = [x.ids for x in encoder.library.encode_batch(texts, add_special_tokens=False)]
+        for _ in range(3):  # the table is begun anew each time
+            assert [np.frombuffer(x, "<u2").tolist() for x in encoder.encode(texts)] == expected
     monkeypatch.setattr(token_counts, "_PIECE", 100)
     counter = token_counts.TokenCounter(BYTE, most=3)
     assert [counter.count(x) for x in texts] == [len(x.ids) for x in counter.library.encode_batch(texts, add_special_tokens=False)]
