@@ -82,7 +82,18 @@ _add("label_hist_part_flow", lambda spark, sf: stats.label_histogram(target(spar
 _add("hubs_commerce_top20", lambda spark, sf: stats.hubs(target(spark, sf, "commerce"), 20).withColumn("deg", F.col("deg").cast("int")), graph_sql("commerce") + _DEGREES + " SELECT vid, CAST(indeg + outdeg AS INTEGER) AS deg FROM d ORDER BY indeg + outdeg DESC, vid LIMIT 20")
 _add("symmetrized_supplier_echo", lambda spark, sf: target(spark, sf, "supplier_echo").symmetrized().edges.select("src", "dst", "elabel"), graph_sql("supplier_echo") + " SELECT src, dst, min(elabel) AS elabel FROM (SELECT * FROM e UNION ALL SELECT dst, src, elabel FROM e) q GROUP BY 1, 2")
 _add("components_doc_share", lambda spark, sf: stats.weak_components(target(spark, sf, "doc_share")), graph_sql("doc_share").replace("WITH ", "WITH RECURSIVE ", 1) + ", b AS (SELECT src, dst FROM e UNION SELECT dst, src FROM e), r(vid, component) AS (SELECT vid, vid FROM v UNION SELECT b.dst, r.component FROM r JOIN b ON b.src = r.vid WHERE r.component < b.dst) SELECT vid, min(component) AS component FROM r GROUP BY 1")
-_add("core2_turn_chain", lambda spark, sf: stats.k_core(target(spark, sf, "supplier_echo"), 2), graph_sql("supplier_echo") + ", b AS (SELECT src, dst FROM e UNION SELECT dst, src FROM e), c1 AS (SELECT src FROM b GROUP BY 1 HAVING count(*) >= 2) SELECT src AS vid FROM b WHERE src IN (SELECT src FROM c1) AND dst IN (SELECT src FROM c1) GROUP BY 1 HAVING count(*) >= 2")
+
+
+def _core_sql(name: str, k: int, rounds: int) -> str:
+    """The k-core by so many rounds of peeling; more than the target's longest chain needs."""
+    sql = graph_sql(name) + ", b0 AS MATERIALIZED (SELECT src, dst FROM e WHERE src <> dst UNION SELECT dst, src FROM e WHERE src <> dst)"
+    for r in range(rounds):
+        sql += f", c{r} AS MATERIALIZED (SELECT src FROM b{r} GROUP BY 1 HAVING count(*) >= {k}), b{r + 1} AS MATERIALIZED (SELECT src, dst FROM b{r} WHERE src IN (SELECT src FROM c{r}) AND dst IN (SELECT src FROM c{r}))"
+    return sql + f" SELECT DISTINCT src AS vid FROM b{rounds}"
+
+
+for _name in ("turn_chain", "supplier_echo"):
+    _add(f"core2_{_name}", lambda spark, sf, n=_name: stats.k_core(target(spark, sf, n), 2), _core_sql(_name, 2, 12))
 
 # --- searches ------------------------------------------------------------------------------------------------------------
 
@@ -665,12 +676,12 @@ def lateral_last_neighbour(spark, sf):
     return spark.sql("SELECT vid, last, n FROM lat_v, LATERAL (SELECT max(dst) AS last, count(*) AS n FROM lat_e WHERE src = vid)")
 
 
-@registered(graph_sql("turn_chain").replace("WITH ", "WITH RECURSIVE ", 1) + ", r(root, vid, hops) AS (SELECT vid, vid, 0 FROM v WHERE vid NOT IN (SELECT dst FROM e) UNION ALL SELECT root, dst, hops + 1 FROM r JOIN e ON src = vid WHERE hops < 20) SELECT root, count(*) AS reached, CAST(max(hops) AS INTEGER) AS hops FROM r GROUP BY 1")
+@registered(graph_sql("turn_chain").replace("WITH ", "WITH RECURSIVE ", 1) + ", r(root, vid, hops) AS (SELECT vid, vid, 0 FROM v WHERE vid NOT IN (SELECT dst FROM e) UNION ALL SELECT root, dst, hops + 1 FROM r JOIN e ON src = vid) SELECT root, count(*) AS reached, CAST(max(hops) AS INTEGER) AS hops FROM r GROUP BY 1")
 def recursive_reach(spark, sf):
     t = written(spark, sf, "turn_chain")
     t.vertices.createOrReplaceTempView("rec_v")
     t.edges.createOrReplaceTempView("rec_e")
-    return spark.sql("WITH RECURSIVE r(root, vid, hops) AS (SELECT vid, vid, 0 FROM rec_v WHERE vid NOT IN (SELECT dst FROM rec_e) UNION ALL SELECT root, dst, hops + 1 FROM r JOIN rec_e ON src = vid WHERE hops < 20) SELECT root, count(*) AS reached, max(hops) AS hops FROM r GROUP BY 1")
+    return spark.sql("WITH RECURSIVE r(root, vid, hops) AS (SELECT vid, vid, 0 FROM rec_v WHERE vid NOT IN (SELECT dst FROM rec_e) UNION ALL SELECT root, dst, hops + 1 FROM r JOIN rec_e ON src = vid) SELECT root, count(*) AS reached, max(hops) AS hops FROM r GROUP BY 1")
 
 
 @registered(graph_sql("part_flow") + _DEGREES + " SELECT vlabel, quantile_cont(indeg + outdeg, 0.5) AS median, CAST(max(vid) AS BIGINT) AS top, max_by(vid, (indeg + outdeg) * 1000000 - vid) AS hub, count(*) FILTER (indeg > outdeg) AS sinks FROM d GROUP BY 1 HAVING count(*) > 1")

@@ -5,7 +5,8 @@ dfs     roots dealt over tasks, each of which explores its own over broadcast ar
 hybrid  joins until there are enough mappings to deal, then dfs
 rounds  dfs with a budget of pairs per task; what a task has left, shallowest first and in groups of siblings, is dealt
         again in the next round. This takes the place of single steals, which tasks can't make
-auto    arrays if they fit the allowance, joins if not
+auto    arrays if they fit the allowance, joins if not; joins take the order, with or without the smaller-domain tie-break,
+        that is likely to make fewer pairs
 """
 
 from __future__ import annotations
@@ -144,6 +145,8 @@ def run(ready: Prepared, engine: str = "auto", workers: int | None = None, budge
             csr, engine = ready.csr(max_bytes), "rounds"
         except TargetTooLarge:
             engine = "join"
+            if ready.plan.uses_domains:
+                ready.plan = expand.cheaper(ready.target, ready.plan, ready.domains)
     if engine == "join":
         found = expand.search(ready.target, ready.plan, ready.domains, ready.label_match, ready.induced, ready.max_cross)
         return found.agg(F.lit(None).cast("long").alias("pairs"), F.count("*").alias("matches"), F.lit(False).alias("timed_out")) if count_only else found

@@ -6,15 +6,16 @@ joins. A frontier is written once it is so many joins deep.
 
 from __future__ import annotations
 
+import copy
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model import TargetGraph
-from ..plans.search_plan import Check, SearchPlan, Step
+from ..plans.search_plan import Check, SearchPlan, Step, build
 from ..session import materialise
-from .domains import LabelMatch, has_bit, label_condition, mask_columns
+from .domains import LabelMatch, has_bit, label_condition, mask_columns, reduce_edges, sizes
 
 #: Joins after which a frontier is written.
 MAX_LINEAGE = 8
@@ -97,7 +98,11 @@ def generate(frontier: DataFrame | None, target: TargetGraph, plan: SearchPlan,
 def step_rules(rows: DataFrame, target: TargetGraph, plan: SearchPlan, step: Step, label_match, induced: bool) -> DataFrame:
     for _, rule in fits(plan, step, label_match):
         rows = rows.filter(rule)
-    for check in step.checks:
+    return edge_rules(rows, target, plan, step, step.checks, induced)
+
+
+def edge_rules(rows: DataFrame, target: TargetGraph, plan: SearchPlan, step: Step, checks, induced: bool) -> DataFrame:
+    for check in checks:
         rows = with_edge(rows, target, check)
     for label in step.loops:
         rows = with_loop(rows, target, label)
@@ -113,14 +118,92 @@ def grown(rows: DataFrame, step: Step) -> DataFrame:
     return rows.select(*[image(i) for i in range(step.pos)], F.col("cand").alias(image(step.pos)))
 
 
+class ReducedEdges:
+    """A target's edges that some pattern edge can use, both ends in their domains; and how many each pattern edge can use.
+
+    The join engine makes candidates from these, so that domains need no look-up of their own, and by the pattern edge with the
+    smallest fan-out, whatever the plan's anchor is. The plan's order stays.
+    """
+
+    def __init__(self, target: TargetGraph, plan: SearchPlan, domains: DataFrame):
+        self.simple, self.plan, pattern = target.simple, plan, plan.pattern
+        self.edges = materialise(reduce_edges(target, pattern, domains), "reduced-edges")
+        kinds = [self._uses(s, d, x) for s, d, x in pattern.edges] or [F.lit(False)]
+        row = self.edges.agg(*[F.count_if(k).alias(f"e{i}") for i, k in enumerate(kinds)]).first()
+        self.count = {e: row[f"e{i}"] for i, e in enumerate(pattern.edges)}
+        self.size = sizes(domains, pattern).size
+
+    def under(self, plan: SearchPlan) -> ReducedEdges:
+        """The same edges for another order."""
+        other = copy.copy(self)
+        other.plan = plan
+        return other
+
+    @staticmethod
+    def _uses(s: int, d: int, label: str | None) -> Column:
+        both = has_bit(s, "src_") & has_bit(d, "dst_")
+        return both if label is None else both & F.coalesce(F.col("elabel") == label, F.lit(False))
+
+    def edge(self, step: Step, check: Check) -> tuple[int, int, str | None]:
+        """The pattern edge that a check of a step stands for."""
+        other = self.plan.steps[check.pos].pv
+        return (other, step.pv, check.elabel) if check.out else (step.pv, other, check.elabel)
+
+    def fan_out(self, step: Step, check: Check) -> float:
+        return self.count[self.edge(step, check)] / max(1, self.size[self.plan.steps[check.pos].pv])
+
+    def generator(self, step: Step) -> Check:
+        return min([step.anchor, *step.checks], key=lambda c: self.fan_out(step, c))
+
+    def ends(self, step: Step, check: Check) -> DataFrame:
+        """(image, cand) of the edges that a check may use, each once."""
+        near, far = ("src", "dst") if check.out else ("dst", "src")
+        rows = self.edges.filter(self._uses(*self.edge(step, check))).select(F.col(near).alias(image(check.pos)), F.col(far).alias("cand"))
+        return rows if self.simple or check.elabel is not None else rows.distinct()
+
+    def pairs(self) -> float:
+        """About how many pairs the plan's order makes: fan-outs multiplied, less what the other edges are likely to refuse."""
+        total, rows = 0.0, 1.0
+        for step in self.plan.steps:
+            used = None if step.anchor is None else self.generator(step)
+            rows *= self.size[step.pv] if used is None else self.fan_out(step, used)
+            total += rows
+            for c in {step.anchor, *step.checks} - {used, None}:
+                rows *= min(1.0, self.count[self.edge(step, c)] / max(1, self.size[step.pv] * self.size[self.plan.steps[c.pos].pv]))
+        return total
+
+
+def cheaper(target: TargetGraph, plan: SearchPlan, domains: DataFrame) -> SearchPlan:
+    """Of the plan's order and the one with (or without) the smaller-domain tie-break, the one that is likely to make fewer pairs."""
+    own = ReducedEdges(target, plan, domains)
+    other = own.under(build(plan.pattern, "dom" if plan.method in ("dom_s", "dom_sf") else "dom_s", own.size))
+    return min((own, other), key=ReducedEdges.pairs).plan
+
+
+def _domain_step(frontier: DataFrame, target: TargetGraph, plan: SearchPlan, step: Step, reduced: ReducedEdges, induced: bool) -> DataFrame:
+    """The frontier and its candidates that pass, by edges whose ends are in their domains."""
+    used = reduced.generator(step)
+    rows = frontier.join(reduced.ends(step, used), image(used.pos))
+    rows = rows.filter(reduce(lambda a, b: a & b, [F.col("cand") != F.col(image(i)) for i in range(step.pos)]))
+    for check in [step.anchor, *step.checks]:
+        if check != used:
+            rows = rows.join(reduced.ends(step, check), [image(check.pos), "cand"], "left_semi")
+    return edge_rules(rows, target, plan, step, (), induced)
+
+
 def search(target: TargetGraph, plan: SearchPlan, domains: DataFrame | None = None, label_match: LabelMatch | None = None, induced: bool = False, max_cross: int = 10**7, upto: int | None = None, max_lineage: int = MAX_LINEAGE) -> DataFrame:
     """Frontier after position ``upto`` (all positions by default): columns p0, p1, ..."""
     info, frontier = vertex_info(target, plan, domains), None
     if any(s.pos and s.anchor is None for s in plan.steps):
         info = materialise(info, "vertex-info")
-    for step in plan.steps[: None if upto is None else upto + 1]:
-        rows = generate(frontier, target, plan, step, info, max_cross)
-        frontier = grown(step_rules(rows, target, plan, step, label_match, induced), step)
+    steps = plan.steps[: None if upto is None else upto + 1]
+    reduced = ReducedEdges(target, plan, domains) if plan.uses_domains and any(s.anchor for s in steps) else None
+    for step in steps:
+        if reduced is not None and step.anchor is not None:
+            rows = _domain_step(frontier, target, plan, step, reduced, induced)
+        else:
+            rows = step_rules(generate(frontier, target, plan, step, info, max_cross), target, plan, step, label_match, induced)
+        frontier = grown(rows, step)
         if step.pos and step.pos % max_lineage == 0:
             frontier = materialise(frontier, "frontier")
     return frontier

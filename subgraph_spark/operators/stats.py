@@ -30,16 +30,20 @@ def hubs(target: TargetGraph, k: int = 20) -> DataFrame:
     return target.degrees().select("vid", (F.col("indeg") + F.col("outdeg")).alias("deg")).orderBy(F.desc("deg"), "vid").limit(k)
 
 
-def k_core(target: TargetGraph, k: int, most_rounds: int = 50) -> DataFrame:
-    """Vertices of the largest part in which everyone has ``k`` neighbours, whatever the direction."""
+def k_core(target: TargetGraph, k: int) -> DataFrame:
+    """Vertices of the largest part in which everyone has ``k`` neighbours, whatever the direction.
+
+    Rounds go on until none drops a pair: a chain loses its two ends a round.
+    """
     both = target.pairs().filter("src <> dst")
     both = materialise(both.union(both.select("dst", "src")).distinct(), "pairs")
-    for _ in range(most_rounds):
+    n = both.count()
+    while n:
         alive = both.groupBy("src").agg(F.count("*").alias("n")).filter(F.col("n") >= k).select("src")
-        left = materialise(both.join(alive, "src", "left_semi").join(alive.withColumnRenamed("src", "dst"), "dst", "left_semi").select("src", "dst"), "core")
-        if left.count() == both.count():
+        both = materialise(both.join(alive, "src", "left_semi").join(alive.withColumnRenamed("src", "dst"), "dst", "left_semi").select("src", "dst"), "core")
+        before, n = n, both.count()
+        if n == before:
             break
-        both = left
     return both.select(F.col("src").alias("vid")).distinct()
 
 
