@@ -12,6 +12,8 @@ Defined cases: a null payload is empty, and equal to other empty ones; null ids
 rows that repeat an id and its payload all are responses if that id is the smallest; an empty table gives no archive
 and no rows; other columns are ignored. A payload that itself is a stored, uncompressed run of WARC members can look
 like records if a range begins inside it: such files must be read with one range per file (``split_bytes=None``).
+A header may be of any length. A member that is damaged or cut off ends the reading with an error that names its place, unless
+``skip_damaged``: then its range is read on from the next record's start.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import OWN, new_folder, stage, whole_text
+from .common import OWN, in_arrow, new_folder, stage, whole_text
 from .storage import new_file, old_file
 
 _MAGIC = b"\x1f\x8b\x08"
@@ -114,7 +116,7 @@ def write_archives(pages: DataFrame, folder: str, id_col: str = "page_id", url_c
                 one = next(rows, None)
         yield pa.RecordBatch.from_pydict({"path": [path], "bytes": [size], "records": [count]})
 
-    return stage(rows.mapInArrow(write, ARCHIVES), "warc-archives")
+    return stage(in_arrow(rows, write, ARCHIVES), "warc-archives")
 
 
 class _Bytes:
@@ -150,14 +152,15 @@ def _parse(raw: bytes) -> tuple[dict[str, str], bytes] | None:
 
 def _header_begins(file, at: int) -> bool:
     """Does inflating from ``at`` give a version line and a whole header?"""
-    inflate, out, source = zlib.decompressobj(31), b"", _Bytes(file, at)
+    inflate, out, source = zlib.decompressobj(31), bytearray(), _Bytes(file, at)
     try:
-        while not inflate.eof and len(out) < 1 << 16 and (got := source.file.read(4096)):
+        while not inflate.eof and (got := source.file.read(4096)):
+            seen = max(0, len(out) - 3)
             out += inflate.decompress(got)
             if not out.startswith(_VERSION[: len(out)]):
                 return False
-            if b"\r\n\r\n" in out:
-                return _parse(out) is not None
+            if out.find(b"\r\n\r\n", seen) >= 0:
+                return _parse(bytes(out)) is not None
     except zlib.error:
         return False
     return False
@@ -181,33 +184,38 @@ def _first_start(file, begin: int, end: int) -> int | None:
     return None
 
 
-def members(file, begin: int, end: int) -> Iterator[tuple[int, bytes]]:
+def members(file, begin: int, end: int, skip_damaged: bool = False) -> Iterator[tuple[int, bytes]]:
     """Offsets and inflated bytes of the gzip members that start in [begin, end)."""
     at = _first_start(file, begin, end)
-    if at is None:
-        return
-    source, held = _Bytes(file, at), b""
-    while at < end:
-        inflate, out, used = zlib.decompressobj(31), [], 0
-        while not inflate.eof:
-            if not held:
-                held = source.more()
-                if not held:
-                    if used:
-                        raise ValueError(f"the record at {at} is cut off")
-                    return
-            used += len(held)
-            out.append(inflate.decompress(held))
-            held = inflate.unused_data if inflate.eof else b""
-        used -= len(held)
-        yield at, b"".join(out)
-        at += used
-
-
-def read_range(path: str, begin: int, end: int) -> Iterator[dict]:
+    while at is not None and at < end:
+        source, held = _Bytes(file, at), b""
+        try:
+            while at < end:
+                inflate, out, used = zlib.decompressobj(31), [], 0
+                while not inflate.eof:
+                    if not held:
+                        held = source.more()
+                        if not held:
+                            if used:
+                                raise zlib.error("it is cut off")
+                            return
+                    used += len(held)
+                    out.append(inflate.decompress(held))
+                    held = inflate.unused_data if inflate.eof else b""
+                used -= len(held)
+                yield at, b"".join(out)
+                at += used
+            return
+        except zlib.error as e:
+            if not skip_damaged:
+                raise ValueError(f"the record at {at} can't be read: {e}") from e
+            at = _first_start(file, at + 1, end)
+
+
+def read_range(path: str, begin: int, end: int, skip_damaged: bool = False) -> Iterator[dict]:
     """The records (``RECORDS``) that start in a byte range."""
     with old_file(path) as file:
-        for offset, raw in members(file, begin, end):
+        for offset, raw in members(file, begin, end, skip_damaged):
             parsed = _parse(raw)
             if parsed is None:
                 raise ValueError(f"{path} has no WARC record at {offset}")
@@ -232,7 +240,7 @@ def byte_ranges(archives: DataFrame, split_bytes: int | None) -> DataFrame:
     return ranges.repartition(min(max(int(count), 1), _MOST_TASKS))
 
 
-def read_archives(archives: DataFrame, split_bytes: int | None = 32 << 20, columns: list[str] | None = None) -> DataFrame:
+def read_archives(archives: DataFrame, split_bytes: int | None = 32 << 20, columns: list[str] | None = None, skip_damaged: bool = False) -> DataFrame:
     """All records of ``archives`` (path, bytes), as ``RECORDS`` or those ``columns`` of it."""
     schema = [x.strip().split(" ") for x in RECORDS.split(",")]
     kept = [(k, t) for k, t in schema if columns is None or k in columns]
@@ -243,7 +251,7 @@ def read_archives(archives: DataFrame, split_bytes: int | None = 32 << 20, colum
         made = lambda: pa.RecordBatch.from_pydict({k: pa.array([x[k] for x in rows], types[t]) for k, t in kept})
         for batch in batches:
             for where in batch.to_pylist():
-                for one in read_range(where["path"], where["begin"], where["end"]):
+                for one in read_range(where["path"], where["begin"], where["end"], skip_damaged):
                     rows.append({k: one[k] for k, _ in kept})
                     size += 200 + (len(one["payload"] or b"") if columns is None or "payload" in columns else 0)
                     if size >= _HAND_ON:

@@ -70,3 +70,33 @@ def test_cut_off_archive(tmp_path):
     (tmp_path / "a").write_bytes(raw[:-10])
     with pytest.raises(ValueError):
         list(warc.read_range(str(tmp_path / "a"), 0, len(raw)))
+
+
+@pytest.mark.parametrize("place", [0, 1, 2])
+def test_long_headers(spark, tmp_path, place):
+    """A URL of 300,000 characters that hardly compress, in the first, a middle and the last record, under cuts of any size."""
+    import random
+
+    long = "http://x.example/" + "".join(random.Random(place).choices("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789-_", k=300_000))
+    urls = [long if i == place else "u" for i in range(3)]
+    raws = [warc.record(i, url, b"payload %d" % i, warc.base32_sha1(b"payload %d" % i), None, False) for i, url in enumerate(urls)]
+    data = b"".join(raws)
+    (tmp_path / "a").write_bytes(data)
+    for cut in (101, 5000, 70_000, len(data)):
+        found = [x["target_uri"] for a in range(0, len(data), cut) for x in warc.read_range(str(tmp_path / "a"), a, min(a + cut, len(data)))]
+        assert found == urls
+    rows = [(i, url, f"payload {i}") for i, url in enumerate(urls)]
+    got = warc.archive_round_trip(spark, pages_df(spark, rows, tmp_path), 1000)
+    assert sorted(map(tuple, got.collect()), key=repr) == expected(rows)
+
+
+def test_damaged_records(tmp_path):
+    """A damaged member is an error that names its place, or is left out with ``skip_damaged``."""
+    raws = [bytearray(warc.record(i, "u", bytes(range(256)) * 20, warc.base32_sha1(bytes(range(256)) * 20), None, False)) for i in range(4)]
+    raws[1][len(raws[1]) // 2] ^= 0xFF
+    data = b"".join(raws)
+    (tmp_path / "a").write_bytes(data)
+    with pytest.raises(ValueError, match=str(len(raws[0]))):
+        list(warc.read_range(str(tmp_path / "a"), 0, len(data)))
+    kept = [x["record_id"].split(":")[2] for x in warc.read_range(str(tmp_path / "a"), 0, len(data), True)]
+    assert kept == ["0", "2", "3"]
