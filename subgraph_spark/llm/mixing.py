@@ -6,8 +6,8 @@ multiplier per source; its solution tilts the rate exponentially. Newton's steps
 take the gradients and curvatures from sums over all documents. A rate depends on the source and size
 alone, so the sums run over a table of sizes' counts, which is complete and small.
 
-With ``entropy="words"`` every word counts the same, and a source's documents share one rate. With
-``"documents"`` every document does, and the tilt goes with the size.
+Every document counts the same (``entropy="documents"``), so the tilt goes with the size: rate = share * exp(multiplier * size /
+mean size), up to the cap. With ``"words"`` every word does; the tilt then is one for a source's documents, which share one rate.
 
 Rounding. Every document is taken as often as its rate's whole part. The words that a source still lacks come from documents in
 the order of hash / remaining part, a draw in which a document's chance goes with its remaining part. A document that would pass
@@ -195,7 +195,7 @@ def _passes(drawn: DataFrame, lacks: DataFrame) -> tuple[DataFrame, DataFrame]:
     return now.select("source", "missing"), now.select("source", "passes")
 
 
-def plan(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "words", seed: int = 11, settle: int = 4) -> Mix:
+def plan(rows: DataFrame, share: float = 1.5, cap: int = 2, weights: tuple[int, ...] = (5, 2, 1), entropy: str = "documents", seed: int = 11, settle: int = 4) -> Mix:
     """Solve for ``rows`` (source, size, line, file, row), which must be written."""
     counts = stage(rows.groupBy("source", "size").agg(F.count("*").alias("n")), "size-counts")
     wanted = stage(targets(counts.groupBy("source").agg(F.sum(F.col("n") * F.col("size")).alias("source_size")), share, cap, weights), "targets")
