@@ -5,7 +5,9 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,10 +18,14 @@ OWN = "__own_"
 SPACES = r"[\x20\x09-\x0D]+"
 
 
+#: Rows and bytes of an Arrow batch.
+ROWS, BYTES = 512, 8 << 20
+
+
 def shared_folder(spark: SparkSession) -> str:
     """A folder that the driver and every executor reach: the session's spark.checkpoint.dir.
 
-    Only where that is unset, as in tests on one machine, a folder below the temp folder is made and set.
+    Only where that is unset, on one machine, a folder below the temp folder is made and set; a cluster must name one.
     """
     context = spark.sparkContext
     there = spark.conf.get("spark.checkpoint.dir", None)
@@ -27,6 +33,8 @@ def shared_folder(spark: SparkSession) -> str:
         set_dir = context._jsc.sc().getCheckpointDir()
         if set_dir.isDefined():
             return set_dir.get()
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir is unset, and executors of a cluster share no local folder")
         there = "file://" + tempfile.mkdtemp(prefix="shared-")
         context.setCheckpointDir(there)
     return there
@@ -45,6 +53,18 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def in_arrow(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
+    """``df.mapInArrow``, with few rows and bytes to a batch, as whole texts travel in them.
+
+    The session's setting is lowered where it is larger, and stays so, since a batch is cut when the plan runs.
+    """
+    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BYTES)):
+        now = df.sparkSession.conf.get(key, None)
+        if now is None or not now.isdigit() or not 0 < int(now) <= most:
+            df.sparkSession.conf.set(key, str(most))
+    return df.mapInArrow(work, schema)
+
+
 def drop_folder(spark: SparkSession, path: str) -> None:
     """Remove a folder of the shared file system, if it is there."""
     jvm = spark.sparkContext._jvm

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stage, whole_text
+from .common import in_arrow, stage, whole_text
 from .encoding import MOST, encoder_for
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -74,7 +74,7 @@ def cut_documents(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, k
             types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, types, strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(text_col).alias("text")).mapInArrow(cut, PIECES)
+    return in_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(text_col).alias("text")), cut, PIECES)
 
 
 def _members(batch: pa.RecordBatch) -> np.ndarray:

@@ -5,8 +5,9 @@ words never met before look like ones that were. Features are hashed unigrams an
 trigrams of the shapes, and bigrams of shapes whose words are equal; each family's counts are divided by its length, so a
 score doesn't depend on how long a text is. Scoring is a sparse dot product per text.
 
-Training uses about ``sample`` labelled rows at most, drawn by their ids' hash. Features are made where the rows lie; the updates run
-in one task over that bounded sample, in hash order, so that a repeated run gives the same weights. The weights are
+Training uses about ``sample`` labelled rows at most, drawn by their ids' hash, and of their features about ``sample_bytes``. Features
+are made where the rows lie; the updates run in one task over that bounded sample, in hash order, so that a repeated run gives the
+same weights. The weights are
 2**``bits`` floats, whatever the data.
 
 Defined cases: a null text is empty and gets the score of the bias alone; rows without a label or an id aren't trained on;
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import stage, whole_text
+from .common import in_arrow, stage, whole_text
 
 _FAMILIES = 6
 _MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63, 0xD6E8FEB86659FD93], np.uint64)
@@ -128,8 +129,8 @@ def fold(id_col: str | Column, folds: int = 5) -> Column:
     return F.pmod(F.crc32((F.col(id_col) if isinstance(id_col, str) else id_col).cast("string").cast("binary")), F.lit(folds))
 
 
-def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", folds: int = 5, bits: int = 18, sample: int = 16_000, rounds: int = 3, scale: float = 8.0) -> np.ndarray:
-    """Weights, the bias last, from the labelled rows of ``docs`` (doc_id, text) outside fold 0."""
+def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", folds: int = 5, bits: int = 18, sample: int = 16_000, sample_bytes: int = 256 << 20, rounds: int = 3, scale: float = 8.0) -> np.ndarray:
+    """Weights, the bias last, from the labelled rows of ``docs`` (doc_id, text) outside fold 0: ``sample`` ids and ``sample_bytes`` of features, about, at most."""
     marked = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label"))
     marked = marked.filter("label is not null and doc_id is not null").filter(fold("doc_id", folds) != 0).distinct()
     n = marked.count()
@@ -153,27 +154,34 @@ def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", folds:
         if rows:
             yield pa.RecordBatch.from_pydict({"weights": [model.weights().astype("<f4").tobytes()]})
 
-    rows = drawn.select(F.xxhash64("doc_id").alias("h"), "text", "label").mapInArrow(features, "h long, label int, place binary, value binary")
-    learnt = stage(stage(rows, "features").coalesce(1).mapInArrow(learn, "weights binary"), "weights").collect()
+    rows = drawn.select(F.xxhash64("doc_id").alias("h"), "text", "label")
+    rows = stage(in_arrow(rows, features, "h long, label int, place binary, value binary").withColumn("line", F.monotonically_increasing_id()), "features")
+    size = rows.agg(F.sum(F.octet_length("place") + F.octet_length("value"))).first()[0] or 0
+    if size > sample_bytes:
+        rows = rows.filter(F.pmod(F.xxhash64(F.lit("bytes"), "h", "line"), F.lit(1 << 30)) < int((1 << 30) * sample_bytes / size))
+    learnt = stage(rows.drop("line").coalesce(1).mapInArrow(learn, "weights binary"), "weights").collect()
     return np.frombuffer(learnt[0]["weights"], "<f4").astype(np.float64) if learnt else np.zeros((1 << bits) + 1)
 
 
 def score(docs: DataFrame, weights: np.ndarray, scale: float = 8.0, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """Rows (doc_id, score), or ``keep``'s columns and score. Nothing is shuffled."""
+    """Rows (doc_id, score), or ``keep``'s columns and score. Nothing is shuffled, and a text travels once."""
     bits = (len(weights) - 1).bit_length() - 1
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # 2**bits floats
+    own = keep is not None and text_col in keep and docs.schema[text_col].dataType.typeName() == "string"
+    rows = docs.select(*([F.col(id_col).cast("long").alias("doc_id")] if keep is None else [F.col(f"`{x}`") for x in keep]), *([] if own else [whole_text(text_col).alias("__own_text")]))
+    at = keep.index(text_col) if own else len(rows.columns) - 1
 
     def scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        made = Features(bits)
+        made = features_for(bits)
         for batch in batches:
-            sums = [scale * made.dot(x.as_py(), shared.value) + shared.value[-1] for x in batch.column(batch.num_columns - 1)]
+            sums = [scale * made.dot(x.as_py() or "", shared.value) + shared.value[-1] for x in batch.column(at)]
             found = pa.array(1 / (1 + np.exp(-np.clip(np.array(sums, np.float64), -35, 35))))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], found], names=[*batch.schema.names[:-1], "__own_score"])
+            kept = batch.columns if own else batch.columns[:-1]
+            yield pa.RecordBatch.from_arrays([*kept, found], names=[*batch.schema.names[: len(kept)], "__own_score"])
         made.forget()
 
-    kept = docs.select(*([F.col(id_col).cast("long").alias("doc_id")] if keep is None else [F.col(f"`{x}`") for x in keep]), whole_text(text_col).alias("__own_text"))
-    schema = kept.drop("__own_text").withColumn("__own_score", F.lit(0.0)).schema
-    return kept.mapInArrow(scores, schema)
+    schema = rows.drop("__own_text").withColumn("__own_score", F.lit(0.0)).schema
+    return in_arrow(rows, scores, schema)
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, label_col: str = "quality", folds: int = 5) -> DataFrame:

@@ -16,14 +16,14 @@ other columns are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stage, whole_text
+from .common import in_arrow, stage, whole_text
 from .components import components
 
 #: Nodes of a tree, about.
@@ -32,28 +32,35 @@ SHARD = 4096
 _BLOCK = 1 << 14
 
 
+def majority(hashes: Iterable[np.ndarray]) -> int:
+    """The bits that are set in over half of the hashes, which come in blocks."""
+    counts, n = np.zeros(64, np.int64), 0
+    for part in hashes:
+        counts += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+        n += len(part)
+    return int(np.packbits((2 * counts > n).astype(np.uint8), bitorder="little").view(np.uint64)[0])
+
+
 def fingerprint(text: str, width: int = 3) -> int:
     """The 64-bit fingerprint of one text."""
+    words = text.encode().lower().split()
+    return majority(shingle_hashes(words, width)) if words else 0
+
+
+def shingle_hashes(words: list[bytes], width: int) -> Iterator[np.ndarray]:
+    """XXH64 with seed 42 of each shingle, in blocks; fewer words than ``width`` are one shingle."""
     from xxhash import xxh64_intdigest
 
-    words = text.encode().lower().split()
-    if not words:
-        return 0
-    n = max(1, len(words) - width + 1)
-    counts = np.zeros(64, np.int64)
-    for at in range(0, n, _BLOCK):
+    for at in range(0, max(1, len(words) - width + 1), _BLOCK):
         part = words[at : at + _BLOCK + width - 1]
+        flat = b" ".join(part)
         if len(words) <= width:
-            shingles = [b" ".join(part)]
+            shingles = [flat]
         else:
-            flat = b" ".join(part)
             starts = np.zeros(len(part) + 1, np.int64)
             np.cumsum([len(w) + 1 for w in part], out=starts[1:])
             shingles = [flat[a:b] for a, b in zip(starts[: len(part) - width + 1].tolist(), (starts[width:] - 1).tolist(), strict=True)]
-        hashes = np.array([xxh64_intdigest(x, 42) for x in shingles], np.uint64)
-        counts += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    bits = (2 * counts > n).astype(np.uint8)
-    return int(np.packbits(bits, bitorder="little").view(np.uint64)[0])
+        yield np.array([xxh64_intdigest(x, 42) for x in shingles], np.uint64)
 
 
 def fingerprints(docs: DataFrame, width: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -64,7 +71,7 @@ def fingerprints(docs: DataFrame, width: int = 3, id_col: str = "doc_id", text_c
             found = np.array([fingerprint(x.as_py(), width) for x in batch.column(1)], np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found.view(np.int64))], names=["doc_id", "fp"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(text_col).alias("text")).mapInArrow(make, "doc_id long, fp long")
+    return in_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(text_col).alias("text")), make, "doc_id long, fp long")
 
 
 class BKTree:

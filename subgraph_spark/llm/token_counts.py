@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import whole_text
+from .common import in_arrow, whole_text
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
@@ -115,4 +115,4 @@ def count_tokens(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_c
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([counter.count(x.as_py()) for x in batch.column(2)], pa.int64())], names=["doc_id", "n_bytes", "n_tokens"])
 
     text = whole_text(text_col)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text")).mapInArrow(count, COUNTS)
+    return in_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text")), count, COUNTS)

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import new_folder, stage, whole_text
+from .common import in_arrow, new_folder, stage, whole_text
 from .encoding import encoder_for
 from .storage import new_file, old_file
 
@@ -163,7 +163,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, keep
             out.write(struct.pack(_FOOTER, _WORD, encoder.width, len(index), len(names)))
         yield pa.RecordBatch.from_pydict({"shard": pa.array([shard], pa.int32()), "path": [path], "width": pa.array([encoder.width], pa.int32()), "n_docs": [len(ends)], "n_tokens": [total], "ends_bytes": [len(index)], "docs_bytes": [len(names)], "n_null": [nulls]})
 
-    shards = stage(rows.mapInArrow(write, SHARDS), "token-shards")
+    shards = stage(in_arrow(rows, write, SHARDS), "token-shards")
     # A row per file: the only running sum over all data is over these.
     before = F.coalesce(F.sum("n_tokens").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     return shards.withColumn("base", before.cast("long"))

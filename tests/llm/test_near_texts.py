@@ -44,9 +44,9 @@ def test_near_copies(spark):
     root = roots(len(sets), links)
     expected = {frozenset(i for i, r in enumerate(root) if r == x) for x in set(root)}
     docs = stage(spark.createDataFrame([(i, x) for i, x in enumerate(texts)], "doc_id long, text string").repartition(3), "docs")
-    for part in (near_texts.PART, 300):
+    for how in ({}, {"part": 300, "rounds": 0}, {"part": 300, "rounds": 1, "shard": 4}):
         groups = {}
-        for r in near_texts.near_copies(docs, part=part).collect():
+        for r in near_texts.near_copies(docs, **how).collect():
             groups.setdefault(r.root, set()).add(r.doc_id)
         assert {frozenset(x) for x in groups.values()} == {x for x in expected if len(x) > 1}
     assert near_texts.near_copies(docs.limit(0)).count() == 0
