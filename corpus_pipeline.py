@@ -14,7 +14,7 @@ from subgraph_spark.llm.quality import score, train
 
 #: A document whose score is below this goes.
 QUALITY = 0.3
-#: Chunks of text that a worker remembers: fewer than by default, since all stages' work shares its memory.
+#: Pre-tokens that a worker remembers: fewer than by default, since all stages' work shares its memory.
 REMEMBERED = 250_000
 
 
