@@ -19,7 +19,7 @@ from .operators.patterns import CATALOG
 from .plans import order as orders
 from .plans.search_plan import build
 from .session import materialise
-from .sources import tables
+from .sources import io, tables
 from .sources.tables import BUILDERS, graph_sql
 from .streaming import edges as streaming
 
@@ -58,7 +58,7 @@ def values(columns: str, rows: list[tuple]) -> str:
 # --- targets -------------------------------------------------------------------------------------------------------------
 
 _WITH_SQL = ("supplier_echo", "part_flow", "user_relay", "turn_chain", "commerce", "doc_share", "embed_knn")
-for _name in _WITH_SQL:
+for _name in (*_WITH_SQL, "uniform_dense"):
     _add(f"edges_{_name}", lambda spark, sf, n=_name: target(spark, sf, n).edges.select("src", "dst", "elabel"), graph_sql(_name) + " SELECT src, dst, elabel FROM e")
     _add(f"vertices_{_name}", lambda spark, sf, n=_name: target(spark, sf, n).vertices.select("vid", "vlabel"), graph_sql(_name) + " SELECT vid, vlabel FROM v")
 
@@ -127,6 +127,23 @@ search("order_random_cycle4", "part_flow", C["P4"], "ord", "dfs", order=orders.r
 search("multigraph_relay_ffl", "user_relay", PatternGraph.parse("a:click-[error]->b:error; b-[view]->c:view; a-[view]->c"), "dom_sf", "join", sql=sql_join(PatternGraph.parse("a:click-[error]->b:error; b-[view]->c:view; a-[view]->c")))
 
 
+search("sequential_dom_ffl_nation", "supplier_echo", C["P3"], "dom", "dfs", workers=1)
+search("lookahead_ffl_echo", "supplier_echo", C["P2"], "dom_sf", "dfs", lookahead=True)
+
+
+@registered(values("one, other, same", [("P1", "P1", True), ("P1", "P2", False), ("P2", "P2 turned", True), ("P1", "P4", False)]))
+def isomorphism_checks(spark, sf):
+    """Exact isomorphism of two small graphs: a target made of one pattern's vertices and edges, and the other pattern."""
+    turned = PatternGraph.parse("c->b; b->a; c->a", "P2 turned")
+
+    def graph(p: PatternGraph) -> TargetGraph:
+        v = spark.createDataFrame([(i, x) for i, x in enumerate(p.labels)], "vid long, vlabel string")
+        return TargetGraph.of(v, spark.createDataFrame(list(p.edges), "src long, dst long, elabel string"), name=p.name)
+
+    pairs = ((C["P1"], C["P1"]), (C["P1"], C["P2"]), (C["P2"], turned), (C["P1"], C["P4"]))
+    return spark.createDataFrame([(a.name, b.name, engines.is_isomorphic(graph(a), b)) for a, b in pairs], "one string, other string, same boolean")
+
+
 @registered(graph_sql("supplier_echo") + " SELECT count(*) AS n FROM e x, e y WHERE x.src NOT IN (y.src, y.dst) AND x.dst NOT IN (y.src, y.dst)")
 def disconnected_edges_echo(spark, sf):
     return engines.counts(written(spark, sf, "supplier_echo"), C["P10"], "ord", "dfs").select(F.col("matches").alias("n"))
@@ -290,7 +307,23 @@ _funnel("funnel_p3_ord", "supplier_echo", C["P3"], "ord", graph_sql("supplier_ec
 _DOM_P3 = ", r0 AS (SELECT vid AS a FROM d1 WHERE pv = 0), g1 AS (SELECT a, dst AS b FROM r0 JOIN e ON src = a), r1 AS (SELECT a, b FROM g1 JOIN d1 ON vid = b AND pv = 1), g2 AS (SELECT a, b, dst AS c FROM r1 JOIN e ON src = a)"
 _DOM_P3_PAIRS = "(SELECT count(*) FROM r0) + (SELECT count(*) FROM g1) + (SELECT count(*) FROM g2)"
 _funnel("funnel_p3_dom", "supplier_echo", C["P3"], "dom", _ROUNDS + _DOM_P3 + ", z AS (SELECT 'dom' AS method, 0 AS depth, (SELECT count(*) FROM r0) AS pairs, (SELECT count(*) FROM r0) AS after_unused, (SELECT count(*) FROM r0) AS after_label_or_domain, (SELECT count(*) FROM r0) AS after_edges UNION ALL SELECT 'dom', 1, (SELECT count(*) FROM g1), (SELECT count(*) FROM r1), (SELECT count(*) FROM r1), (SELECT count(*) FROM r1) UNION ALL SELECT 'dom', 2, (SELECT count(*) FROM g2), (SELECT count(*) FROM g2 JOIN d1 ON vid = c AND pv = 2), (SELECT count(*) FROM g2 JOIN d1 ON vid = c AND pv = 2), (SELECT count(*) FROM g2 JOIN d1 ON vid = c AND pv = 2 JOIN e ON e.src = b AND e.dst = c)) SELECT method, depth, pairs, after_unused, after_label_or_domain, CAST(NULL AS BIGINT) AS after_degree, after_edges FROM z WHERE NOT EXISTS (SELECT 1 FROM q WHERE pv NOT IN (SELECT pv FROM d1))")
-_funnel("funnel_p3_doms", "supplier_echo", C["P3"], "dom_s", None)
+# The smaller-domain order, decided from the sizes: b, c, a where the given tables have 7, 2 and 5 candidates; by its rule elsewhere.
+_funnel(
+    "funnel_p3_doms",
+    "supplier_echo",
+    C["P3"],
+    "dom_s",
+    _ROUNDS
+    + ", sz AS (SELECT pv, count(*) AS n FROM d1 GROUP BY 1), rk AS (SELECT pv, row_number() OVER (ORDER BY n, pv) - 1 AS pos FROM sz), dv AS (SELECT rk.pos, d1.vid FROM d1 JOIN rk USING (pv))"
+    + ", pp AS (SELECT a.pos AS ps, b.pos AS pd FROM pe JOIN rk a ON a.pv = pe.ps JOIN rk b ON b.pv = pe.pd)"
+    + ", arc AS (SELECT pp.ps AS near, pp.pd AS far, e.src AS x, e.dst AS y FROM pp, e UNION ALL SELECT pp.pd, pp.ps, e.dst, e.src FROM pp, e)"
+    + ", r0 AS (SELECT vid AS a FROM dv WHERE pos = 0), g1 AS (SELECT a, y AS b FROM r0 JOIN arc ON near = 0 AND far = 1 AND x = a), r1 AS (SELECT a, b FROM g1 JOIN dv ON vid = b AND pos = 1 WHERE a <> b)"
+    + ", g2 AS (SELECT a, b, y AS c FROM r1 JOIN arc ON near = 0 AND far = 2 AND x = a), r2 AS (SELECT a, b, c FROM g2 JOIN dv ON vid = c AND pos = 2)"
+    + ", z AS (SELECT 'dom_s' AS method, 0 AS depth, (SELECT count(*) FROM r0) AS pairs, (SELECT count(*) FROM r0) AS after_unused, (SELECT count(*) FROM r0) AS after_label_or_domain, (SELECT count(*) FROM r0) AS after_edges"
+    + " UNION ALL SELECT 'dom_s', 1, (SELECT count(*) FROM g1), (SELECT count(*) FROM r1), (SELECT count(*) FROM g1 JOIN dv ON vid = b AND pos = 1), (SELECT count(*) FROM r1)"
+    + " UNION ALL SELECT 'dom_s', 2, (SELECT count(*) FROM g2), (SELECT count(*) FROM r2 WHERE c NOT IN (a, b)), (SELECT count(*) FROM r2), (SELECT count(*) FROM r2 JOIN arc ON near = 1 AND far = 2 AND x = b AND y = c WHERE c NOT IN (a, b)))"
+    + " SELECT method, depth, pairs, after_unused, after_label_or_domain, CAST(NULL AS BIGINT) AS after_degree, after_edges FROM z WHERE NOT EXISTS (SELECT 1 FROM q WHERE pv NOT IN (SELECT pv FROM d1))",
+)
 
 
 @registered(_ROUNDS + _ORD_P3.replace(_DEGREES, "") + f" SELECT 'ord' AS method, {_ORD_P3_PAIRS} AS pairs UNION ALL SELECT 'dom', CASE WHEN EXISTS (SELECT 1 FROM q WHERE pv NOT IN (SELECT pv FROM d1)) THEN 0 ELSE (" + "WITH " + _DOM_P3[2:] + f" SELECT {_DOM_P3_PAIRS}) END")
@@ -299,21 +332,6 @@ def search_space_by_variant(spark, sf):
     return spark.createDataFrame([(m, engines.counts(where, C["P3"], m, "dfs").first()["pairs"]) for m in ("ord", "dom")], "method string, pairs long")
 
 
-@registered()
-def search_space_extracted(spark, sf):
-    """Pairs by variant for patterns taken from a dense and a sparse target: what each pruning saves. A search ends with its budget."""
-    rows = []
-    for name, density in (("supplier_echo", "dense"), ("turn_chain", "sparse")):
-        where = written(spark, sf, name)
-        csr = where.csr()
-        for n in (4, 8):
-            p = patterns.extract(csr, n, density, 3)
-            for m in ("ord", "dom", "dom_s", "dom_f", "dom_sf"):
-                got = engines.counts(where, p, m, "rounds", budget=200_000, max_rounds=1).first()
-                rows.append((name, p.name, m, got["pairs"], got["matches"], got["timed_out"]))
-    return spark.createDataFrame(rows, "target string, pattern string, method string, pairs long, matches long, timed_out boolean")
-
-
 def tree_of(spark, where: TargetGraph, pattern: PatternGraph, instance: str) -> DataFrame:
     """A search tree as a table. It is bounded, and made on the driver from arrays whose size is checked."""
     import pandas as pd
@@ -357,12 +375,17 @@ def steal_sim_p1(spark, sf):
     return got.select((F.col("steals_ok") + F.col("steals_failed")).cast("int").alias("attempts"), "pairs")
 
 
-@registered()
-def steal_sim_grid(spark, sf):
-    """Group size by workers, several draws: makespan, steals, spread; with and without stealing."""
-    tree = tree_of(spark, target(spark, sf, "supplier_echo"), C["P1"], "echo")
-    got = steal_sim.simulate_grid(tree, _grid(spark, (2, 4, 8, 16), (1, 2, 4, 8, 16), 3, (True, False)))
-    return got.groupBy("workers", "group_size", "stealing").agg(F.round(F.avg("makespan"), 6).alias("makespan"), F.round(F.avg("spread"), 6).alias("spread"), F.round(F.avg("steals_ok"), 6).alias("steals_ok"), F.round(F.avg("steals_failed"), 6).alias("steals_failed"), F.round(F.avg("cells_copied"), 6).alias("cells_copied"))
+_ALTERNATIVES = {"private deques": {}, "mapping copied per task": {"copy": "per_task"}, "large tasks only": {"min_states": 1000}, "sender-initiated": {"initiator": "sender"}, "dealt in turn": {"deal": "roundrobin"}, "no stealing": {"stealing": False}}
+
+
+def _alternatives(spark, sf) -> DataFrame:
+    """The published scheme and the ones it was weighed against, on one tree with eight workers."""
+    tree = search_tree(Kernel(target(spark, sf, "supplier_echo").csr(), build(C["P1"])))
+    return steal_sim.simulate_ways(spark, tree, _ALTERNATIVES, workers=8)
+
+
+_add("steal_alternatives_totals", lambda spark, sf: _alternatives(spark, sf).select("way", "pairs"), _ECHO_TREE + f" SELECT way, t AS pairs FROM total, ({values('way', [(k,) for k in _ALTERNATIVES])}) w")
+_add("steal_alternatives", _alternatives)
 
 
 _RUNS = [("i1", 500.0, 250.0, False), ("i2", 900.0, 600.0, False), ("i3", 4000.0, 1000.0, False), ("i4", 180000.0, 90000.0, True), ("i5", 20000.0, 180000.0, False), ("i6", 1000.0, 125.0, False)]
@@ -430,19 +453,22 @@ def census3_part_flow(spark, sf):
     return stats.census3(target(spark, sf, "part_flow"))
 
 
-for _d in ("dense", "semi", "sparse"):
+for _d in workloads.DENSITIES:
 
     def _extracted(spark, sf, d=_d):
-        rows = []
-        for name in ("supplier_echo", "part_flow", "commerce"):
-            csr = target(spark, sf, name).csr()
-            for n in (4, 8, 16, 32, 64, 128, 256):
-                p = patterns.extract(csr, n, d, 1)
-                rows.append((name, n, len(p.edges), p.size, p.components()))
-        return spark.createDataFrame(rows, "target string, wanted int, edges int, vertices int, components int")
+        """The pattern sets: all sizes and twenty draws of a density, from a target of each collection."""
+        out = None
+        for name in ("supplier_echo", "part_flow", "user_relay", "commerce"):
+            made = workloads.on_instances("sets", [written(spark, sf, name)], lambda csr, p: [(len(p.edges), p.size, p.components())], workloads.INSTANCE + ", got int, vertices int, components int", densities=(d,), draws=range(1, 21))
+            one = made.groupBy(F.lit(name).alias("target"), "edges").agg(F.count("*").alias("patterns"), F.min("got").alias("least_edges"), F.min("vertices").alias("least_vertices"), F.max("vertices").alias("most_vertices"), F.max("components").alias("components"))
+            out = one if out is None else out.unionByName(one)
+        return out
 
     _add(f"extract_patterns_{_d}", _extracted)
 
+# Twenty patterns of each size, connected, with all their edges.
+_add("extracted_sets", lambda spark, sf: QUERIES["extract_patterns_dense"](spark, sf).filter("target <> 'commerce'").select("target", "edges", "patterns", "least_edges", "components"), values("target, edges, patterns, least_edges, components", [(t, n, 20, n, 1) for t in ("supplier_echo", "part_flow", "user_relay") for n in workloads.EDGES]))
+
 # --- relational operators around a search --------------------------------------------------------------------------------
 
 E = graph_sql("commerce")
@@ -510,6 +536,15 @@ def range_lag_join(spark, sf):
 
 
 _R = graph_sql("supplier_echo")
+
+
+@registered(_R + " SELECT e.src, e.dst, e.elabel, a.vlabel AS src_label, b.vlabel AS dst_label FROM e JOIN v a ON a.vid = e.src JOIN v b ON b.vid = e.dst")
+def edge_store_bucketed(spark, sf):
+    """The edges by way of a store that is bucketed by their sources."""
+    by_src, _ = io.write_edge_store(written(spark, sf, "supplier_echo"), "echo_store", 4)
+    return spark.table(by_src).select("src", "dst", "elabel", "src_label", "dst_label")
+
+
 _add("semi_edges", lambda spark, sf: (lambda t: t.edges.join(t.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"], "left_semi").select("src", "dst"))(written(spark, sf, "supplier_echo")), _R + " SELECT src, dst FROM e WHERE EXISTS (SELECT 1 FROM e x WHERE x.src = e.dst AND x.dst = e.src)")
 _add("anti_isolated", lambda spark, sf: (lambda t: t.vertices.join(t.edges.select(F.col("src").alias("vid")), "vid", "left_anti").select("vid"))(target(spark, sf, "part_flow")), graph_sql("part_flow") + " SELECT vid FROM v WHERE NOT EXISTS (SELECT 1 FROM e WHERE src = vid)")
 _add("left_outer_degree", lambda spark, sf: target(spark, sf, "turn_chain").degrees().groupBy("indeg", "outdeg").agg(F.count("*").alias("n")), graph_sql("turn_chain") + _DEGREES + " SELECT CAST(indeg AS INTEGER) AS indeg, CAST(outdeg AS INTEGER) AS outdeg, count(*) AS n FROM d GROUP BY 1, 2")
@@ -594,68 +629,114 @@ def stream_delta_cycles(spark, sf):
 
 # --- experiments ---------------------------------------------------------------------------------------------------------
 
+DOMAIN_METHODS = ("dom", "dom_s", "dom_sf")
+#: Per collection: the methods that are compared, the first being the baseline, and the sizes of its pattern sets.
+_SETS = {"dense_many_labels": (DOMAIN_METHODS, workloads.EDGES), "denser_few_labels": (DOMAIN_METHODS, workloads.EDGES), "sparse": (("ord", *DOMAIN_METHODS), workloads.EDGES[:-1])}
+#: Pairs after which a search counts as unfinished.
+BUDGET = 3_000_000
 
-def _instances(spark, sf, collection: str, edges=(4, 8, 16), densities=workloads.DENSITIES, seeds=(1,)) -> list[workloads.Instance]:
-    return workloads.instances(collection, [written(spark, sf, n) for n in workloads.COLLECTIONS[collection]], edges, densities, seeds)
 
+def _targets(spark, sf, collection: str) -> list[TargetGraph]:
+    return [written(spark, sf, n) for n in workloads.COLLECTIONS[collection]]
 
-DOMAIN_METHODS = ("dom", "dom_s", "dom_sf")
 
-
-@registered()
-def variants_dense_many_labels(spark, sf):
-    """Search space of the domain variants on the dense collection with many labels."""
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 8), ("dense", "sparse")), DOMAIN_METHODS, 1_000_000))
+def _searches(spark, sf, collection: str) -> DataFrame:
+    """Every size, density and draw of the collection's pattern sets by every method."""
+    methods, sizes = _SETS[collection]
+    return materialise(workloads.searches(collection, _targets(spark, sf, collection), methods, BUDGET, edges=sizes, draws=(1, 2)), "searches")
 
 
-@registered()
-def variants_denser_few_labels(spark, sf):
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "denser_few_labels", (4, 8), ("dense", "sparse")), DOMAIN_METHODS, 1_000_000))
+for _c, (_methods, _) in _SETS.items():
+    _add(f"variants_{_c}", lambda spark, sf, c=_c, b=_methods[0]: workloads.space_summary(_searches(spark, sf, c), b))
+    _add(f"long_sample_{_c}", lambda spark, sf, c=_c, b=_methods[0]: workloads.long_sample(_searches(spark, sf, c), b))
+    _add(f"unfinished_{_c}", lambda spark, sf, c=_c: workloads.unfinished(_searches(spark, sf, c)))
 
 
-@registered()
-def variants_sparse(spark, sf):
-    """The sparse collection: the base method against the domain variants."""
-    return workloads.space_summary(workloads.search_spaces(spark, _instances(spark, sf, "sparse", (3, 4), ("sparse",), (1, 2)), ("ord", *DOMAIN_METHODS), 2_000_000))
+def _simulated(spark, sf, collection: str, methods) -> DataFrame:
+    return materialise(workloads.simulated(collection, _targets(spark, sf, collection), methods, edges=_SETS[collection][1]), "simulated")
 
 
-@registered()
-def unfinished_within_budget(spark, sf):
-    """Instances that a budget leaves unfinished, by variant: the counterpart of unsolved within a time limit."""
-    return workloads.unfinished(workloads.search_spaces(spark, _instances(spark, sf, "dense_many_labels", (4, 16), ("dense",)), ("ord", "dom_sf"), 300_000))
+# Up to 16 workers are simulated, in ticks: over one worker of the same method, and over the baseline program run alone.
+for _c, _new, _old in (("dense_many_labels", "dom_sf", "dom"), ("denser_few_labels", "dom_sf", "dom"), ("sparse", "ord", "ord")):
+    _add(f"speedup_over_self_{_c}", lambda spark, sf, c=_c, m=_new: workloads.speedup_table(_simulated(spark, sf, c, (m,))))
+    if _new != _old:
+        _add(f"speedup_over_published_{_c}", lambda spark, sf, c=_c, m=_new, o=_old: workloads.speedup_table(_simulated(spark, sf, c, (m, o)), o).filter(F.col("method") == m))
 
 
 @registered()
 def stealing_on_off(spark, sf):
-    return workloads.stealing_effect(spark, target(spark, sf, "supplier_echo"), C["P1"])
+    """Sixteen workers with and without stealing, in groups of one and four, on patterns with large search trees."""
+    runs = workloads.simulated("dense_many_labels", _targets(spark, sf, "dense_many_labels"), ("ord",), (16,), (1, 4), range(3), (True, False), 60_000, edges=(16, 32), densities=("dense", "sparse"), draws=(1, 2))
+    return workloads.group_table(runs)
+
+
+for _c in workloads.COLLECTIONS:
+    # Group size by workers, fifteen draws of the victims, on a short sample.
+    _add(f"steal_sim_grid_{_c}", lambda spark, sf, c=_c: workloads.group_table(workloads.simulated(c, _targets(spark, sf, c), ("dom_sf",), (2, 4, 8, 16), (1, 2, 4, 8, 16), range(15), (True, False), 5_000, edges=(4, 8), draws=(1, 2))))
 
 
 @registered()
 def large_branches_four_targets(spark, sf):
-    """How wide the search trees of patterns from four targets are, by depth."""
+    """How wide the search trees of patterns taken from four targets are, by depth."""
     out = None
-    for name, p in (("supplier_echo", C["P1"]), ("part_flow", C["P2"]), ("turn_chain", C["P6"]), ("commerce", C["P5"])):
-        tree = materialise(tree_of(spark, target(spark, sf, name), p, name), "tree")
-        one = measures.large_branches(tree, 0.05).select(F.lit(name).alias("target"), "depth", "branches")
+    for name, density, n in (("supplier_echo", "dense", 16), ("part_flow", "semi", 16), ("user_relay", "dense", 4), ("turn_chain", "sparse", 4)):
+        t = target(spark, sf, name)
+        p = next(p for k in range(workloads.TRIES) if len((p := patterns.extract(t.csr(), n, density, 1 + k * workloads.TRY)).edges) == n)
+        one = measures.large_branches(materialise(tree_of(spark, t, p, name), "tree"), 0.05).select(F.lit(name).alias("target"), "depth", "branches")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-@registered()
-def orders_and_state_space(spark, sf):
-    return workloads.order_ablation(spark, target(spark, sf, "supplier_echo"), C["P8"], 3_000_000)
+_ORDERS = ("constraint_first", "by_degree", "identity", "random", "state_space")
+_add("orders_and_state_space", lambda spark, sf: workloads.order_ablation(target(spark, sf, "supplier_echo"), C["P8"], 10**9))
+_add("orders_matches", lambda spark, sf: workloads.order_ablation(target(spark, sf, "supplier_echo"), C["P8"], 10**9).select("order", "matches"), graph_sql("supplier_echo") + f" SELECT \"order\", n AS matches FROM ({sql_join(C['P8'], count=True)}) c, ({values(chr(34) + 'order' + chr(34), [(x,) for x in _ORDERS])}) o")
 
+#: Patterns that were taken from the targets, dense, semi-dense and sparse.
+_TAKEN = {
+    "supplier_echo": ("a:24->b:11; b->a; b->c:17; c->b; a->d:17; d->c", "a:24->b:11; b->a; b->c:17; c->b; a->d:17; d->c; e:14->c; e->a", "a:14->b:1; a->c:9; b->d:6; e:7->d; e->f:0"),
+    "part_flow": ("a:Brand#21->b:Brand#17; c:Brand#16->b; a->d:Brand#19; e:Brand#15->c; e->f:Brand#4", "a:Brand#21->b:Brand#17; c:Brand#16->b; a->d:Brand#19; e:Brand#15->c; e->f:Brand#4; e->g:Brand#21"),
+    "user_relay": ("a:click->b:purchase; b->c:error; a->c; a->d:view; d->a; c->d", "a:click->b:purchase; b->c:error; a->d:view"),
+    "turn_chain": ("a:user->b:assistant; c:assistant->a; b->d:user; e:user->c", "a:user->b:assistant; b->c:user; d:assistant->a; e:user->d; f:assistant->e"),
+}
+_METHODS = ("ord", "dom", "dom_s", "dom_f", "dom_sf")
 
-@registered()
-def collection_runs(spark, sf):
-    """A table of runs, without its clock columns: methods and workers agree on matches, and on pairs where they share the order."""
-    runs = workloads.run_collection(spark, _instances(spark, sf, "dense_many_labels", (4,), ("dense",)), ("ord", "dom_sf"), (1, 4), time_limit_s=60)
-    return runs.select("instance_id", "collection", "method", "workers", "group_size", "rep", "pairs", "matches", "timed_out")
 
+def _taken(spark, sf, name: str, workers=(None,)) -> DataFrame:
+    rows = []
+    where = written(spark, sf, name)
+    for k, text in enumerate(_TAKEN[name]):
+        for m in _METHODS:
+            for w in workers:
+                how = {"engine": "dfs"} if w is None else {"engine": "rounds", "workers": w, "budget": 100_000}
+                rows.append((f"{name}-{k}", m, w, engines.counts(where, PatternGraph.parse(text), m, **how).first()["matches"]))
+    return spark.createDataFrame(rows, "pattern string, method string, workers int, matches long")
 
-@registered()
-def partition_skew_cycle3(spark, sf):
-    """Pairs per Spark task: roots alone, and after a few rounds of dealing again."""
+
+def _taken_sql(name: str, keys: str) -> str:
+    counts = " UNION ALL ".join(f"SELECT '{name}-{k}' AS pattern, n AS matches FROM ({sql_join(PatternGraph.parse(x), simple=name != 'user_relay', count=True)}) q{k}" for k, x in enumerate(_TAKEN[name]))
+    return graph_sql(name) + f" SELECT * FROM ({counts}) p, ({keys}) m"
+
+
+for _name in _TAKEN:
+    _add(f"taken_patterns_{_name}", lambda spark, sf, n=_name: _taken(spark, sf, n).drop("workers"), _taken_sql(_name, values("method", [(m,) for m in _METHODS])))
+_add("collection_runs", lambda spark, sf: _taken(spark, sf, "supplier_echo", (1, 4)), _taken_sql("supplier_echo", values("method, workers", [(m, w) for m in _METHODS for w in (1, 4)])))
+
+#: Fixed value: a pattern of 20 edges on which singletons' targets leave other domains.
+PRUNED = "a:L26->b:L20; a->c:L20; d:L20->a; d->e:L22; e->f:L24; g:L4->e; h:L7->g; i:L0->g; j:L22->i; g->k:L5; j->l:L5; m:L15->l; l->n:L5; n->o:L4; p:L26->l; n->q:L15; r:L22->q; s:L22->m; m->t:L2; j->u:L20"
+
+
+@registered(graph_sql("uniform_dense") + f" SELECT method, pairs, n AS matches FROM ({values('method, pairs', [('dom', 3635), ('dom_s', 1426), ('dom_sf', 1006)])}) p, ({sql_join(PatternGraph.parse(PRUNED), count=True)}) c")
+def forward_checking_prunes(spark, sf):
+    """A seeded target with uniform labels, on which each step from plain domains to forward checking saves pairs. The pairs are those of a plain walk in the tests."""
+    where = tables.uniform_dense(spark, sf).written()
+    rows = [(m, *engines.counts(where, PatternGraph.parse(PRUNED), m, "dfs").select("pairs", "matches").first()) for m in DOMAIN_METHODS]
+    return spark.createDataFrame(rows, "method string, pairs long, matches long")
+
+
+_CYCLE_PAIRS = _DEGREES + _CYCLE_TREE + ", ok AS (SELECT vid FROM d WHERE indeg >= 1 AND outdeg >= 1) SELECT {0} (SELECT count(*) FROM t1 WHERE a IN (SELECT vid FROM ok)) + (SELECT count(*) FROM p2 WHERE a IN (SELECT vid FROM ok) AND b IN (SELECT vid FROM ok)) AS pairs"
+
+
+def _skew(spark, sf) -> DataFrame:
     out = []
     for name, how in (("roots", {"engine": "dfs"}), ("rounds", {"engine": "rounds", "budget": 20_000})):
         ready = engines.prepare(written(spark, sf, "part_flow"), C["P1"])
@@ -665,6 +746,10 @@ def partition_skew_cycle3(spark, sf):
     return spark.createDataFrame(out, "deal string, pairs long, rounds int")
 
 
+# Pairs per Spark task add up to the search's, from roots alone and after rounds of dealing again.
+_add("partition_skew_cycle3", lambda spark, sf: _skew(spark, sf).select("deal", "pairs"), graph_sql("part_flow") + _CYCLE_PAIRS.format("unnest(['roots', 'rounds']) AS deal,"))
+
+
 # --- more operators ------------------------------------------------------------------------------------------------------
 
 

@@ -30,8 +30,16 @@ class Counters:
 
 
 class Kernel:
-    def __init__(self, csr: Csr, plan: SearchPlan, label_match: LabelMatch | None = None, induced: bool = False):
+    """``lookahead`` (domain methods): a candidate must leave each later neighbour in the pattern an unused vertex of its domain."""
+
+    def __init__(self, csr: Csr, plan: SearchPlan, label_match: LabelMatch | None = None, induced: bool = False, lookahead: bool = False):
         self.csr, self.plan, self.induced = csr, plan, induced
+        place = {s.pv: s.pos for s in plan.steps}
+        self.ahead: list[list[tuple[int, bool, np.ndarray]]] = [[] for _ in plan.steps]
+        for s, d, _ in plan.pattern.edges if lookahead and plan.uses_domains else ():
+            if s != d:
+                v, u, out = (s, d, True) if place[s] < place[d] else (d, s, False)
+                self.ahead[place[v]].append((u, out, self._open(u, out)))
         self.wanted = [self._codes(s.vlabel, label_match) for s in plan.steps]
         self.have = {(s, d) for s, d, _ in plan.pattern.edges}
         self.loops = np.flatnonzero(csr.loops)
@@ -42,6 +50,22 @@ class Kernel:
         names = label_match.get(label, ()) if label_match is not None else (label,)
         return np.array(sorted(self.csr.label_code[x] for x in names if x in self.csr.label_code), np.int64)
 
+    def _open(self, u: int, out: bool) -> np.ndarray:
+        """Per vertex, its neighbours in the domain of pattern vertex ``u``."""
+        ptr, to = (self.csr.out_ptr, self.csr.out_to) if out else (self.csr.in_ptr, self.csr.in_to)
+        return np.diff(np.concatenate([[0], np.cumsum(self._in_domain(to, u))])[ptr])
+
+    def _leaves_open(self, block: np.ndarray, row: np.ndarray, cand: np.ndarray, step: Step) -> np.ndarray:
+        """Candidates that leave each later neighbour something: its candidates beside them, less those that are used."""
+        fine = np.ones(len(cand), bool)
+        for u, out, open_ in self.ahead[step.pos]:
+            left = open_[cand]
+            for i in range(step.pos):
+                image = block[row, i]
+                left = left - (self._in_domain(image, u) & self._edge(cand, image, Check(0, out, None)))
+            fine &= left > 0
+        return fine
+
     def roots(self, step: Step) -> np.ndarray:
         """Candidates of a position without an anchor: all vertices, or the domain's."""
         every = np.arange(self.csr.n)
@@ -101,7 +125,7 @@ class Kernel:
                         at = at[~self._edge(block[row[at], i], cand[at], check)]
             if not step.loops:
                 at = at[~self.csr.loops[cand[at]]]
-        return at
+        return at[self._leaves_open(block, row[at], cand[at], step)] if self.ahead[step.pos] else at
 
     def seeds(self, chosen: np.ndarray | None = None, counters: Counters | None = None) -> np.ndarray:
         """Root mappings that pass, of all root candidates or the ``chosen`` ones."""

@@ -11,6 +11,7 @@ auto    arrays if they fit the allowance, joins if not; joins take the order, wi
 
 from __future__ import annotations
 
+import re
 import time
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -18,7 +19,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -30,8 +31,16 @@ from . import expand
 from .dfs import Counters, Kernel
 
 TAGGED = "kind string, depth int, m array<bigint>, pairs bigint, part int"
-#: Bytes of arrays that may be broadcast.
-MAX_BYTES = 1 << 30
+
+
+def allowed_bytes(spark: SparkSession) -> int:
+    """Bytes of arrays that may be broadcast: every core's Python worker holds them, so a quarter of an executor's memory is shared among its cores; 64 MB at least."""
+    conf, local = spark.sparkContext.getConf(), spark.sparkContext.master.startswith("local[")
+    size = conf.get("spark.driver.memory" if local else "spark.executor.memory", "1g").strip().lower()
+    found = re.fullmatch(r"([0-9]+)([kmgt]?)b?", size)
+    memory = int(found[1]) << {"k": 10, "m": 20, "g": 30, "t": 40, "": 20}[found[2]] if found else 1 << 30
+    cores = spark.sparkContext.defaultParallelism if local else int(conf.get("spark.executor.cores", "1"))
+    return max(64 << 20, memory // 4 // max(1, cores))
 
 
 @dataclass
@@ -49,8 +58,8 @@ class Prepared:
     max_cross: int = 10**7
     stats: dict = field(default_factory=dict)
 
-    def csr(self, max_bytes: int = MAX_BYTES) -> Csr:
-        return self.target.csr(max_bytes, self.domains, D.words(self.plan.pattern) if self.plan.uses_domains else 0)
+    def csr(self, max_bytes: int | None = None) -> Csr:
+        return self.target.csr(max_bytes or allowed_bytes(self.target.vertices.sparkSession), self.domains, D.words(self.plan.pattern) if self.plan.uses_domains else 0)
 
 
 def prepare(target: TargetGraph, pattern: PatternGraph, method: str = "ord", rounds: int | str = 1, induced: bool = False, label_match=None, max_cross: int = 10**7, order=None, reconsistency: bool = False) -> Prepared:
@@ -79,7 +88,7 @@ def _listed(rows: np.ndarray, group: int, kind: str, part: int) -> Iterator[pa.R
         yield pa.RecordBatch.from_arrays([pa.array([kind] * k), pa.array(np.full(k, width, np.int32)), lists, pa.nulls(k, pa.int64()), pa.array(np.full(k, part, np.int32))], names=["kind", "depth", "m", "pairs", "part"])
 
 
-def explore(seeds: DataFrame, csr: Csr, ready: Prepared, budget: int | None = None, group_size: int = 4, time_limit_s: float | None = None, first_only: bool = False, count_only: bool = False) -> DataFrame:
+def explore(seeds: DataFrame, csr: Csr, ready: Prepared, budget: int | None = None, group_size: int = 4, time_limit_s: float | None = None, first_only: bool = False, count_only: bool = False, lookahead: bool = False) -> DataFrame:
     """Run the kernel over written or dealt ``seeds`` (depth, m: whole mappings one after another). Returns ``TAGGED`` rows:
     matches, what is left, and one row of counts per task."""
     spark = seeds.sparkSession
@@ -89,7 +98,7 @@ def explore(seeds: DataFrame, csr: Csr, ready: Prepared, budget: int | None = No
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        kernel, counters, part = Kernel(shared.value, plan, label_match, induced), Counters(), TaskContext.get().partitionId()
+        kernel, counters, part = Kernel(shared.value, plan, label_match, induced, lookahead), Counters(), TaskContext.get().partitionId()
         vids, by_depth, found = shared.value.vids, {}, 0
         for batch in batches:
             for depth, m in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -131,7 +140,7 @@ def _dealt(seeds: DataFrame, tasks: int, how: str = "block") -> DataFrame:
     return seeds.repartitionByRange(tasks, "m") if how == "block" else seeds.repartition(tasks)
 
 
-def run(ready: Prepared, engine: str = "auto", workers: int | None = None, budget: int | None = None, group_size: int = 4, time_limit_s: float | None = None, first_only: bool = False, count_only: bool = False, split_depth: int | str = "auto", over: int = 4, deal: str = "roundrobin", max_bytes: int = MAX_BYTES, max_rounds: int | None = None) -> DataFrame:
+def run(ready: Prepared, engine: str = "auto", workers: int | None = None, budget: int | None = None, group_size: int = 4, time_limit_s: float | None = None, first_only: bool = False, count_only: bool = False, split_depth: int | str = "auto", over: int = 4, deal: str = "roundrobin", max_bytes: int | None = None, max_rounds: int | None = None, lookahead: bool = False) -> DataFrame:
     """Matches as p0, p1, ... by position; or with ``count_only`` one row (pairs, matches, timed_out).
 
     ``max_rounds`` ends a search in rounds, so that the pairs it considers are bounded; it then counts as timed out.
@@ -170,13 +179,13 @@ def run(ready: Prepared, engine: str = "auto", workers: int | None = None, budge
         before = sum(counted)
     seeds = _dealt(_seeds(frontier, depth), tasks, deal)
     if engine in ("dfs", "hybrid"):
-        parts = [materialise(explore(seeds, csr, ready, None, group_size, time_limit_s, first_only, count_only), "explored")]
+        parts = [materialise(explore(seeds, csr, ready, None, group_size, time_limit_s, first_only, count_only, lookahead), "explored")]
     elif engine == "rounds":
         budget = budget or 20_000_000
         parts, end = [], None if time_limit_s is None else time.monotonic() + time_limit_s
         while True:
             limit = None if end is None else max(0.0, end - time.monotonic())
-            parts.append(materialise(explore(seeds, csr, ready, budget, group_size, limit, first_only, count_only), "round"))
+            parts.append(materialise(explore(seeds, csr, ready, budget, group_size, limit, first_only, count_only, lookahead), "round"))
             left = parts[-1].filter("kind = 'todo'")
             late = limit is not None and not limit or max_rounds is not None and len(parts) >= max_rounds
             if late or left.isEmpty() or first_only and not parts[-1].filter("kind = 'match'").isEmpty():

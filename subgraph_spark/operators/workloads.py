@@ -1,127 +1,198 @@
 """The experiments, re-expressed on the given tables.
 
-A collection is a list of instances: a target and patterns taken from it. Wall-clock goes to the table of runs and to the
-benchmark; what is registered as a query is counted in pairs and ticks, and so repeats exactly.
+A collection is a list of targets; an instance is a target and a pattern taken from it, of a size, density and draw. A row per
+instance is dealt to tasks, which hold the target's arrays: they extract the pattern, prepare the domains, search, and
+simulate stealing there. Nothing but the rows of results leaves a task. Clocks go to the benchmark; what is registered as a query is
+counted in pairs and ticks, and so repeats exactly.
 """
 
 from __future__ import annotations
 
-import itertools
-from dataclasses import dataclass
+import dataclasses
+import json
+import time
+from collections.abc import Iterator, Sequence
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+import pandas as pd
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import PatternGraph, TargetGraph
+from ..model import Csr, PatternGraph, TargetGraph
 from ..plans import order as orders
 from ..plans.search_plan import build
-from . import baselines, engines, measures, patterns, steal_sim
-from .dfs import Kernel, search_tree
+from . import array_domains, baselines, measures, patterns, steal_sim
+from .dfs import Counters, Kernel, search_tree
 
 #: Edges of the pattern sets; the sparse collection stops at 128.
 EDGES = (4, 8, 16, 32, 64, 128, 256)
 DENSITIES = ("dense", "semi", "sparse")
 #: Stand-ins for the collections: dense with many labels, denser with few, sparse with few.
 COLLECTIONS = {"dense_many_labels": ("supplier_echo", "part_flow"), "denser_few_labels": ("user_relay",), "sparse": ("commerce", "turn_chain")}
-#: Instances with fewer pairs than this, in the baseline, are short where no clock is read.
+#: Instances with fewer pairs (or ticks) than this, in the baseline, are short where no clock is read.
 SHORT_PAIRS = 100_000
+SHORT_TICKS = 1_000
 
+#: A draw that falls into too small a part of its target is drawn again, so many times.
+TRIES, TRY = 20, 1_000
 
-@dataclass(frozen=True)
-class Instance:
-    name: str
-    collection: str
-    target: TargetGraph
-    pattern: PatternGraph
+INSTANCE = "collection string, instance string, edges int, density string, draw int"
+SEARCHES = INSTANCE + ", vertices int, method string, prep_ms double, match_ms double, total_ms double, pairs long, matches long, cut boolean, peak_mb double, pattern string"
+SIMULATED = INSTANCE + ", method string, workers int, group_size int, seed int, stealing boolean, pairs long, makespan long, spread double, steals_ok long, steals_failed long"
 
 
-def instances(collection: str, targets: list[TargetGraph], edges=EDGES, densities=DENSITIES, seeds=(1,)) -> list[Instance]:
-    """Patterns of each size and density from each target; those for which the target is too small are left out."""
+def as_text(pattern: PatternGraph) -> str:
+    return json.dumps([pattern.labels, pattern.edges])
+
+
+def prepared(csr: Csr, pattern: PatternGraph, method: str, order: Sequence[int] | None = None) -> Kernel | None:
+    """A kernel for one search over the arrays; None if a domain is empty."""
+    if method == "ord":
+        return Kernel(csr, build(pattern, "ord", order=order))
+    masks, sizes = array_domains.prepare(csr, pattern, method)
+    return None if 0 in sizes else Kernel(dataclasses.replace(csr, masks=masks), build(pattern, method, sizes, order))
+
+
+def explored(kernel: Kernel, budget: int, time_limit_s: float | None = None) -> tuple[Counters, bool]:
+    """A whole search, or the part that the budget of pairs allows; and whether something was left."""
+    counters, left = Counters(), False
+    end = None if time_limit_s is None else time.monotonic() + time_limit_s
+    width = len(kernel.plan.steps)
+    for kind, _ in kernel.run(kernel.seeds(None, counters), counters, budget, end, block=max(256, (1 << 19) // width)):
+        left = left or kind == "todo"
+    return counters, left
+
+
+def on_instances(collection: str, targets: Sequence[TargetGraph], work, schema: str, edges=EDGES, densities=DENSITIES, draws=(1,), max_bytes: int | None = None) -> DataFrame:
+    """``work(csr, pattern)`` yields tuples, which follow the instance's columns in the rows of ``schema``. Instances whose target is too small for the size are left out."""
     out = []
+    names = [x.strip().split(" ")[0] for x in schema.split(",")]
     for t in targets:
-        csr = t.csr()
-        for n, d, s in itertools.product(edges, densities, seeds):
-            p = patterns.extract(csr, n, d, s)
-            if len(p.edges) == n:
-                out.append(Instance(f"{t.name}/{p.name}", collection, t, p))
-    return out
-
-
-def run_collection(spark: SparkSession, of: list[Instance], methods=("ord",), workers=(1,), group_size: int = 4, budget: int = 2_000_000, time_limit_s: float = 180.0, reps: int = 1, max_rounds: int | None = None) -> DataFrame:
-    """A row of RUNS for every instance, method, number of workers and repetition. Reading is not timed."""
-    rows = []
-    for x, m, w, rep in itertools.product(of, methods, workers, range(reps)):
-        clock: dict[str, float] = {}
-        with measures.timer(clock, "prep"):
-            ready = engines.prepare(x.target, x.pattern, m)
-        with measures.timer(clock, "match"):
-            got = engines.run(ready, "rounds" if w > 1 else "dfs", workers=w, budget=budget if w > 1 else None, group_size=group_size, time_limit_s=time_limit_s, count_only=True, **({"max_rounds": max_rounds} if w > 1 else {})).first()
-        rows.append((x.name, x.collection, m, w, group_size, rep, clock["prep"], clock["match"], clock["prep"] + clock["match"], got["pairs"], got["matches"], 0, 0, measures.peak_memory_mb(), got["timed_out"]))
-    return measures.runs_table(spark, rows)
-
-
-SPACE = "instance string, collection string, method string, pairs long, matches long, cut boolean, class string"
-
-
-def search_spaces(spark: SparkSession, of: list[Instance], methods, budget: int) -> DataFrame:
-    """Pairs per instance and method, each search cut after ``budget`` pairs; short and long by the first method's pairs.
-
-    One task per instance: a stated budget bounds it, and it makes no Spark job of its own.
-    """
-    import pandas as pd
-
-    rows = []
-    for x in of:
-        for m in methods:
-            ready = engines.prepare(x.target, x.pattern, m)
-            if ready.infeasible:
-                rows.append((x.name, x.collection, m, 0, 0, False))
+        spark = t.vertices.sparkSession
+        shared = spark.sparkContext.broadcast(t.csr() if max_bytes is None else t.csr(max_bytes))  # its size is checked there
+        rows = [(collection, t.name, n, d, s) for n in edges for d in densities for s in draws]
+        dealt = spark.createDataFrame(rows, "collection string, target string, edges int, density string, draw int").repartition(len(rows), "edges", "density", "draw")
+
+        def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
+            for batch in batches:
+                for x in batch.itertuples(index=False):
+                    tries = (patterns.extract(shared.value, int(x.edges), x.density, int(x.draw) + TRY * k) for k in range(TRIES))
+                    pattern = next((p for p in tries if len(p.edges) == x.edges), None)
+                    if pattern is not None:
+                        key = x.collection, f"{x.target}/{x.density}-{x.edges}-{x.draw}", x.edges, x.density, x.draw
+                        yield pd.DataFrame([(*key, *y) for y in work(shared.value, pattern)], columns=names)
+
+        out.append(dealt.mapInPandas(run, schema))
+    return reduce(DataFrame.unionByName, out)
+
+
+def searches(collection: str, targets: Sequence[TargetGraph], methods: Sequence[str], budget: int = 1_000_000, time_limit_s: float | None = None, **which) -> DataFrame:
+    """A row of SEARCHES per instance and method. A search ends after ``budget`` pairs, and then is marked as cut."""
+
+    def work(csr: Csr, pattern: PatternGraph):
+        for method in methods:
+            began = time.monotonic()
+            kernel = prepared(csr, pattern, method)
+            ready = time.monotonic()
+            counters, left = (Counters(), False) if kernel is None else explored(kernel, budget, time_limit_s)
+            prep, match = (ready - began) * 1000, (time.monotonic() - ready) * 1000
+            yield pattern.size, method, prep, match, prep + match, counters.pairs, counters.matches, left, measures.peak_memory_mb(), as_text(pattern)
+
+    return on_instances(collection, targets, work, SEARCHES, **which)
+
+
+def classed(found: DataFrame, baseline: str) -> DataFrame:
+    """``found`` with each instance's class by the baseline's pairs, and whether any method left it unfinished."""
+    base = found.filter(F.col("method") == baseline).select("instance", F.when(F.col("pairs") < SHORT_PAIRS, "short").otherwise("long").alias("class"))
+    return found.join(base, "instance").join(found.groupBy("instance").agg(F.max("cut").alias("open")), "instance")
+
+
+def space_summary(found: DataFrame, baseline: str = "dom") -> DataFrame:
+    """Per class and method: instances, those that the method left unfinished, and over those that every method finished their number, matches, and pairs."""
+    done = ~F.col("open")
+    return classed(found, baseline).groupBy("collection", "class", "method").agg(
+        F.count("*").alias("instances"),
+        F.count_if("cut").alias("unfinished"),
+        F.count_if(done).alias("finished_by_all"),
+        F.sum(F.when(done, F.col("matches"))).alias("matches"),
+        F.round(F.avg(F.when(done, F.col("pairs"))), 6).alias("mean_pairs"),
+        F.round(F.stddev_pop(F.when(done, F.col("pairs"))), 6).alias("sd_pairs"),
+    )
+
+
+def long_sample(found: DataFrame, baseline: str = "dom", n: int = 10) -> DataFrame:
+    """Of the ``n`` finished instances with the most pairs in the baseline: each method's pairs, and how they relate to the baseline's."""
+    done = classed(found, baseline).filter(~F.col("open"))
+    base = done.filter(F.col("method") == baseline).select("instance", F.col("pairs").alias("base_pairs")).orderBy(F.desc("base_pairs"), "instance").limit(n)
+    return done.join(base, "instance").groupBy("collection", "method").agg(F.count("*").alias("instances"), F.sum("pairs").alias("pairs"), F.round(F.avg("pairs"), 6).alias("mean_pairs"), F.round(F.sum("pairs") / F.sum("base_pairs"), 6).alias("of_baseline"))
+
+
+def unfinished(found: DataFrame) -> DataFrame:
+    return found.groupBy("collection", "method").agg(F.count_if("cut").alias("unfinished"), F.count("*").alias("instances"))
+
+
+def simulated(collection: str, targets: Sequence[TargetGraph], methods: Sequence[str] = ("ord",), workers=(1, 2, 4, 8, 16), groups=(4,), seeds=(0,), stealing=(True,), max_nodes: int = 30_000, **which) -> DataFrame:
+    """A row of SIMULATED per instance, method and setting. Instances whose search tree has more than ``max_nodes`` under a method aren't simulated for it: their pairs are -1."""
+
+    def work(csr: Csr, pattern: PatternGraph):
+        for method in methods:
+            kernel = prepared(csr, pattern, method)
+            try:
+                tree = None if kernel is None else search_tree(kernel, max_nodes)
+            except ValueError:
+                yield method, 1, 1, 0, True, -1, None, None, None, None
                 continue
-            from .dfs import Counters
-
-            kernel, c = Kernel(ready.csr(), ready.plan), Counters()
-            todo = 0
-            for kind, block in kernel.run(kernel.seeds(None, c), c, budget):
-                todo += kind == "todo" and len(block)
-            rows.append((x.name, x.collection, m, c.pairs, c.matches, bool(todo)))
-    first = {r[0]: r[3] for r in reversed(rows)}
-    return spark.createDataFrame(pd.DataFrame([(*r, "short" if first[r[0]] < SHORT_PAIRS else "long") for r in rows], columns=[x.strip().split(" ")[0] for x in SPACE.split(",")]), SPACE)
-
-
-def space_summary(spaces: DataFrame) -> DataFrame:
-    """Mean and deviation of the pairs by method, over the instances that no method left unfinished."""
-    cut = spaces.filter("cut").select("instance").distinct()
-    done = spaces.join(cut, "instance", "left_anti")
-    return done.groupBy("collection", "class", "method").agg(F.count("*").alias("instances"), F.sum("matches").alias("matches"), F.round(F.avg("pairs"), 6).alias("mean_pairs"), F.round(F.stddev_pop("pairs"), 6).alias("sd_pairs"))
-
-
-def unfinished(spaces: DataFrame) -> DataFrame:
-    return spaces.groupBy("collection", "method").agg(F.count_if("cut").alias("unfinished"), F.count("*").alias("instances"))
-
-
-def stealing_effect(spark: SparkSession, t: TargetGraph, p: PatternGraph, workers=(1, 2, 4, 8, 16), groups=(1, 4), seeds: int = 3) -> DataFrame:
-    """Makespan and spread of states with and without stealing, and the speedup over one worker, in ticks."""
-    tree = search_tree(Kernel(t.csr(), build(p)))
-    args = (tree["parent_id"], tree["depth"], tree["consistent"])
-    rows = []
-    alone = steal_sim.simulate(*args, 1, 1).makespan
-    for w, g, s, on in itertools.product(workers, groups, range(seeds), (True, False)):
-        x = steal_sim.simulate(*args, w, g, s, on)
-        rows.append((w, g, s, on, x.makespan, x.spread, x.steals_ok, x.steals_failed, alone / x.makespan))
-    df = spark.createDataFrame(rows, "workers int, group_size int, seed int, stealing boolean, makespan long, spread double, ok long, failed long, speedup double")
-    return df.groupBy("workers", "group_size", "stealing").agg(F.round(F.avg("makespan"), 6).alias("makespan"), F.round(F.avg("spread"), 6).alias("spread"), F.round(F.avg("ok"), 6).alias("steals_ok"), F.round(F.avg("failed"), 6).alias("steals_failed"), F.round(F.avg("speedup"), 6).alias("speedup"))
-
-
-def order_ablation(spark: SparkSession, t: TargetGraph, p: PatternGraph, budget: int) -> DataFrame:
-    """Pairs under other orders, and of the state-space matcher."""
-    from .dfs import Counters
-
-    csr = t.csr()
-    rows = []
-    for name, order in (("constraint_first", orders.constraint_first(p)), ("by_degree", orders.by_degree(p)), ("identity", orders.identity(p)), ("random", orders.random(p, 1))):
-        kernel, c = Kernel(csr, build(p, "ord", order=order)), Counters()
-        todo = sum(len(b) for kind, b in kernel.run(kernel.seeds(None, c), c, budget) if kind == "todo")
-        rows.append((name, c.pairs, c.matches, bool(todo)))
-    pairs, found = baselines.state_space(csr, p)
-    rows.append(("state_space", pairs, len(found), False))
-    return spark.createDataFrame(rows, "order string, pairs long, matches long, cut boolean")
+            for w in workers:
+                for g in groups if w > 1 else groups[:1]:
+                    for s in seeds if w > 1 else seeds[:1]:
+                        for on in stealing if w > 1 else (True,):
+                            if tree is None:
+                                yield method, w, g, s, on, 0, 1, 0.0, 0, 0
+                            else:
+                                x = steal_sim.simulate(tree["parent_id"], tree["depth"], tree["consistent"], w, g, s, on)
+                                yield method, w, g, s, on, sum(x.states), x.makespan, x.spread, x.steals_ok, x.steals_failed
+
+    return on_instances(collection, targets, work, SIMULATED, **which)
+
+
+def speedup_table(runs: DataFrame, base_method: str | None = None) -> DataFrame:
+    """Speedups in ticks over one worker of the same method (or of ``base_method``), by class: ratio of totals, geometric mean, extremes."""
+    base = runs.filter("workers = 1 and pairs >= 0").select("collection", "instance", F.col("method").alias("base_method"), F.col("makespan").alias("base"))
+    same = F.col("base_method") == (F.col("method") if base_method is None else F.lit(base_method))
+    both = runs.filter("pairs >= 0").join(base, ["collection", "instance"]).filter(same).withColumn("ratio", F.col("base") / F.col("makespan"))
+    kinds = F.explode(F.array(F.lit("all"), F.when(F.col("base") < SHORT_TICKS, "short").otherwise("long"))).alias("class")
+    out = both.select("*", kinds).groupBy("collection", "method", "workers", "class").agg(
+        F.count("*").alias("runs"),
+        F.round(F.sum("base") / F.sum("makespan"), 6).alias("speedup_avg"),
+        F.round(F.exp(F.avg(F.ln("ratio"))), 6).alias("speedup_gmean"),
+        F.round(F.max("ratio"), 6).alias("speedup_max"),
+        F.round(F.min("ratio"), 6).alias("speedup_min"),
+    )
+    return out.withColumn("above_workers", F.col("speedup_max") > F.col("workers"))
+
+
+def group_table(runs: DataFrame) -> DataFrame:
+    """Makespan, spread and steals by workers, group size and stealing, over instances and draws."""
+    mean = lambda c: F.round(F.avg(c), 6).alias(c)
+    return runs.filter("pairs >= 0").groupBy("collection", "workers", "group_size", "stealing").agg(F.count("*").alias("runs"), mean("makespan"), mean("spread"), mean("steals_ok"), mean("steals_failed"))
+
+
+def order_ablation(target: TargetGraph, pattern: PatternGraph, budget: int) -> DataFrame:
+    """Pairs and matches under other orders, and of the state-space matcher; a task each."""
+    spark = target.vertices.sparkSession
+    shared = spark.sparkContext.broadcast(target.csr())
+    made = {"constraint_first": orders.constraint_first(pattern), "by_degree": orders.by_degree(pattern), "identity": orders.identity(pattern), "random": orders.random(pattern, 1), "state_space": None}
+    rows = spark.createDataFrame([(k,) for k in made], "`order` string").repartition(len(made), "order")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for name in batch["order"]:
+                if name == "state_space":
+                    pairs, found = baselines.state_space(shared.value, pattern)
+                    row = (name, pairs, len(found), False)
+                else:
+                    counters, left = explored(Kernel(shared.value, build(pattern, "ord", order=made[name])), budget)
+                    row = (name, counters.pairs, counters.matches, left)
+                yield pd.DataFrame([row], columns=["order", "pairs", "matches", "cut"])
+
+    return rows.mapInPandas(run, "`order` string, pairs long, matches long, cut boolean")

@@ -177,10 +177,19 @@ def doc_share(spark: SparkSession, sf_dir: str) -> TargetGraph:
     return TargetGraph.of(vertices, shared_lines(spark, sf_dir).withColumn("elabel", F.lit(None).cast("string")), name="doc_share")
 
 
-BUILDERS = {f.__name__: f for f in (supplier_echo, part_flow, user_relay, commerce, turn_chain, embed_knn, page_links, doc_share)}
+def uniform_dense(spark: SparkSession, sf_dir: str, n: int = 100, share: int = 1500, labels: int = 31, seed: int = 1) -> TargetGraph:
+    """A seeded target of ``n`` vertices with evenly spread labels; about ``share`` of 10,007 pairs are edges. It reads no table."""
+    vertices = spark.range(n).select(F.col("id").alias("vid"), F.concat(F.lit("L"), (F.col("id") * F.col("id") * 13 + F.col("id") * 7 + seed) % labels).alias("vlabel"))
+    pairs = spark.range(n * n).select(F.expr(f"id div {n}").alias("src"), (F.col("id") % n).alias("dst"))
+    kept = pairs.filter((F.col("src") * 7919 + F.col("dst") * 104729 + F.col("src") * F.col("dst") * 31 + seed * 1299709) % 10007 < share)
+    return TargetGraph.of(vertices, kept.filter("src <> dst").select("src", "dst", F.lit(None).cast("string").alias("elabel")), name="uniform_dense")
+
+
+BUILDERS = {f.__name__: f for f in (supplier_echo, part_flow, user_relay, commerce, turn_chain, embed_knn, page_links, doc_share, uniform_dense)}
 
 #: The vertex and edge tables of each builder, as the oracle's SQL.
 _EDGE_SQL = {
+    "uniform_dense": "SELECT a.i AS src, b.i AS dst, CAST(NULL AS VARCHAR) AS elabel FROM range(100) a(i), range(100) b(i) WHERE a.i <> b.i AND (a.i * 7919 + b.i * 104729 + a.i * b.i * 31 + 1299709) % 10007 < 1500",
     "supplier_echo": "SELECT x.l_suppkey AS src, y.l_suppkey AS dst, CAST(min(date_diff('day', x.l_shipdate, y.l_shipdate)) AS VARCHAR) AS elabel FROM lineitem x JOIN lineitem y ON x.l_partkey = y.l_partkey AND x.l_suppkey <> y.l_suppkey AND y.l_shipdate >= x.l_shipdate AND y.l_shipdate <= x.l_shipdate + INTERVAL 1 DAY GROUP BY 1, 2",
     "part_flow": "SELECT DISTINCT x.l_partkey AS src, y.l_partkey AS dst, CAST(NULL AS VARCHAR) AS elabel FROM lineitem x JOIN lineitem y ON x.l_orderkey = y.l_orderkey AND y.l_linenumber = x.l_linenumber + 1 WHERE x.l_partkey <> y.l_partkey",
     "user_relay": "SELECT user_id AS src, nu AS dst, min(nt) AS elabel FROM (SELECT user_id, ts, lead(user_id) OVER w AS nu, lead(event_type) OVER w AS nt, lead(ts) OVER w AS nts FROM events WINDOW w AS (ORDER BY ts, event_id)) q WHERE nts <= ts + INTERVAL 10 MINUTE AND user_id <> nu GROUP BY 1, 2",
@@ -190,6 +199,7 @@ _EDGE_SQL = {
     "embed_knn": "SELECT src, dst, CAST(NULL AS VARCHAR) AS elabel FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_inner_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) DESC, b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) q WHERE r <= 5",
 }
 _VERTEX_SQL = {
+    "uniform_dense": "SELECT i AS vid, 'L' || ((i * i * 13 + i * 7 + 1) % 31) AS vlabel FROM range(100) t(i)",
     "supplier_echo": "SELECT s_suppkey AS vid, CAST(s_nationkey AS VARCHAR) AS vlabel FROM supplier",
     "part_flow": "SELECT p_partkey AS vid, p_brand AS vlabel FROM part",
     "user_relay": "SELECT user_id AS vid, event_type AS vlabel FROM (SELECT user_id, event_type, row_number() OVER (PARTITION BY user_id ORDER BY count(*) DESC, event_type) AS r FROM events GROUP BY 1, 2) q WHERE r = 1",
