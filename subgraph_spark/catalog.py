@@ -800,6 +800,12 @@ def stream_late_drop(spark, sf):
     return streaming.late_drop(spark, tables.read(spark, sf, "events"))
 
 
+@registered("SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def stream_restarted(spark, sf):
+    """Counts of a stream that stops after half of the events and is taken up again from its checkpoint."""
+    return streaming.restarted(tables.read(spark, sf, "events").select("event_id", "event_type"))
+
+
 @registered("SELECT 'random' AS target, 200 AS vertices, true AS enough")
 def random_target(spark, sf):
     """A random graph made from ranges of numbers, seeded."""

@@ -22,7 +22,12 @@ def groups(tasks: DataFrame, group_size: int, parent: str = "prefix_id") -> Data
     return tasks.withColumn("grp", at).groupBy(parent, "pos", "grp").agg(F.array_sort(F.collect_list("vt")).alias("vts"))
 
 
-def advise(pairs_by_root: DataFrame, least_pairs: int = 1_000_000, most: int = 10_000) -> int:
+def worth(pairs: float, roots: int, least_pairs: int = 1_000_000, most: int = 10_000) -> int:
     """Workers worth having: one per ``least_pairs`` pairs, and no more than one per root."""
+    return max(1, min(most, roots, int(min(pairs, 1e18) // least_pairs)))
+
+
+def advise(pairs_by_root: DataFrame, least_pairs: int = 1_000_000, most: int = 10_000) -> int:
+    """``worth`` from measured pairs per root."""
     row = pairs_by_root.agg(F.sum("pairs").alias("pairs"), F.count("*").alias("roots")).first()
-    return max(1, min(most, row["roots"], (row["pairs"] or 0) // least_pairs))
+    return worth(row["pairs"] or 0, row["roots"], least_pairs, most)

@@ -28,6 +28,7 @@ from ..plans.search_plan import SearchPlan, build
 from ..session import materialise
 from . import domains as D
 from . import expand
+from .balance import worth
 from .dfs import Counters, Kernel
 
 TAGGED = "kind string, depth int, m array<bigint>, pairs bigint, part int"
@@ -152,6 +153,10 @@ def run(ready: Prepared, engine: str = "auto", workers: int | None = None, budge
     if engine == "auto":
         try:
             csr, engine = ready.csr(max_bytes), "rounds"
+            # A short search is not worth many workers: its pairs are guessed from the roots and the mean degree.
+            roots = csr.n if ready.sizes is None else ready.sizes.size[ready.plan.steps[0].pv]
+            pairs = roots * max(1.0, len(csr.keys) / max(1, csr.n)) ** min(len(ready.plan.steps) - 1, 8)
+            workers = workers or worth(pairs, max(1, roots), most=spark.sparkContext.defaultParallelism)
         except TargetTooLarge:
             engine = "join"
             if ready.plan.uses_domains:

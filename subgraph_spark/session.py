@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; where that is unset, as in tests on one machine, a new folder, which is then set."""
+    """The session's spark.checkpoint.dir; where that is unset, on one machine, a new folder, which is then set. A cluster must name one."""
     there = spark.conf.get("spark.checkpoint.dir", None)
     if there:
         return there
@@ -17,6 +17,8 @@ def shared_folder(spark: SparkSession) -> str:
     known = context._jsc.sc().getCheckpointDir()
     if known.isDefined():
         return known.get()
+    if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+        raise ValueError("spark.checkpoint.dir is unset, and executors of a cluster share no local folder")
     there = "file://" + tempfile.mkdtemp(prefix="shared-")
     context.setCheckpointDir(there)
     return there

@@ -5,12 +5,15 @@ from __future__ import annotations
 import uuid
 from collections.abc import Callable
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..model import PatternGraph, TargetGraph
 from ..operators import engines, expand
 from ..plans.search_plan import build
+from ..session import shared_folder
 
 
 def events_stream(spark, folder: str, schema, files_a_trigger: int = 1) -> DataFrame:
@@ -150,13 +153,41 @@ def delta_stream(edges: DataFrame, vertices: DataFrame, pattern: PatternGraph, s
     return edges.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def drained(stream: DataFrame, name: str, mode: str = "complete", after: Callable | None = None) -> DataFrame:
-    """Run a stream over what there is, into a table in memory: for small results such as windows' counts."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def drained(stream: DataFrame, name: str, mode: str = "complete", after: Callable | None = None, folder: str | None = None) -> DataFrame:
+    """Run a stream over what there is, into Parquet in the shared folder, a folder per batch that a repeated batch overwrites.
+
+    In complete mode the last batch is the result, else all are. A stream that is given its ``folder`` again goes on where it stopped.
+    """
+    folder = folder or f"{shared_folder(stream.sparkSession).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+    def keep(rows: DataFrame, n: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{folder}/rows/batch={n}")
+
+    query = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
     query.awaitTermination()
     if after:
         after(query)
-    return stream.sparkSession.table(name)
+    spark = stream.sparkSession
+    rows = T.StructType([*stream.schema.fields, T.StructField("batch", T.LongType())])
+    try:
+        found = spark.read.schema(rows).parquet(f"{folder}/rows")
+    except AnalysisException:  # no batch had come
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        found = found.filter(F.col("batch") == found.agg(F.max("batch")).first()[0])
+    return found.drop("batch")
+
+
+def restarted(events: DataFrame) -> DataFrame:
+    """Counts by event_type of a stream over two halves of ``events`` (event_id, event_type): it is stopped after the first, and goes on with its state."""
+    spark = events.sparkSession
+    folder = f"{shared_folder(spark).rstrip('/')}/restarted-{uuid.uuid4().hex}"
+    out = None
+    for half in (0, 1):
+        events.filter(F.pmod("event_id", F.lit(2)) == half).write.mode("append").parquet(f"{folder}/in")
+        stream = spark.readStream.schema(events.schema).parquet(f"{folder}/in").groupBy("event_type").agg(F.count("*").alias("n"))
+        out = drained(stream, "counts", "complete", folder=f"{folder}/out")
+    return out
 
 
-__all__ = ["TargetGraph", "build", "delta_matches", "delta_stream", "drained", "engines", "events_stream", "expand", "sessions", "two_steps", "windowed_counts", "with_labels"]
+__all__ = ["TargetGraph", "build", "delta_matches", "delta_stream", "drained", "engines", "events_stream", "expand", "restarted", "sessions", "two_steps", "windowed_counts", "with_labels"]
