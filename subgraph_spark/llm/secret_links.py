@@ -2,8 +2,8 @@
 
 Base findings stand by themselves: an assignment to a secret's name, an access identifier, a long run of hex digits.
 Weak candidates do not: identifiers of less certain prefixes, bare strings that could be a secret key, and endpoints. They
-are reported only where complementary parts co-occur: parts of a text are joined to those within ``reach`` code
-points of them, and an identifier needs a secret there, a secret an identifier, an endpoint both.
+are reported only where complementary parts co-occur: parts of a text are joined to those whose ends are within ``reach`` code
+points of theirs, and an identifier needs a secret there, a secret an identifier, an endpoint both.
 
 The interval join is a window over ranges of positions, so a part meets its neighbourhood's counts and not each neighbour. It sees
 the texts' parts only, and of these only texts that have a weak candidate beside another kind. A scope is a
@@ -32,6 +32,15 @@ BARE = r"(?<![A-Za-z0-9+/=])[A-Za-z0-9+/]{40}(?![A-Za-z0-9+/=])"
 ENDPOINT = r"https?://[A-Za-z0-9.-]+(?::[0-9]+)?|[a-z0-9-]+(?:\.[a-z0-9-]+)*\.amazonaws\.com"
 KINDS = ("assign", "access", "hex", "identifier", "bare", "endpoint")
 _SPANS = "array<struct<start:bigint,end:bigint>>"
+#: Matches whose places are added up one by one.
+_BLOCK = 256
+
+
+def _step(s: Column, x: Column) -> Column:
+    """Go on by a gap and a match, which is kept or not."""
+    begin = s["at"] + x["gap"]
+    one = F.struct(begin.alias("start"), (begin + x["run"]).alias("end"))
+    return F.struct((begin + x["run"]).alias("at"), F.when(x["kept"], F.array_append(s["found"], one)).otherwise(s["found"]).alias("found"))
 
 
 def spans(text: Column, pattern: str, group: int = 0, least: int = 0) -> Column:
@@ -43,8 +52,11 @@ def spans(text: Column, pattern: str, group: int = 0, least: int = 0) -> Column:
     lengths = F.transform(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda x: F.length(x).cast("long"))
     kept = F.transform(F.regexp_extract_all(text, F.lit(pattern), F.lit(group)), lambda x: F.length(x) >= least) if least else F.transform(lengths, lambda _: F.lit(True))
     parts = F.zip_with(F.zip_with(F.slice(F.transform(between, lambda x: F.length(x).cast("long")), 1, F.size(lengths)), lengths, lambda a, b: F.struct(a.alias("gap"), b.alias("run"))), kept, lambda x, k: F.struct(x["gap"].alias("gap"), x["run"].alias("run"), k.alias("kept")))
-    none = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(_SPANS).alias("found"))
-    grown = F.aggregate(parts, none, lambda s, x: F.struct((s["at"] + x["gap"] + x["run"]).alias("at"), F.when(x["kept"], F.array_append(s["found"], F.struct((s["at"] + x["gap"]).alias("start"), (s["at"] + x["gap"] + x["run"]).alias("end")))).otherwise(s["found"]).alias("found")), lambda s: s["found"])
+    # Places add up within blocks first and over the blocks then, so that no long array grows one by one.
+    blocks = F.transform(F.sequence(F.lit(0), F.greatest(F.size(lengths) - 1, F.lit(0)), F.lit(_BLOCK)), lambda at: F.aggregate(F.slice(parts, at + 1, _BLOCK), F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(_SPANS).alias("found")), _step))
+    none = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(f"array<{_SPANS}>").alias("found"))
+    moved = lambda s, x: F.transform(x["found"], lambda y: F.struct((y["start"] + s["at"]).alias("start"), (y["end"] + s["at"]).alias("end")))
+    grown = F.flatten(F.aggregate(blocks, none, lambda s, x: F.struct((s["at"] + x["at"]).alias("at"), F.array_append(s["found"], moved(s, x)).alias("found")), lambda s: s["found"]))
     return F.when(text.rlike(pattern), grown).otherwise(F.array().cast(_SPANS))
 
 
@@ -69,21 +81,26 @@ def find_secrets(docs: DataFrame, reach: int = 400, stretch: int = 20_000, id_co
     rows = rows.withColumn("endpoint", F.when(some, spans(text, ENDPOINT)).otherwise(F.array().cast(_SPANS)))
     base = F.concat(*[_tagged(k, i) for i, k in enumerate(KINDS[:3])])
     weak = F.concat(*[_tagged(k, i) for i, k in enumerate(KINDS[3:], 3)])
-    # A weak span inside a base one is that finding.
-    outside = F.filter("weak", lambda w: ~F.exists("base", lambda b: (b["start"] < w["end"]) & (w["start"] < b["end"])))
-    rows = rows.select(F.monotonically_increasing_id().alias("line"), "doc_id", base.alias("base"), weak.alias("weak")).withColumn("weak", F.when(F.size("weak") == 0, F.col("weak")).otherwise(outside))
-    rows = stage(rows, "secret-parts")  # from here on, lines are fixed and texts are left behind
+    rows = stage(rows.select(F.monotonically_increasing_id().alias("line"), "doc_id", base.alias("base"), weak.alias("weak")), "secret-parts")  # from here on, lines are fixed and texts are left behind
 
     parts = rows.filter(F.size("weak") > 0).select("line", F.explode(F.concat("base", "weak")).alias("part")).select("line", "part.start", "part.kind", "part.end")
-    # A part counts in its own stretch, and is seen from the ones next to it.
-    own = F.floor(F.col("start") / stretch)
-    seen = F.array_distinct(F.array(own, F.floor(F.greatest(F.col("start") - reach, F.lit(0)) / stretch), F.floor((F.col("start") + reach) / stretch)))
-    parts = parts.select("line", "start", "kind", "end", own.alias("own"), F.explode(seen).alias("cut"))
-    around = Window.partitionBy("line", "cut").orderBy("start").rangeBetween(-reach, reach)
+    # A weak span inside a base one, or over one, is that finding: a base span before it ends behind its start, or one begins before its end.
+    by_place = Window.partitionBy("line").orderBy("start")
+    base_end, base_start = F.when(F.col("kind") < 3, F.col("end")), F.when(F.col("kind") < 3, F.col("start"))
+    reached = F.max(base_end).over(by_place.rangeBetween(Window.unboundedPreceding, Window.currentRow))
+    begun = F.min(base_start).over(by_place.rangeBetween(Window.currentRow, Window.unboundedFollowing))
+    parts = parts.select("*", reached.alias("reached"), begun.alias("begun")).filter((F.col("kind") < 3) | (F.coalesce("reached", "start") <= F.col("start")) & (F.coalesce("begun", "end") >= F.col("end"))).drop("reached", "begun")
+    # A part counts at its start and at its end, in the stretch of each, and is seen from the ones next to it.
+    points = parts.select("line", "start", "kind", "end", F.explode(F.array("start", "end")).alias("at"))
+    own = F.floor(F.col("at") / stretch)
+    seen = F.array_distinct(F.array(own, F.floor(F.greatest(F.col("at") - reach, F.lit(0)) / stretch), F.floor((F.col("at") + reach) / stretch)))
+    points = points.select("*", own.alias("own"), F.explode(seen).alias("cut"))
+    around = Window.partitionBy("line", "cut").orderBy("at").rangeBetween(-reach, reach)
     met = lambda *kinds: F.count_if(F.col("kind").isin(*kinds)).over(around) > 0
-    identifier, secret = met(1, 3), met(0, 2, 4)
-    linked = parts.select("line", "start", "kind", "end", "own", "cut", F.when(F.col("kind") == 3, secret).when(F.col("kind") == 4, identifier).otherwise(identifier & secret).alias("linked"))
-    linked = linked.filter("linked and own = cut and kind >= 3").groupBy("line").agg(F.collect_list(F.struct("start", "kind", "end")).alias("reported"))
+    linked = points.select("line", "start", "kind", "end", "own", "cut", met(1, 3).alias("identifier"), met(0, 2, 4).alias("secret")).filter("own = cut and kind >= 3")
+    linked = linked.groupBy("line", "start", "kind", "end").agg(F.max("identifier").alias("identifier"), F.max("secret").alias("secret"))
+    linked = linked.filter(F.when(F.col("kind") == 3, F.col("secret")).when(F.col("kind") == 4, F.col("identifier")).otherwise(F.col("identifier") & F.col("secret")))
+    linked = linked.groupBy("line").agg(F.collect_list(F.struct("start", "kind", "end")).alias("reported"))
     return rows.join(linked, "line", "left").select("doc_id", "base", "weak", F.coalesce("reported", F.filter("weak", lambda _: F.lit(False))).alias("reported"))
 
 

@@ -126,3 +126,16 @@ def test_targets(spark):
     sizes = {"a": 100, "b": 10, "c": 1000, "d": 0, None: 50}
     df = spark.createDataFrame(list(sizes.items()), "source string, source_size long")
     assert {r.source: pytest.approx(r.target) for r in mixing.targets(df, 1.5, 2, (5, 2, 1)).collect()} == water(sizes, 1.5, 2, (5, 2, 1))
+
+
+def test_long_secrets_and_texts_full_of_parts(spark):
+    """A secret of 700 characters beside an identifier is in reach; thousands of findings keep their places."""
+    near = "token=" + "a1" * 350 + " ASIA" + "B" * 16
+    far = "token=" + "a1" * 350 + " " * 500 + "ASIA" + "B" * 16
+    full = " ".join(f"password=secret{i:05d} {'0123456789abcdef' * 2} AKIA{'C' * 12}{i % 10}" for i in range(3000))
+    got = {r.doc_id: r for r in secret_links.secret_report(spark.createDataFrame([(1, near), (2, far), (3, full)], "doc_id long, text string")).collect()}
+    assert "identifier" in got[1].spans and "identifier" not in got[2].spans
+    expected = base_of(full)
+    assert (got[3].n_assign, got[3].n_hex, got[3].n_access) == (3000, 3000, 3000) and len(expected) == 9000
+    names = ("assign", "access", "hex")
+    assert got[3].spans == ",".join(f"{names[k]}:{a}:{b}" for a, k, b in expected)
