@@ -58,7 +58,7 @@ def values(columns: str, rows: list[tuple]) -> str:
 # --- targets -------------------------------------------------------------------------------------------------------------
 
 _WITH_SQL = ("supplier_echo", "part_flow", "user_relay", "turn_chain", "commerce", "doc_share", "embed_knn")
-for _name in (*_WITH_SQL, "uniform_dense"):
+for _name in (*_WITH_SQL, "line_share", "doc_benchmark", "uniform_dense"):
     _add(f"edges_{_name}", lambda spark, sf, n=_name: target(spark, sf, n).edges.select("src", "dst", "elabel"), graph_sql(_name) + " SELECT src, dst, elabel FROM e")
     _add(f"vertices_{_name}", lambda spark, sf, n=_name: target(spark, sf, n).vertices.select("vid", "vlabel"), graph_sql(_name) + " SELECT vid, vlabel FROM v")
 
@@ -81,7 +81,8 @@ def targets_property_table(spark, sf):
 _add("label_hist_part_flow", lambda spark, sf: stats.label_histogram(target(spark, sf, "part_flow")), graph_sql("part_flow") + " SELECT vlabel, count(*) AS n FROM v GROUP BY 1")
 _add("hubs_commerce_top20", lambda spark, sf: stats.hubs(target(spark, sf, "commerce"), 20).withColumn("deg", F.col("deg").cast("int")), graph_sql("commerce") + _DEGREES + " SELECT vid, CAST(indeg + outdeg AS INTEGER) AS deg FROM d ORDER BY indeg + outdeg DESC, vid LIMIT 20")
 _add("symmetrized_supplier_echo", lambda spark, sf: target(spark, sf, "supplier_echo").symmetrized().edges.select("src", "dst", "elabel"), graph_sql("supplier_echo") + " SELECT src, dst, min(elabel) AS elabel FROM (SELECT * FROM e UNION ALL SELECT dst, src, elabel FROM e) q GROUP BY 1, 2")
-_add("components_doc_share", lambda spark, sf: stats.weak_components(target(spark, sf, "doc_share")), graph_sql("doc_share").replace("WITH ", "WITH RECURSIVE ", 1) + ", b AS (SELECT src, dst FROM e UNION SELECT dst, src FROM e), r(vid, component) AS (SELECT vid, vid FROM v UNION SELECT b.dst, r.component FROM r JOIN b ON b.src = r.vid WHERE r.component < b.dst) SELECT vid, min(component) AS component FROM r GROUP BY 1")
+for _name in ("doc_share", "line_share"):
+    _add(f"components_{_name}", lambda spark, sf, n=_name: stats.weak_components(target(spark, sf, n)), graph_sql(_name).replace("WITH ", "WITH RECURSIVE ", 1) + ", b AS (SELECT src, dst FROM e UNION SELECT dst, src FROM e), r(vid, component) AS (SELECT vid, vid FROM v UNION SELECT b.dst, r.component FROM r JOIN b ON b.src = r.vid WHERE r.component < b.dst) SELECT vid, min(component) AS component FROM r GROUP BY 1")
 
 
 def _core_sql(name: str, k: int, rounds: int) -> str:

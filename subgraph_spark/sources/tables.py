@@ -177,6 +177,35 @@ def doc_share(spark: SparkSession, sf_dir: str) -> TargetGraph:
     return TargetGraph.of(vertices, shared_lines(spark, sf_dir).withColumn("elabel", F.lit(None).cast("string")), name="doc_share")
 
 
+def line_share(spark: SparkSession, sf_dir: str, least: int = 20) -> TargetGraph:
+    """Every line of ``least`` characters, however many documents have it: its smallest document leads to the others.
+
+    The components are those of all pairs, from edges whose number is that of the lines' occurrences.
+    """
+    lines = read(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).filter(F.length("line") >= least)
+    lines = lines.select("doc_id", F.md5("line").alias("line")).distinct()
+    first = lines.groupBy("line").agg(F.min("doc_id").alias("src"), F.count("*").alias("n")).filter("n > 1")
+    edges = lines.join(first, "line").filter("doc_id <> src").select("src", F.col("doc_id").alias("dst"), F.lit(None).cast("string").alias("elabel"))
+    vertices = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("vid"), F.col("lang").alias("vlabel"))
+    return TargetGraph.of(vertices, edges, name="line_share")
+
+
+#: Added to a benchmark item's id, to tell it from a document's.
+ITEM = 10**12
+
+
+def doc_benchmark(spark: SparkSession, sf_dir: str, most_items: int = 100_000) -> TargetGraph:
+    """A document to each benchmark item whose text it contains. The items are a given set: their number is checked, and they meet all documents."""
+    items = read(spark, sf_dir, "benchmark").select((F.col("item_id") + ITEM).alias("dst"), F.col("text").alias("item"))
+    n = items.count()
+    if n > most_items:
+        raise ValueError(f"{n} benchmark items; {most_items} are allowed")
+    docs = read(spark, sf_dir, "documents")
+    edges = docs.join(F.broadcast(items), F.contains("text", "item")).select(F.col("doc_id").alias("src"), "dst", F.lit(None).cast("string").alias("elabel"))
+    vertices = docs.select(F.col("doc_id").alias("vid"), F.col("lang").alias("vlabel")).unionByName(items.select(F.col("dst").alias("vid"), F.lit("benchmark").alias("vlabel")))
+    return TargetGraph.of(vertices, edges, name="doc_benchmark")
+
+
 def uniform_dense(spark: SparkSession, sf_dir: str, n: int = 100, share: int = 1500, labels: int = 31, seed: int = 1) -> TargetGraph:
     """A seeded target of ``n`` vertices with evenly spread labels; about ``share`` of 10,007 pairs are edges. It reads no table."""
     vertices = spark.range(n).select(F.col("id").alias("vid"), F.concat(F.lit("L"), (F.col("id") * F.col("id") * 13 + F.col("id") * 7 + seed) % labels).alias("vlabel"))
@@ -185,7 +214,7 @@ def uniform_dense(spark: SparkSession, sf_dir: str, n: int = 100, share: int = 1
     return TargetGraph.of(vertices, kept.filter("src <> dst").select("src", "dst", F.lit(None).cast("string").alias("elabel")), name="uniform_dense")
 
 
-BUILDERS = {f.__name__: f for f in (supplier_echo, part_flow, user_relay, commerce, turn_chain, embed_knn, page_links, doc_share, uniform_dense)}
+BUILDERS = {f.__name__: f for f in (supplier_echo, part_flow, user_relay, commerce, turn_chain, embed_knn, page_links, doc_share, line_share, doc_benchmark, uniform_dense)}
 
 #: The vertex and edge tables of each builder, as the oracle's SQL.
 _EDGE_SQL = {
@@ -195,6 +224,8 @@ _EDGE_SQL = {
     "user_relay": "SELECT user_id AS src, nu AS dst, min(nt) AS elabel FROM (SELECT user_id, ts, lead(user_id) OVER w AS nu, lead(event_type) OVER w AS nt, lead(ts) OVER w AS nts FROM events WINDOW w AS (ORDER BY ts, event_id)) q WHERE nts <= ts + INTERVAL 10 MINUTE AND user_id <> nu GROUP BY 1, 2",
     "turn_chain": "SELECT a.conv_id * 1000 + a.turn AS src, b.conv_id * 1000 + b.turn AS dst, CAST(NULL AS VARCHAR) AS elabel FROM conversations a JOIN conversations b ON b.conv_id = a.conv_id AND b.turn = a.turn + 1",
     "commerce": " UNION ".join(f"SELECT CAST({KIND[a] * KIND_STEP} AS BIGINT) + {x} AS src, CAST({KIND[b] * KIND_STEP} AS BIGINT) + {y} AS dst, '{e}' AS elabel FROM {t}" for t, a, x, b, y, e in (("nation", "nation", "n_nationkey", "region", "n_regionkey", "in_region"), ("customer", "customer", "c_custkey", "nation", "c_nationkey", "in_nation"), ("supplier", "supplier", "s_suppkey", "nation", "s_nationkey", "in_nation"), ("orders", "order", "o_orderkey", "customer", "o_custkey", "placed_by"), ("lineitem", "order", "l_orderkey", "part", "l_partkey", "contains"), ("lineitem", "order", "l_orderkey", "supplier", "l_suppkey", "ships_from"))),
+    "line_share": "SELECT DISTINCT min(doc_id) OVER (PARTITION BY line) AS src, doc_id AS dst, CAST(NULL AS VARCHAR) AS elabel FROM li QUALIFY min(doc_id) OVER (PARTITION BY line) <> doc_id",
+    "doc_benchmark": "SELECT d.doc_id AS src, 1000000000000 + b.item_id AS dst, CAST(NULL AS VARCHAR) AS elabel FROM documents d JOIN benchmark b ON contains(d.text, b.text)",
     "doc_share": "SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst, CAST(NULL AS VARCHAR) AS elabel FROM li a JOIN li b ON a.line = b.line AND a.doc_id < b.doc_id WHERE a.line IN (SELECT line FROM li GROUP BY line HAVING count(*) BETWEEN 2 AND 50)",
     "embed_knn": "SELECT src, dst, CAST(NULL AS VARCHAR) AS elabel FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_inner_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) DESC, b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) q WHERE r <= 5",
 }
@@ -206,9 +237,12 @@ _VERTEX_SQL = {
     "turn_chain": "SELECT conv_id * 1000 + turn AS vid, role AS vlabel FROM conversations",
     "commerce": " UNION ALL ".join(f"SELECT CAST({KIND[k] * KIND_STEP} AS BIGINT) + {c} AS vid, '{k}' AS vlabel FROM {t}" for k, t, c in (("region", "region", "r_regionkey"), ("nation", "nation", "n_nationkey"), ("customer", "customer", "c_custkey"), ("supplier", "supplier", "s_suppkey"), ("part", "part", "p_partkey"), ("order", "orders", "o_orderkey"))),
     "doc_share": "SELECT doc_id AS vid, lang AS vlabel FROM documents",
+    "line_share": "SELECT doc_id AS vid, lang AS vlabel FROM documents",
+    "doc_benchmark": "SELECT doc_id AS vid, lang AS vlabel FROM documents UNION ALL SELECT 1000000000000 + item_id, 'benchmark' FROM benchmark",
     "embed_knn": "SELECT vec_id AS vid, CAST(label AS VARCHAR) AS vlabel FROM embeddings",
 }
-_BEFORE = {"doc_share": r"li AS MATERIALIZED (SELECT DISTINCT doc_id, trim(l, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS l FROM documents) q WHERE length(trim(l, ' ')) >= 20), "}
+_LINES = r"li AS MATERIALIZED (SELECT DISTINCT doc_id, trim(l, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS l FROM documents) q WHERE length(trim(l, ' ')) >= 20), "
+_BEFORE = {"doc_share": _LINES, "line_share": _LINES}
 
 
 def graph_sql(name: str) -> str:
