@@ -144,6 +144,12 @@ def forest(queries: np.ndarray, tree: BKTree, radius: int, block: int = 2048) ->
     return every[joined], every[roots[joined]]
 
 
+def pair(fps: np.ndarray, hangs: np.ndarray, asks: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """``forest`` for a shard of two ascending values, most shards: a tree of one node or two, walked without making it."""
+    near = (int(fps[0]) ^ int(fps[1])).bit_count() <= radius and (hangs & asks[::-1]).any()
+    return (fps[1:], fps[:1]) if near else (fps[:0], fps[:0])
+
+
 def _blocks(radius: int) -> list[tuple[int, int]]:
     """Place and length of radius + 1 blocks that cover 64 bits."""
     cuts = [64 * k // (radius + 1) for k in range(radius + 2)]
@@ -165,11 +171,7 @@ def link_fingerprints(distinct: DataFrame, radius: int = 2, shard: int = SHARD)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for fps, hangs, asks in _shards(batches):
-            if len(fps) == 2:  # a tree of one node or two
-                near = (int(fps[0]) ^ int(fps[1])).bit_count() <= radius and (hangs & asks[::-1]).any()
-                a, b = (fps[1:], fps[:1]) if near else (fps[:0], fps[:0])
-            else:
-                a, b = forest(fps[asks], BKTree(fps[hangs]), radius)
+            a, b = pair(fps, hangs, asks, radius) if len(fps) == 2 else forest(fps[asks], BKTree(fps[hangs]), radius)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
 

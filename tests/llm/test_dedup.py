@@ -177,3 +177,18 @@ def test_planted_pairs_at_the_threshold_are_found_by_default(spark):
     assert expected.sum() == 2 * n * 4 // 5
     missed = sum(int(expected[i]) - got[i] for i in got)
     assert 0 <= missed <= 2 and all(got[i] <= expected[i] for i in got)
+
+
+def test_shards_of_two_are_as_trees():
+    """The short way for two fingerprints gives what trees give, whichever hangs or asks."""
+    rng = np.random.default_rng(8)
+    for _ in range(400):
+        a = int(rng.integers(0, 1 << 63))
+        b = a
+        for bit in rng.choice(64, rng.integers(1, 6), replace=False):
+            b ^= 1 << int(bit)
+        fps = np.array(sorted((a, b)), np.uint64)
+        for hangs, asks in (((1, 1), (1, 1)), ((1, 0), (0, 1)), ((0, 1), (1, 0)), ((1, 0), (1, 1)), ((1, 1), (0, 1)), ((1, 0), (1, 0))):
+            hangs, asks = np.array(hangs, bool), np.array(asks, bool)
+            one, other = simhash.pair(fps, hangs, asks, 2), simhash.forest(fps[asks], simhash.BKTree(fps[hangs]), 2)
+            assert [x.tolist() for x in one] == [x.tolist() for x in other]
