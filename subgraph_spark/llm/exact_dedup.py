@@ -55,14 +55,15 @@ def first_of(stream: DataFrame) -> DataFrame:
     return stream.groupBy("digest").agg(F.min(first).alias("first"), F.count("*").alias("n"))
 
 
-def keyed_state(rows_folder: str, rows: DataFrame, bytes_a_trigger: int = 16 << 30) -> DataFrame:
+def keyed_state(rows_folder: str, rows: DataFrame, bytes_a_trigger: int = 16 << 30, folder: str | None = None) -> DataFrame:
     """Run the written ``rows`` through the stream, and read its state: (digest, first, n).
 
-    A stream that is taken up again from the same folder goes on where it stopped.
+    ``folder`` is the stream's own (None: a new one). If it is given again, the stream goes on where it stopped: with the state
+    so far, and with the files of ``rows_folder`` that are new.
     """
     spark = rows.sparkSession
     before = {k: spark.conf.get(k, None) for k in _STORES}
-    folder = new_folder(spark, "dedup-state")
+    folder = folder or new_folder(spark, "dedup-state")
     stream = spark.readStream.schema(rows.schema).option("maxBytesPerTrigger", str(bytes_a_trigger)).parquet(rows_folder)
     try:
         for k, v in _STORES.items():

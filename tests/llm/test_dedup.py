@@ -192,3 +192,15 @@ def test_shards_of_two_are_as_trees():
             hangs, asks = np.array(hangs, bool), np.array(asks, bool)
             one, other = simhash.pair(fps, hangs, asks, 2), simhash.forest(fps[asks], simhash.BKTree(fps[hangs]), 2)
             assert [x.tolist() for x in one] == [x.tolist() for x in other]
+
+
+def test_the_stream_goes_on_with_its_state(spark, tmp_path):
+    """Rows that come after the first run join the groups that its state has."""
+    schema = "digest binary, doc_id long, file string, row long"
+    rows = lambda ids: spark.createDataFrame([(bytes([i % 3]), i, "f", i) for i in ids], schema)
+    folder, state = str(tmp_path / "rows"), str(tmp_path / "state")
+    for ids, expected in ((range(5, 9), {0: (6, 1), 1: (7, 1), 2: (5, 2)}), (range(0, 5), {0: (0, 3), 1: (1, 3), 2: (2, 3)}), ((), {0: (0, 3), 1: (1, 3), 2: (2, 3)})):
+        if ids:
+            rows(ids).write.mode("append").parquet(folder)
+        got = exact_dedup.keyed_state(folder, spark.read.parquet(folder), folder=state).collect()
+        assert {r.digest[0]: (r["first"].doc_id, r.n) for r in got} == expected
