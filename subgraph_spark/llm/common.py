@@ -50,7 +50,9 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = new_folder(spark, name)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._own_folder = path
+    return out
 
 
 def in_arrow(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
@@ -65,11 +67,12 @@ def in_arrow(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[
     return df.mapInArrow(work, schema)
 
 
-def drop_folder(spark: SparkSession, path: str) -> None:
-    """Remove a folder of the shared file system, if it is there."""
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+def drop(*stages: DataFrame) -> None:
+    """Remove the files of stages that nothing reads any more, such as a loop's earlier rounds."""
+    for df in stages:
+        context = df.sparkSession.sparkContext
+        target = context._jvm.org.apache.hadoop.fs.Path(df._own_folder)
+        target.getFileSystem(context._jsc.hadoopConfiguration()).delete(target, True)
 
 
 def whole_text(column: str | Column) -> Column:

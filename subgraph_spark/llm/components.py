@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stage
+from .common import drop, stage
 
 
 def _to_smallest(edges: DataFrame, all_neighbours: bool) -> DataFrame:
@@ -42,5 +42,7 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         if seen == tell:
             return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
         seen = tell
-        now = stage(_to_smallest(stage(_to_smallest(now, True), "large-star"), False), "small-star")
+        large = stage(_to_smallest(now, True), "large-star")
+        before, now = now, stage(_to_smallest(large, False), "small-star")
+        drop(before, large)
     raise RuntimeError("the components did not settle")

@@ -26,7 +26,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import stage, whole_text
+from .common import drop, stage, whole_text
 from .exact_dedup import located
 
 WORD = r"[^\x20\x09-\x0D]+"
@@ -93,7 +93,8 @@ def balance(counts: DataFrame, wanted: DataFrame, rate: float, cap: float, entro
         # Where every document is at the cap or none is wanted, there is nothing to solve.
         off = F.when((F.col("target") <= 0) | (F.col("target") >= cap * F.col("source_size")), F.lit(0.0)).otherwise(F.abs("over") / F.col("target"))
         step = F.when(off <= near, F.col("lam")).when(inside, newton).otherwise((F.greatest("low", F.col("lam") - 20) + F.least("high", F.col("lam") + 20)) / 2)
-        now = stage(met.select("source", "source_size", "target", "mean", step.alias("lam"), "low", "high", off.alias("off")), "multipliers")
+        before, now = now, stage(met.select("source", "source_size", "target", "mean", step.alias("lam"), "low", "high", off.alias("off")), "multipliers")
+        drop(before)
     return now
 
 
@@ -168,6 +169,7 @@ def _passes(drawn: DataFrame, lacks: DataFrame) -> tuple[DataFrame, DataFrame]:
     run = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     inner = Window.partitionBy("source").orderBy("order", "file", "row").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     while not now.filter("open").isEmpty():
+        before = now
         fits = _by_source(drawn, now.filter("open"), "missing", "upto").filter(F.col("missing").isNotNull() & (F.col("size") <= F.col("missing")) & (F.col("upto").isNull() | (at > F.col("upto"))))
         # The bucket in which a source's sum would pass what is missing, and the sum before it.
         buckets = fits.groupBy("source", "bucket").agg(F.sum("size").alias("words"), F.first("missing").alias("missing"))
@@ -192,6 +194,7 @@ def _passes(drawn: DataFrame, lacks: DataFrame) -> tuple[DataFrame, DataFrame]:
             F.when(more, F.concat("passes", F.array(this))).otherwise(F.col("passes")).alias("passes"),
         )
         now = stage(now, "passes")
+        drop(before, buckets, reached)
     return now.select("source", "missing"), now.select("source", "passes")
 
 
