@@ -460,7 +460,7 @@ for _d in workloads.DENSITIES:
         """The pattern sets: all sizes and twenty draws of a density, from a target of each collection."""
         out = None
         for name in ("supplier_echo", "part_flow", "user_relay", "commerce"):
-            made = workloads.on_instances("sets", [written(spark, sf, name)], lambda csr, p: [(len(p.edges), p.size, p.components())], workloads.INSTANCE + ", got int, vertices int, components int", densities=(d,), draws=range(1, 21))
+            made = workloads.on_instances("sets", [written(spark, sf, name)], lambda csr, p, _: [(len(p.edges), p.size, p.components())], workloads.INSTANCE + ", got int, vertices int, components int", densities=(d,), draws=range(1, 21))
             one = made.groupBy(F.lit(name).alias("target"), "edges").agg(F.count("*").alias("patterns"), F.min("got").alias("least_edges"), F.min("vertices").alias("least_vertices"), F.max("vertices").alias("most_vertices"), F.max("components").alias("components"))
             out = one if out is None else out.unionByName(one)
         return out
@@ -635,6 +635,10 @@ DOMAIN_METHODS = ("dom", "dom_s", "dom_sf")
 _SETS = {"dense_many_labels": (DOMAIN_METHODS, workloads.EDGES), "denser_few_labels": (DOMAIN_METHODS, workloads.EDGES), "sparse": (("ord", *DOMAIN_METHODS), workloads.EDGES[:-1])}
 #: Pairs after which a search counts as unfinished.
 BUDGET = 3_000_000
+#: Nodes of a search tree whose simulation counts as short, per collection.
+GRID_TREE = {"dense_many_labels": 5_000, "denser_few_labels": 60_000, "sparse": 5_000}
+#: Nodes of a search tree that is simulated.
+TREE = 120_000
 
 
 def _targets(spark, sf, collection: str) -> list[TargetGraph]:
@@ -654,7 +658,7 @@ for _c, (_methods, _) in _SETS.items():
 
 
 def _simulated(spark, sf, collection: str, methods) -> DataFrame:
-    return materialise(workloads.simulated(collection, _targets(spark, sf, collection), methods, edges=_SETS[collection][1]), "simulated")
+    return materialise(workloads.simulated(collection, _targets(spark, sf, collection), methods, max_nodes=TREE, edges=_SETS[collection][1]), "simulated")
 
 
 # Up to 16 workers are simulated, in ticks: over one worker of the same method, and over the baseline program run alone.
@@ -673,7 +677,7 @@ def stealing_on_off(spark, sf):
 
 for _c in workloads.COLLECTIONS:
     # Group size by workers, fifteen draws of the victims, on a short sample.
-    _add(f"steal_sim_grid_{_c}", lambda spark, sf, c=_c: workloads.group_table(workloads.simulated(c, _targets(spark, sf, c), ("dom_sf",), (2, 4, 8, 16), (1, 2, 4, 8, 16), range(15), (True, False), 5_000, edges=(4, 8), draws=(1, 2))))
+    _add(f"steal_sim_grid_{_c}", lambda spark, sf, c=_c: workloads.group_table(workloads.simulated(c, _targets(spark, sf, c), ("dom_sf",), (2, 4, 8, 16), (1, 2, 4, 8, 16), range(15), (True, False), GRID_TREE[c], edges=(4, 8) if c != "denser_few_labels" else (4,), draws=(1, 2) if c != "denser_few_labels" else (1,))))
 
 
 @registered()

@@ -63,15 +63,16 @@ def explored(kernel: Kernel, budget: int, time_limit_s: float | None = None) ->
     return counters, left
 
 
-def on_instances(collection: str, targets: Sequence[TargetGraph], work, schema: str, edges=EDGES, densities=DENSITIES, draws=(1,), max_bytes: int | None = None) -> DataFrame:
-    """``work(csr, pattern)`` yields tuples, which follow the instance's columns in the rows of ``schema``. Instances whose target is too small for the size are left out."""
+def on_instances(collection: str, targets: Sequence[TargetGraph], work, schema: str, edges=EDGES, densities=DENSITIES, draws=(1,), parts: Sequence[int] = (0,), max_bytes: int | None = None) -> DataFrame:
+    """``work(csr, pattern, part)`` yields tuples, which follow the instance's columns in the rows of ``schema``; a task per instance and part.
+    Instances whose target is too small for the size are left out."""
     out = []
     names = [x.strip().split(" ")[0] for x in schema.split(",")]
     for t in targets:
         spark = t.vertices.sparkSession
         shared = spark.sparkContext.broadcast(t.csr() if max_bytes is None else t.csr(max_bytes))  # its size is checked there
-        rows = [(collection, t.name, n, d, s) for n in edges for d in densities for s in draws]
-        dealt = spark.createDataFrame(rows, "collection string, target string, edges int, density string, draw int").repartition(len(rows), "edges", "density", "draw")
+        rows = [(collection, t.name, n, d, s, k) for n in edges for d in densities for s in draws for k in parts]
+        dealt = spark.createDataFrame(rows, "collection string, target string, edges int, density string, draw int, part int").repartition(len(rows), "edges", "density", "draw", "part")
 
         def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
             for batch in batches:
@@ -80,7 +81,7 @@ def on_instances(collection: str, targets: Sequence[TargetGraph], work, schema:
                     pattern = next((p for p in tries if len(p.edges) == x.edges), None)
                     if pattern is not None:
                         key = x.collection, f"{x.target}/{x.density}-{x.edges}-{x.draw}", x.edges, x.density, x.draw
-                        yield pd.DataFrame([(*key, *y) for y in work(shared.value, pattern)], columns=names)
+                        yield pd.DataFrame([(*key, *y) for y in work(shared.value, pattern, int(x.part))], columns=names)
 
         out.append(dealt.mapInPandas(run, schema))
     return reduce(DataFrame.unionByName, out)
@@ -89,7 +90,7 @@ def on_instances(collection: str, targets: Sequence[TargetGraph], work, schema:
 def searches(collection: str, targets: Sequence[TargetGraph], methods: Sequence[str], budget: int = 1_000_000, time_limit_s: float | None = None, **which) -> DataFrame:
     """A row of SEARCHES per instance and method. A search ends after ``budget`` pairs, and then is marked as cut."""
 
-    def work(csr: Csr, pattern: PatternGraph):
+    def work(csr: Csr, pattern: PatternGraph, _: int):
         for method in methods:
             began = time.monotonic()
             kernel = prepared(csr, pattern, method)
@@ -134,25 +135,24 @@ def unfinished(found: DataFrame) -> DataFrame:
 def simulated(collection: str, targets: Sequence[TargetGraph], methods: Sequence[str] = ("ord",), workers=(1, 2, 4, 8, 16), groups=(4,), seeds=(0,), stealing=(True,), max_nodes: int = 30_000, **which) -> DataFrame:
     """A row of SIMULATED per instance, method and setting. Instances whose search tree has more than ``max_nodes`` under a method aren't simulated for it: their pairs are -1."""
 
-    def work(csr: Csr, pattern: PatternGraph):
+    def work(csr: Csr, pattern: PatternGraph, part: int):
         for method in methods:
             kernel = prepared(csr, pattern, method)
             try:
                 tree = None if kernel is None else search_tree(kernel, max_nodes)
             except ValueError:
-                yield method, 1, 1, 0, True, -1, None, None, None, None
+                if not part:
+                    yield method, 1, 1, 0, True, -1, None, None, None, None
                 continue
-            for w in workers:
-                for g in groups if w > 1 else groups[:1]:
-                    for s in seeds if w > 1 else seeds[:1]:
-                        for on in stealing if w > 1 else (True,):
-                            if tree is None:
-                                yield method, w, g, s, on, 0, 1, 0.0, 0, 0
-                            else:
-                                x = steal_sim.simulate(tree["parent_id"], tree["depth"], tree["consistent"], w, g, s, on)
-                                yield method, w, g, s, on, sum(x.states), x.makespan, x.spread, x.steals_ok, x.steals_failed
-
-    return on_instances(collection, targets, work, SIMULATED, **which)
+            settings = [(w, g, on) for w in workers for g in (groups if w > 1 else groups[:1]) for on in (stealing if w > 1 else (True,)) if w > 1 or not part]
+            for w, g, on in settings:
+                if tree is None:
+                    yield method, w, g, seeds[part], on, 0, 1, 0.0, 0, 0
+                else:
+                    x = steal_sim.simulate(tree["parent_id"], tree["depth"], tree["consistent"], w, g, seeds[part], on)
+                    yield method, w, g, seeds[part], on, sum(x.states), x.makespan, x.spread, x.steals_ok, x.steals_failed
+
+    return on_instances(collection, targets, work, SIMULATED, parts=range(len(seeds)), **which)
 
 
 def speedup_table(runs: DataFrame, base_method: str | None = None) -> DataFrame:
