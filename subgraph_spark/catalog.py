@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import functools
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -334,11 +335,16 @@ def search_space_by_variant(spark, sf):
 
 
 def tree_of(spark, where: TargetGraph, pattern: PatternGraph, instance: str) -> DataFrame:
-    """A search tree as a table. It is bounded, and made on the driver from arrays whose size is checked."""
-    import pandas as pd
+    """A search tree as a table. It is bounded, and made in one task from arrays whose size is checked."""
+    shared = spark.sparkContext.broadcast(where.csr())
 
-    tree = search_tree(Kernel(where.csr(), build(pattern)))
-    return spark.createDataFrame(pd.DataFrame({"instance": instance, **tree}), "instance string, node_id long, parent_id long, depth int, vt long, consistent boolean")
+    def grow(batches):
+        for _ in batches:
+            tree = search_tree(Kernel(shared.value, build(pattern)))
+            for at in range(0, len(tree["node_id"]), 50_000):
+                yield pa.RecordBatch.from_pydict({"instance": [instance] * len(tree["node_id"][at : at + 50_000]), **{k: x[at : at + 50_000] for k, x in tree.items()}, "depth": tree["depth"][at : at + 50_000].astype("int32")})
+
+    return spark.range(0, 1, 1, 1).mapInArrow(grow, "instance string, node_id long, parent_id long, depth int, vt long, consistent boolean")
 
 
 _ECHO_TREE = graph_sql("supplier_echo") + _DEGREES + ", ok AS (SELECT vid FROM d WHERE indeg >= 1 AND outdeg >= 1), n1 AS MATERIALIZED (SELECT src AS a, dst AS b FROM e WHERE src IN (SELECT vid FROM ok)), n2 AS MATERIALIZED (SELECT n1.a, n1.b, x.src AS c FROM n1 JOIN e x ON x.dst = n1.a WHERE n1.b IN (SELECT vid FROM ok)), s1 AS (SELECT n1.a, n1.b, 1 + count(n2.c) AS size FROM n1 LEFT JOIN n2 USING (a, b) GROUP BY 1, 2), s0 AS (SELECT d.vid, 1 + coalesce(sum(size), 0) AS size FROM d LEFT JOIN s1 ON s1.a = d.vid GROUP BY 1), total AS (SELECT (SELECT count(*) FROM d) + (SELECT count(*) FROM n1) + (SELECT count(*) FROM n2) AS t)"
@@ -445,8 +451,7 @@ _add("sql_join_reordered", lambda spark, sf: sql_baseline(spark, sf, "commerce",
 
 @registered(graph_sql("supplier_echo") + " " + sql_join(C["P2"]))
 def state_space_baseline_ffl(spark, sf):
-    _, found = baselines.state_space(target(spark, sf, "supplier_echo").csr(), C["P2"])
-    return spark.createDataFrame(found, "m0 long, m1 long, m2 long")
+    return baselines.state_space_matches(target(spark, sf, "supplier_echo"), C["P2"])
 
 
 @registered(graph_sql("part_flow") + ", p AS MATERIALIZED (SELECT least(src, dst) AS a, greatest(src, dst) AS b, sum(CASE WHEN src < dst THEN 1 ELSE 2 END) AS c FROM e GROUP BY 1, 2), s AS MATERIALIZED (SELECT a AS u, b AS v FROM p UNION SELECT b, a FROM p), t AS MATERIALIZED (SELECT DISTINCT list_sort([x.u, x.v, y.v]) AS t FROM s x JOIN s y ON x.u = y.u AND x.v < y.v), g AS (SELECT coalesce(p1.c, 0) AS xy, coalesce(p2.c, 0) AS xz, coalesce(p3.c, 0) AS yz FROM t LEFT JOIN p p1 ON p1.a = t[1] AND p1.b = t[2] LEFT JOIN p p2 ON p2.a = t[1] AND p2.b = t[3] LEFT JOIN p p3 ON p3.a = t[2] AND p3.b = t[3]), h AS (SELECT *, (3 - xy) % 3 + CASE WHEN xy = 3 THEN 3 ELSE 0 END AS yx, (3 - xz) % 3 + CASE WHEN xz = 3 THEN 3 ELSE 0 END AS zx, (3 - yz) % 3 + CASE WHEN yz = 3 THEN 3 ELSE 0 END AS zy FROM g) SELECT CAST(least(xy * 16 + xz * 4 + yz, xz * 16 + xy * 4 + zy, yx * 16 + yz * 4 + xz, yz * 16 + yx * 4 + zx, zx * 16 + zy * 4 + xy, zy * 16 + zx * 4 + yx) AS INTEGER) AS code, count(*) AS n FROM h GROUP BY 1")
