@@ -79,7 +79,7 @@ def main() -> None:
         whole = found[~found.groupby("instance").cut.transform("max")]
         for m, rows in whole.groupby("method"):
             every = found[found.method == m]
-            sets[f"{collection}_{m}"] = {"finished_by_all": len(rows), "unfinished": int(every.cut.sum()), "prep_ms": round(rows.prep_ms.mean(), 2), "match_ms": round(rows.match_ms.mean(), 2), "total_ms": round(rows.total_ms.mean(), 2), "total_ms_sd": round(rows.total_ms.std(), 2), "pairs": round(rows.pairs.mean(), 1), "pairs_per_s": round(every.pairs.sum() / every.match_ms.sum() * 1000), "peak_worker_mb": round(every.peak_mb.max())}
+            sets[f"{collection}_{m}"] = {"finished_by_all": len(rows), "unfinished": int(every.cut.sum()), "prep_ms": round(rows.prep_ms.mean(), 2), "match_ms": round(rows.match_ms.mean(), 2), "total_ms": round(rows.total_ms.mean(), 2), "total_ms_sd": round(rows.total_ms.std(ddof=0), 2), "pairs": round(rows.pairs.mean(), 1), "pairs_per_s": round(every.pairs.sum() / every.match_ms.sum() * 1000), "peak_worker_mb": round(every.peak_mb.max())}
     print(json.dumps({"metric": "sum of medians over headline searches", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "counts": counts, "workers": speedups, "sets": sets, "cpus": cpus, "sf": os.path.basename(sf.rstrip("/"))}))
 
 
