@@ -3,7 +3,8 @@
 import re
 
 import corpus_pipeline as C
-from test_dedup import roots, slow_fingerprint, squeeze
+from test_dedup import roots, squeeze
+from test_near_texts import alike, slow_shingles
 from test_tokens_and_packing import check_packed, pieces_of
 
 from subgraph_spark.llm import quality
@@ -34,8 +35,8 @@ def test_stages(spark, sf):
 
     near = stage(step[names[2]](spark, exact, sf), "near")
     rows = sorted(exact.collect(), key=lambda r: r.doc_id)
-    marks = [slow_fingerprint(r.text) for r in rows]
-    root = roots(len(rows), [(i, j) for i in range(len(rows)) for j in range(i) if (marks[i] ^ marks[j]).bit_count() <= 2])
+    sets = [slow_shingles(r.text) for r in rows]
+    root = roots(len(rows), [(i, j) for i in range(len(rows)) for j in range(i) if alike(sets[i], sets[j])])
     assert near.columns == columns and rows_of(near) == sorted((tuple(r) for i, r in enumerate(rows) if root[i] == i), key=repr)
 
     mix = stage(step[names[3]](spark, near, sf), "mix")
