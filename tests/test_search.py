@@ -176,3 +176,21 @@ def test_extracted_patterns_match(spark, density):
         assert len(p.edges) == n and p.components() == 1
         assert engines.exists(t, p, "dom_sf")
     assert patterns.density_class(patterns.extract(csr, 12, "dense", 2)) > patterns.density_class(patterns.extract(csr, 12, "sparse", 2))
+
+
+def test_long_tables_with_small_files_are_not_broadcast(spark):
+    from subgraph_spark.session import materialise
+
+    before = {k: spark.conf.get(k, None) for k in ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.autoBroadcastJoinThreshold")}
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "10m")
+        spark.conf.unset("spark.sql.adaptive.autoBroadcastJoinThreshold")
+        a, b = (materialise(spark.range(2_000_000).repartition(2)) for _ in range(2))
+        plan = a.join(b, "id")._jdf.queryExecution().executedPlan().toString()
+        assert "Broadcast" not in plan
+        assert spark.conf.get("spark.sql.adaptive.autoBroadcastJoinThreshold") == str(10 << 20)
+        few = materialise(spark.range(10))
+        assert "Broadcast" in a.join(few, "id")._jdf.queryExecution().executedPlan().toString()
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
