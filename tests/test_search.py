@@ -194,3 +194,18 @@ def test_long_tables_with_small_files_are_not_broadcast(spark):
     finally:
         for k, v in before.items():
             spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+def test_joins_of_a_domain_method_take_the_cheaper_order(spark):
+    """Two groups around two hubs: by the smaller domain first, every a of a hub meets every b of it."""
+    rows = [(1 + i % 2, 10 + i, "x") for i in range(60)] + [(1 + i % 2, 100 + i, "y") for i in range(80)] + [(10 + i % 60, 1000 + i, "u") for i in range(300)] + [(100 + i % 80, 1000 + i, "w") for i in range(300)]
+    label = lambda v: "h" if v < 3 else "a" if v < 100 else "b" if v < 1000 else "o"
+    vertices = [(v, label(v)) for v in sorted({v for e in rows for v in e[:2]})]
+    t = TargetGraph.of(spark.createDataFrame(vertices, "vid long, vlabel string"), spark.createDataFrame(rows, "src long, dst long, elabel string")).written()
+    p = PatternGraph.parse("o:o; a:a->o; b:b->o; h:h->a; h->b")
+    ready = engines.prepare(t, p, "dom_s")
+    assert [p.labels[v] for v in ready.plan.order][:2] == ["h", "a"]
+    assert engines.run(ready, "join", count_only=True).first()["matches"] == 300
+    assert [p.labels[v] for v in ready.plan.order][0] == "o"
+    given = engines.prepare(t, p, "dom_s", order=[3, 1, 2, 0])
+    assert engines.run(given, "join", count_only=True).first()["matches"] == 300 and given.plan.order == [3, 1, 2, 0]
