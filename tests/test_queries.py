@@ -35,6 +35,15 @@ def test_query_equals_sql(spark, sf, duck, name):
     assert sorted(names) == columns and got == expected
 
 
+READ_TABLES = ["order_catalog_ord"]
+
+
+@pytest.mark.parametrize("name", READ_TABLES)
+def test_query_reads_its_tables(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        catalog.QUERIES[name](spark, str(tmp_path)).collect()
+
+
 def test_experiments_hold_what_they_must(spark, sf, monkeypatch):
     """Queries without SQL: sums, bounds and orders that hold whatever the numbers are."""
     monkeypatch.setattr(catalog, "BUDGET", 100_000)
