@@ -35,7 +35,7 @@ def test_query_equals_sql(spark, sf, duck, name):
     assert sorted(names) == columns and got == expected
 
 
-READ_TABLES = ["order_catalog_ord", "order_by_degree", "order_by_domain", "order_catalog_dom", "order_catalog_doms", "anchors_catalog", "plan_edges_once", "automorphisms_catalog", "fc_round_trace", "fc_worked_example", "pandas_udaf_gmean"]
+READ_TABLES = ["order_catalog_ord", "order_by_degree", "order_by_domain", "order_catalog_dom", "order_catalog_doms", "anchors_catalog", "plan_edges_once", "automorphisms_catalog", "fc_round_trace", "fc_worked_example", "pandas_udaf_gmean", "edges_uniform_dense"]
 
 
 @pytest.mark.parametrize("name", READ_TABLES)
