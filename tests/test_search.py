@@ -209,3 +209,17 @@ def test_joins_of_a_domain_method_take_the_cheaper_order(spark):
     assert [p.labels[v] for v in ready.plan.order][0] == "o"
     given = engines.prepare(t, p, "dom_s", order=[3, 1, 2, 0])
     assert engines.run(given, "join", count_only=True).first()["matches"] == 300 and given.plan.order == [3, 1, 2, 0]
+
+
+def test_branches_of_a_search_need_no_bounded_tree(spark, monkeypatch):
+    from subgraph_spark import catalog
+
+    vertices, edges = random_graph(14, 60, 2, 3)
+    t = made(spark, vertices, edges)
+    for text in ("a->b; b->c; c->a", "a:L0->b; b-[e1]->c"):
+        plan = build(P(text))
+        tree = search_tree(Kernel(t.csr(), plan))
+        table = spark.createDataFrame([tuple(map(int, r)) for r in zip(tree["node_id"], tree["parent_id"], tree["depth"])], "node_id long, parent_id long, depth int")
+        assert {tuple(r) for r in measures.branches_of_search(t, plan, 0.02).collect()} == {tuple(r) for r in measures.large_branches(table, 0.02).collect()}
+    monkeypatch.setattr(catalog, "search_tree", lambda *_: 1 / 0)
+    assert len(catalog.QUERIES["large_branches_echo"](spark, "/root/testdata/sf0.001").collect()) == 3
