@@ -223,3 +223,12 @@ def test_branches_of_a_search_need_no_bounded_tree(spark, monkeypatch):
         assert {tuple(r) for r in measures.branches_of_search(t, plan, 0.02).collect()} == {tuple(r) for r in measures.large_branches(table, 0.02).collect()}
     monkeypatch.setattr(catalog, "search_tree", lambda *_: 1 / 0)
     assert len(catalog.QUERIES["large_branches_echo"](spark, "/root/testdata/sf0.001").collect()) == 3
+
+
+def test_pairs_per_partition_without_arrays(spark, monkeypatch):
+    from subgraph_spark import catalog
+
+    sf = "/root/testdata/sf0.001"
+    expected = {tuple(r) for r in catalog.QUERIES["partition_skew_cycle3"](spark, sf).collect()}
+    monkeypatch.setattr(engines, "allowed_bytes", lambda _: 1)
+    assert {tuple(r) for r in catalog.QUERIES["partition_skew_cycle3"](spark, sf).collect()} == expected
