@@ -232,3 +232,21 @@ def test_pairs_per_partition_without_arrays(spark, monkeypatch):
     expected = {tuple(r) for r in catalog.QUERIES["partition_skew_cycle3"](spark, sf).collect()}
     monkeypatch.setattr(engines, "allowed_bytes", lambda _: 1)
     assert {tuple(r) for r in catalog.QUERIES["partition_skew_cycle3"](spark, sf).collect()} == expected
+
+
+def test_taken_patterns_without_arrays(spark, monkeypatch):
+    from subgraph_spark import catalog
+
+    monkeypatch.setattr(engines, "allowed_bytes", lambda _: 1)
+    monkeypatch.setattr(catalog, "_METHODS", ("ord", "dom_s"))
+    found = {}
+    for r in catalog.QUERIES["taken_patterns_turn_chain"](spark, "/root/testdata/sf0.001").collect():
+        found.setdefault(r.pattern, set()).add(r.matches)
+    monkeypatch.undo()
+    t = catalog.target(spark, "/root/testdata/sf0.001", "turn_chain")
+    csr = t.csr()
+    for k, text in enumerate(catalog._TAKEN["turn_chain"]):
+        c = Counters()
+        kernel = Kernel(csr, build(P(text)))
+        list(kernel.run(kernel.seeds(), c))
+        assert found[f"turn_chain-{k}"] == {c.matches}
