@@ -11,7 +11,7 @@ from subgraph_spark.model import PatternGraph, TargetGraph, random_graph
 from subgraph_spark.operators import array_domains, balance, domains, engines, expand, patterns, stats, workloads
 from subgraph_spark.operators.dfs import Counters, Kernel
 from subgraph_spark.plans.search_plan import build
-from subgraph_spark.sources import tables
+from subgraph_spark.sources import array_files, tables
 
 V, E = "vid long, vlabel string", "src long, dst long, elabel string"
 
@@ -157,3 +157,54 @@ def test_allowance_and_advice(spark, uniform):
     assert engines.allowed_bytes(spark) >= 64 << 20
     roots = spark.createDataFrame([(i, 100) for i in range(30)], "root long, pairs long")
     assert balance.advise(roots, 1000) == 3 and balance.advise(roots, 1) == 30 and balance.advise(roots) == 1
+
+
+def test_mapped_arrays_equal_held_ones(spark, uniform):
+    odd = TargetGraph.of(spark.createDataFrame([(5, "x"), (-7, None), (900, "y"), (6, "x")], V), spark.createDataFrame([(5, 900, "e"), (900, 5, None), (6, 6, "e"), (-7, 5, "e"), (5, 77, "e"), (None, 5, "e")], E))
+    none = TargetGraph.of(spark.createDataFrame([], V), spark.createDataFrame([], E))
+    rng = np.random.default_rng(3)
+    for t in (uniform, odd.written(), none):
+        held, mapped = t.csr(), array_files.write(t).open()
+        for name in ("vids", "vlabel", "out_ptr", "out_to", "in_ptr", "in_to"):
+            assert getattr(held, name).tolist() == getattr(mapped, name).tolist()
+        assert held.label_code == mapped.label_code and mapped.keys is None
+        s, d = rng.integers(0, max(1, held.n), (2, 500 if held.n else 0))
+        assert held.has_edge(s, d).tolist() == mapped.has_edge(s, d).tolist()
+    with pytest.raises(ValueError, match="labels"):
+        mapped.has_edge(s, d, "e")
+
+
+@pytest.mark.parametrize("density", workloads.DENSITIES)
+def test_extracted_patterns_equal_the_plain_rule(uniform, density):
+    """The frontier's smallest hash, found by looking through all of it."""
+    csr = uniform.csr()
+    got = patterns.extract(csr, 40, density, 7)
+
+    def mark(key):
+        x = (key + 7 * 0x9E3779B97F4A7C15) * 0xBF58476D1CE4E5B9 % 2**64
+        return (x ^ x >> 31) * 0x94D049BB133111EB % 2**64 >> 1
+
+    n, places, chosen = csr.n, {}, []
+    edges = {k for k in csr.keys.tolist() if k // n != k % n}
+    while len(chosen) < 40:
+        ends = lambda k: (k // n in places) + (k % n in places)
+        near = [k for k in edges - set(chosen) if ends(k)] if chosen else list(edges)
+        closes = density == "dense" or density == "semi" and len(chosen) % 2 == 1
+        key = min([k for k in near if chosen and (ends(k) == 2) == closes] or near, key=lambda k: (mark(k), k))
+        chosen.append(key)
+        for v in (key // n, key % n):
+            places.setdefault(v, len(places))
+    assert got.edges == tuple((places[k // n], places[k % n], None) for k in chosen)
+
+
+def test_experiments_on_mapped_arrays(uniform):
+    """Extraction, searches and simulations of targets whose arrays nobody holds."""
+    how = {"edges": (4, 8), "draws": (1,)}
+    plain = lambda df: sorted(tuple(v for k, v in r.asDict().items() if not k.endswith(("_ms", "_mb"))) for r in df.collect())
+    assert len({array_files.opener(uniform, b)().keys is None for b in (0, 1 << 30)}) == 2
+    for rows in (
+        lambda b: workloads.on_instances("sets", [uniform], lambda csr, p, _: [(p.size, workloads.as_text(p))], workloads.INSTANCE + ", vertices int, pattern string", max_bytes=b, **how),
+        lambda b: workloads.searches("uniform", [uniform], ("ord", "dom", "dom_s", "dom_f", "dom_sf"), 10**7, max_bytes=b, **how),
+        lambda b: workloads.simulated("uniform", [uniform], ("ord", "dom_sf"), (1, 4), (1, 4), (0, 1), (True, False), 20_000, max_bytes=b, **how),
+    ):
+        assert plain(rows(0)) == plain(rows(1 << 30))
