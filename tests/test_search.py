@@ -5,8 +5,9 @@ import itertools
 import numpy as np
 import pytest
 
+from subgraph_spark import catalog
 from subgraph_spark.model import PatternGraph, TargetGraph, TargetTooLarge, edges_between, random_graph
-from subgraph_spark.operators import baselines, domains, engines, expand, measures, patterns, steal_sim
+from subgraph_spark.operators import baselines, domains, engines, expand, halves, measures, patterns, steal_sim
 from subgraph_spark.operators.dfs import Counters, Kernel, search_tree
 from subgraph_spark.plans.search_plan import METHODS, build
 
@@ -250,3 +251,29 @@ def test_taken_patterns_without_arrays(spark, monkeypatch):
         kernel = Kernel(csr, build(P(text)))
         list(kernel.run(kernel.seeds(), c))
         assert found[f"turn_chain-{k}"] == {c.matches}
+
+
+@pytest.mark.parametrize("text", ["a->b; b->c; c->a", "a->b; b->c; c->d; d->a", "b->c:L1; d->a; a:L0->b; c->d", "a->b; b->c; c->d:L1; d->e; e->a"])
+def test_halves_of_cycles(spark, text):
+    """Mapped and held arrays, blocks that split a root's paths, loops in the target."""
+    vertices, edges = random_graph(8, 34, 2, 11)
+    t, p = made(spark, vertices, [*edges, (0, 0, "e0"), (3, 3, "e1")]).written(degrees=False), P(text)
+    expected = brute(vertices, edges, p)
+    for max_bytes, block in ((0, 3), (1 << 30, 1 << 19)):
+        got = [tuple(r) for r in halves.search(t, p, [f"m{v}" for v in range(p.size)], 3, max_bytes, block).collect()]
+        assert expected and len(got) == len(set(got)) and set(got) == expected
+    assert {tuple(r) for r in engines.enumerate(t, p, engine="halves").collect()} == expected
+    assert engines.count(t, p, engine="halves") == len(expected)
+
+
+def test_halves_refuse_other_searches(spark):
+    t = made(spark, *random_graph(5, 12, 2, 1))
+    assert [halves.cycle(P(x)) for x in ("a->b; b->a", "a->b; b->c; a->c", "a->b; b->a; c->d; d->c", "a->b; b-[e]->c; c->a", "a->c; c->b; b->a")] == [None] * 4 + [[0, 1, 2]]
+    for p, how in ((P("a->b; b->c"), {}), (SHAPES[0], {"induced": True}), (SHAPES[0], {"method": "dom"})):
+        with pytest.raises(ValueError):
+            engines.enumerate(t, p, engine="halves", **how)
+
+
+def test_four_cycles_shuffle_no_paths(spark, sf):
+    plan = catalog.QUERIES["ord_cycle4_part_flow"](spark, sf)._jdf.queryExecution().toString()
+    assert "Join" not in plan and "Exchange" not in plan
