@@ -208,3 +208,10 @@ def test_experiments_on_mapped_arrays(uniform):
         lambda b: workloads.simulated("uniform", [uniform], ("ord", "dom_sf"), (1, 4), (1, 4), (0, 1), (True, False), 20_000, max_bytes=b, **how),
     ):
         assert plain(rows(0)) == plain(rows(1 << 30))
+
+
+def test_patterns_of_mapped_arrays_share_first_edges(spark, uniform):
+    csr = uniform.csr()
+    firsts = workloads.first_edges(spark, array_files.opener(uniform, 0), (1, 2, 7))
+    assert firsts == {s: patterns.first_edge(csr, s) for s in (1, 2, 7)}
+    assert all(patterns.extract(csr, 9, "semi", s, first=k) == patterns.extract(csr, 9, "semi", s) for s, k in firsts.items())
