@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from subgraph_spark import catalog
-from subgraph_spark.model import PatternGraph, TargetGraph, random_graph
+from subgraph_spark.model import Csr, PatternGraph, TargetGraph, random_graph
 from subgraph_spark.operators import array_domains, balance, domains, engines, expand, patterns, stats, workloads
 from subgraph_spark.operators.dfs import Counters, Kernel
 from subgraph_spark.plans.search_plan import build
@@ -210,6 +210,40 @@ def test_experiments_on_mapped_arrays(uniform):
         assert plain(rows(0)) == plain(rows(1 << 30))
 
 
+def test_a_hub_takes_no_mapping_for_each_neighbour():
+    """A star's mappings are as many as the hub has leaves, at every depth: they are held as rows and candidates, with the same pairs and matches."""
+    import tracemalloc
+
+    leaves, k = 20_000, 40
+    n = leaves + 1
+    ptr = np.concatenate([[0], np.full(n, leaves)])
+    csr = Csr(np.arange(n), np.zeros(n, np.int64), {"x": 0}, ptr, np.arange(1, n), np.concatenate([[0, 0], np.arange(1, n)]), np.zeros(leaves, np.int64), None, None, None)
+    kernel = Kernel(csr, build(PatternGraph(("x",) * (k + 1), tuple((0, i + 1, None) for i in range(k))), "ord", order=range(k + 1)))
+    counters = Counters()
+    tracemalloc.start()
+    left = [b.shape[1] for kind, b in kernel.run(kernel.seeds(np.array([0])), counters, 800_000, block=256) if kind == "todo"]
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert counters.pairs >= 800_000 and left == sorted(left) and len(left) > 30
+    assert peak < 64 << 20  # whole mappings: 20,000 * 8 bytes * (1 + ... + 40) = 131 MB
+
+
+def test_coded_masks_equal_plain_ones(spark, uniform, monkeypatch):
+    csr = uniform.csr()
+    for density, edges in (("dense", 20), ("sparse", 100)):
+        p = patterns.extract(csr, edges, density, 3)
+        plain = {m: array_domains.prepare(csr, p, m, "fixpoint") for m in ("dom", "dom_sf")}
+        monkeypatch.setattr(array_domains, "PLAIN", 0)
+        for m, (masks, sizes) in plain.items():
+            coded, own = array_domains.prepare(csr, p, m, "fixpoint")
+            assert isinstance(coded, array_domains.Coded) and own == sizes and coded[:].tolist() == masks.tolist() and coded.copy()[:, 0].tolist() == masks[:, 0].tolist()
+            assert array_domains.sizes(p, coded) == sizes
+        found = {m: (None if k is None else (c := Counters(), sorted(x for _, b in k.run(k.seeds(None, c), c, 200_000) for x in b.tolist()))[0].pairs) for m, k, _ in workloads.kernels(csr, p, ("dom", "dom_f", "dom_s"))}
+        monkeypatch.undo()
+        again = {m: (None if k is None else (c := Counters(), sorted(x for _, b in k.run(k.seeds(None, c), c, 200_000) for x in b.tolist()))[0].pairs) for m, k, _ in workloads.kernels(csr, p, ("dom", "dom_f", "dom_s"))}
+        assert found == again
+
+
 def test_patterns_of_mapped_arrays_share_first_edges(spark, uniform):
     csr = uniform.csr()
     firsts = workloads.first_edges(spark, array_files.opener(uniform, 0), (1, 2, 7))
