@@ -8,8 +8,8 @@ from pyspark.sql import functions as F
 
 from subgraph_spark import catalog
 from subgraph_spark.model import Csr, PatternGraph, TargetGraph, random_graph
-from subgraph_spark.operators import array_domains, balance, domains, engines, expand, patterns, stats, workloads
-from subgraph_spark.operators.dfs import Counters, Kernel
+from subgraph_spark.operators import array_domains, balance, domains, engines, expand, patterns, stats, steal_sim, workloads
+from subgraph_spark.operators.dfs import Counters, Kernel, search_tree, task_tree
 from subgraph_spark.plans.search_plan import build
 from subgraph_spark.sources import array_files, tables
 
@@ -249,3 +249,33 @@ def test_patterns_of_mapped_arrays_share_first_edges(spark, uniform):
     firsts = workloads.first_edges(spark, array_files.opener(uniform, 0), (1, 2, 7))
     assert firsts == {s: patterns.first_edge(csr, s) for s in (1, 2, 7)}
     assert all(patterns.extract(csr, 9, "semi", s, first=k) == patterns.extract(csr, 9, "semi", s) for s, k in firsts.items())
+
+
+def test_task_trees_equal_recorded_ones(uniform):
+    csr = uniform.csr()
+    for p in (patterns.extract(csr, 8, "sparse", 2), patterns.extract(csr, 16, "dense", 5), PatternGraph((next(iter(csr.label_code)),), ())):
+        kernel = Kernel(csr, build(p, "ord"))
+        tree = search_tree(kernel)
+        recorded = steal_sim.tasks_of(tree["parent_id"], tree["depth"], tree["consistent"])
+        for block in (50, 1 << 18):
+            own = task_tree(kernel, len(tree["node_id"]), block)
+            k = len(own.depth)  # a recorded tree's last level generates nothing, and is no part of the tasks
+            assert (own.roots, own.last, own.root_at.tolist()) == (recorded.roots, recorded.last, recorded.root_at.tolist())
+            inner = own.depth + 1 < own.last
+            assert own.depth.tolist() == recorded.depth[:k].tolist() and own.generated.tolist() == recorded.generated[:k].tolist()
+            assert own.first[inner].tolist() == recorded.first[:k][inner].tolist() and own.kids[inner].tolist() == recorded.kids[:k][inner].tolist()
+            for how in ((16, 1, 3), (16, 4, 3, False), (5, 2, 1)):
+                assert steal_sim.simulate_tasks(own, *how) == steal_sim.simulate_tasks(recorded, *how)
+        with pytest.raises(ValueError, match="nodes"):
+            task_tree(kernel, len(tree["node_id"]) - 1)
+
+
+def test_stealing_on_and_off_with_very_many_roots(spark, monkeypatch):
+    """A target whose vertices alone are more than 60,000: no instance is left out."""
+    vertices, edges = random_graph(30, 120, 5, 6)
+    vertices += [(i, "L9") for i in range(1000, 71_000)]
+    t = TargetGraph.of(spark.createDataFrame(vertices, V), spark.createDataFrame(edges, E)).written(False)
+    monkeypatch.setattr(catalog, "_targets", lambda *_: [t])
+    rows = {(r.group_size, r.stealing): r for r in catalog.QUERIES["stealing_on_off"](spark, "").collect()}
+    assert set(rows) == {(g, x) for g in (1, 4) for x in (True, False)}
+    assert all(r.runs == 2 * 2 * 2 * 3 and r.makespan >= 70_030 / 16 for r in rows.values())
