@@ -279,3 +279,16 @@ def test_stealing_on_and_off_with_very_many_roots(spark, monkeypatch):
     rows = {(r.group_size, r.stealing): r for r in catalog.QUERIES["stealing_on_off"](spark, "").collect()}
     assert set(rows) == {(g, x) for g in (1, 4) for x in (True, False)}
     assert all(r.runs == 2 * 2 * 2 * 3 and r.makespan >= 70_030 / 16 for r in rows.values())
+
+
+def test_arrays_of_middle_size_are_mapped(uniform, monkeypatch):
+    monkeypatch.setattr(TargetGraph, "array_bytes", lambda *_: 28 << 20)  # supplier_echo at 60 times sf0.1
+    assert array_files.are_mapped(array_files.opener(uniform))
+
+
+def test_labels_of_arrays(spark):
+    v = [(7, "b"), (-1, None), (3, "a"), (9, "b")]
+    e = [(7, 3, "x"), (7, 3, None), (7, 3, "y"), (3, 9, "y"), (9, 7, None), (3, 77, "gone")]
+    csr = TargetGraph.of(spark.createDataFrame(v, V), spark.createDataFrame(e, E), simple=False).csr()
+    assert csr.vids.tolist() == [-1, 3, 7, 9] and csr.label_code == {None: 0, "a": 1, "b": 2} and csr.vlabel.tolist() == [0, 1, 2, 2]
+    assert {x: k.tolist() for x, k in csr.label_keys.items()} == {"x": [2 * 4 + 1], "y": [1 * 4 + 3, 2 * 4 + 1]}
