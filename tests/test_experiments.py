@@ -281,6 +281,17 @@ def test_stealing_on_and_off_with_very_many_roots(spark, monkeypatch):
     assert all(r.runs == 2 * 2 * 2 * 3 and r.makespan >= 70_030 / 16 for r in rows.values())
 
 
+def test_grid_of_trees_with_more_than_5000_nodes(spark, monkeypatch):
+    """Directed rings of nine, alike in labels: a tree has a root and a path for every vertex. No instance of the grid is left out."""
+    vertices = [(i, "L0") for i in range(130 * 9)]
+    edges = [(i, i - i % 9 + (i % 9 + 1) % 9, None) for i in range(130 * 9)]
+    t = TargetGraph.of(spark.createDataFrame(vertices, V), spark.createDataFrame(edges, E)).written(False)
+    monkeypatch.setattr(catalog, "_targets", lambda *_: [t])
+    rows = {(r.workers, r.group_size, r.stealing): r for r in catalog.QUERIES["steal_sim_grid_dense_many_labels"](spark, "").collect()}
+    assert set(rows) == {(w, g, x) for w in (2, 4, 8, 16) for g in (1, 2, 4, 8, 16) for x in (True, False)}
+    assert all(r.runs == 2 * 3 * 2 * 15 and r.makespan >= 130 * 9 * 5 / r.workers for r in rows.values())
+
+
 def test_arrays_of_middle_size_are_mapped(uniform, monkeypatch):
     monkeypatch.setattr(TargetGraph, "array_bytes", lambda *_: 28 << 20)  # supplier_echo at 60 times sf0.1
     assert array_files.are_mapped(array_files.opener(uniform))
